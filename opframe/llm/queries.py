@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from . import simhash
+from . import decontaminate, simhash
 
 QUERIES = {
+    "op2_decontaminate": decontaminate.query,
     "op3_simhash": simhash.query,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op2_decontaminate": decontaminate.ORACLE,
+}
