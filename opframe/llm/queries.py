@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import decontaminate, simhash
+from . import decontaminate, repair, simhash
 
 QUERIES = {
     "op2_decontaminate": decontaminate.query,
     "op3_simhash": simhash.query,
+    "op8_repair_ids": repair.query,
 }
 
 ORACLES: dict[str, str] = {
