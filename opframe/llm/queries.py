@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import decontaminate, repair, simhash
+from . import decontaminate, repair, sharding, simhash
 
 QUERIES = {
     "op2_decontaminate": decontaminate.query,
     "op3_simhash": simhash.query,
+    "op7_best_fit_shards": sharding.query,
     "op8_repair_ids": repair.query,
 }
 
