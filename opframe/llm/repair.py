@@ -13,9 +13,11 @@ file system that Spark reaches); ``payload`` is a binary record of the layout in
 
 from __future__ import annotations
 
+import re
 import struct
 import zlib
 from collections.abc import Iterator
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -28,81 +30,133 @@ from .common import materialise, pieces, ragged, scratch_dir
 #: Ids after which a shard is closed; a longer document is a shard of its own.
 SHARD_IDS = 1 << 19
 #: Rounds of pair replacement, pairs replaced in one round, and the least count of a replaced pair.
-ROUNDS, PAIRS_A_ROUND, LEAST_COUNT = 6, 4096, 16
+ROUNDS, PAIRS_A_ROUND, LEAST_COUNT = 4, 4096, 16
 MAGIC = b"RPID1\0\0\0"
 #: Distinct words kept encoded by a worker; past it the table starts anew (results do not depend on it).
-CACHE_WORDS = 400_000
+CACHE_WORDS = 600_000
+
+
+def _byte_alphabet() -> str:
+    """The byte-level alphabet: printable bytes stand for themselves, the others for characters from 256 on."""
+    own = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    others = iter(range(256, 512))
+    return "".join(chr(b) if b in own else chr(next(others)) for b in range(256))
+
+
+#: Characters that are letters of Latin scripts or ASCII: normal form C leaves them alone and each is lowered by itself.
+_LATIN = re.compile(r"[\x00-\u024F\u1E00-\u1EFF]*")
+_MARKS = ".,;:!?"
 
 
 class WordEncoder:
-    """Encodes texts with a ``tokenizers`` file, each distinct word once.
+    """Encodes texts with a ``tokenizers`` file of byte-level BPE on lowered words, each distinct word once.
 
     The pre-tokenizer never joins characters across a blank, tab or line end, so the ids of a
-    text are those of its words one after another. Words are encoded many at a time, with a
-    special token between them; a word that contains the start of one is encoded alone.
+    text are those of its words one after another; nor does it join a letter with the mark that
+    follows it. A word of Latin letters, marks after it or not, is therefore lowered, mapped to
+    the byte alphabet and given to the library's BPE model; every other word goes through the
+    library's whole pipeline. Tests hold both against the whole pipeline.
     """
 
     def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        added = self.tok.get_added_tokens_decoder()
-        self.mark_id = max(added) if added else None
-        self.mark = added[self.mark_id].content if added else None
-        self.known: dict[str, int] = {}
-        self.ids = np.zeros(1 << 16, np.uint32)
-        self.used = 0
-        self.start = np.zeros(1 << 12, np.int64)
-        self.len = np.zeros(1 << 12, np.int64)
+        self.alphabet = _byte_alphabet()
+        self._clear()
 
-    def _add(self, fresh: list[str]) -> None:
-        encode = self.tok.encode
-        plain = [w for w in fresh if self.mark and self.mark[0] not in w]
-        alone = [w for w in fresh if not self.mark or self.mark[0] in w]
-        runs: list[np.ndarray] = []
-        lens: list[np.ndarray] = []
-        for i in range(0, len(plain), 4096):
-            some = plain[i : i + 4096]
-            got = np.array(encode(self.mark.join(some), add_special_tokens=False).ids, np.uint32)
-            cut = np.concatenate([[-1], np.flatnonzero(got == self.mark_id), [len(got)]])
-            lens.append(np.diff(cut) - 1)
-            runs.append(got[got != self.mark_id])
-        for w in alone:
-            got = np.array(encode(w, add_special_tokens=False).ids, np.uint32)
-            lens.append(np.array([len(got)]))
-            runs.append(got)
-        if not fresh:
-            return
-        new, size = np.concatenate(runs), np.concatenate(lens)
-        n = len(self.known)
-        for w in plain:
-            self.known[w] = len(self.known)
-        for w in alone:
-            self.known[w] = len(self.known)
-        while self.used + len(new) > len(self.ids):
+    def _clear(self) -> None:
+        self.known: dict[str, int] = {}
+        self.parts: dict[str, int] = {}
+        self.ids = np.zeros(1 << 20, np.uint32)
+        self.used = self.runs = 0
+        self.start = np.zeros(1 << 18, np.int64)
+        self.len = np.zeros(1 << 18, np.int64)
+
+    def _store(self, ids: np.ndarray, lens: np.ndarray) -> int:
+        """Append runs of ids; the number of the first."""
+        while self.used + len(ids) > len(self.ids):
             self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
-        while len(self.known) > len(self.start):
+        while self.runs + len(lens) > len(self.start):
             self.start = np.concatenate([self.start, np.zeros_like(self.start)])
             self.len = np.concatenate([self.len, np.zeros_like(self.len)])
-        self.ids[self.used : self.used + len(new)] = new
-        self.len[n : n + len(size)] = size
-        self.start[n : n + len(size)] = self.used + np.concatenate([[0], np.cumsum(size)[:-1]])
-        self.used += len(new)
+        first = self.runs
+        self.ids[self.used : self.used + len(ids)] = ids
+        self.len[first : first + len(lens)] = lens
+        self.start[first : first + len(lens)] = self.used + np.cumsum(lens) - lens
+        self.used += len(ids)
+        self.runs += len(lens)
+        return first
+
+    def _part(self, parts: list[str], letters: bool) -> None:
+        """Encode parts that are not yet known: words of letters by the BPE model, others by the whole pipeline."""
+        if not parts:
+            return
+        if letters:
+            tokenize, alphabet = self.tok.model.tokenize, self.alphabet
+            runs = [[x.id for x in tokenize(w if w.isascii() else "".join([alphabet[c] for c in w.encode()]))] for w in parts]
+        else:
+            runs = [e.ids for e in self.tok.encode_batch(parts, add_special_tokens=False)]
+        lens = np.fromiter(map(len, runs), np.int64, len(runs))
+        first = self._store(np.fromiter(chain.from_iterable(runs), np.uint32, int(lens.sum())), lens)
+        self.parts.update(zip(parts, range(first, first + len(parts)), strict=True))
+
+    def _add(self, fresh: list[str]) -> None:
+        whole: list[str] = []
+        cut: list[tuple[str, str, str]] = []
+        for w in fresh:
+            core = w.rstrip(_MARKS)
+            if core.isalpha() and (core.isascii() or _LATIN.fullmatch(core)):
+                low = core.lower()
+                if low.isalpha():
+                    cut.append((w, low, w[len(core) :]))
+                    continue
+            whole.append(w)
+        parts = self.parts
+        self._part(list(dict.fromkeys(c for _, c, _ in cut if c not in parts)), True)
+        self._part(list(dict.fromkeys([*(m for _, _, m in cut if m not in parts), *(w for w in whole if w not in parts)])), False)
+        known = self.known
+        for w in whole:
+            known[w] = parts[w]
+        for w, c, m in cut:
+            if not m:
+                known[w] = parts[c]
+        two = [x for x in cut if x[2]]
+        if two:
+            a = np.fromiter((parts[c] for _, c, _ in two), np.int64, len(two))
+            b = np.fromiter((parts[m] for _, _, m in two), np.int64, len(two))
+            pair = np.stack([a, b], axis=1).ravel()
+            first = self._store(self.ids[ragged(self.start[pair], self.len[pair])], self.len[a] + self.len[b])
+            known.update(zip((w for w, _, _ in two), range(first, first + len(two)), strict=True))
 
     def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts, how many each has)."""
         if len(self.known) > CACHE_WORDS:
-            self.known, self.used = {}, 0
-        split = [(t or "").replace("\n", " ").replace("\t", " ").split(" ") for t in texts]
-        known = self.known
-        fresh = {w for ws in split for w in ws if w not in known}
-        self._add(sorted(fresh))
-        which = np.fromiter((known[w] for ws in split for w in ws), np.int64, sum(map(len, split)))
+            self._clear()
+        every: list[str] = []
+        seg = [0]
+        for t in texts:
+            every += (t or "").replace("\n", " ").replace("\t", " ").split(" ")
+            seg.append(len(every))
+        which = np.fromiter(map(self.known.get, every, repeat(-1)), np.int64, len(every))
+        missing = np.flatnonzero(which < 0)
+        if len(missing):
+            absent = [every[i] for i in missing.tolist()]
+            self._add(list(dict.fromkeys(absent)))
+            which[missing] = np.fromiter(map(self.known.__getitem__, absent), np.int64, len(absent))
         lens = self.len[which]
-        ids = self.ids[ragged(self.start[which], lens)]
-        seg = np.concatenate([[0], np.cumsum([len(x) for x in split])])
         total = np.concatenate([[0], np.cumsum(lens)])
-        return ids, total[seg[1:]] - total[seg[:-1]]
+        return self.ids[ragged(self.start[which], lens)], np.diff(total[seg])
+
+
+_encoders: dict[str, WordEncoder] = {}
+
+
+def encoder(path: str) -> WordEncoder:
+    """The worker process's encoder for a tokenizer file; its words stay known from task to task."""
+    if path not in _encoders:
+        _encoders[path] = WordEncoder(path)
+    return _encoders[path]
 
 
 def compress(ids: np.ndarray, terminals: int, rounds: int = ROUNDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -221,8 +275,8 @@ def write_ids(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2) -> No
         from pyspark import TaskContext
 
         part, seq = TaskContext.get().partitionId(), 0
-        encoder = WordEncoder(tokenizer)
-        terminals = max(encoder.tok.get_vocab_size(True), end_id + 1)
+        words = encoder(tokenizer)
+        terminals = max(words.tok.get_vocab_size(True), end_id + 1)
         held: list[np.ndarray] = []
         counts: list[np.ndarray] = []
         doc_ids: list = []
@@ -237,7 +291,7 @@ def write_ids(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2) -> No
 
         for b in pieces(batches, "text", 1 << 20):
             id_type = b.column(0).type
-            ids, n = encoder.encode(b.column(1).to_pylist())
+            ids, n = words.encode(b.column(1).to_pylist())
             out = np.full(len(ids) + len(n), end_id, np.uint32)
             out[ragged(np.concatenate([[0], np.cumsum(n + 1)[:-1]]), n)] = ids
             held.append(out)
