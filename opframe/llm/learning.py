@@ -118,7 +118,7 @@ class Adam:
         return w - self.rate * (self.m / (1 - 0.9**self.t)) / (np.sqrt(self.v / (1 - 0.999**self.t)) + 1e-8)
 
 
-def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray | None = None, l2: float = 1e-3, steps: int = 300, rate: float = 0.05) -> np.ndarray:
+def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray | None = None, l2: float = 1e-3, steps: int = 150, rate: float = 0.1) -> np.ndarray:
     """Weights, the bias last, of an L2-regularised logistic regression."""
     weight = np.ones(len(y)) if weight is None else weight
     total = max(weight.sum(), 1e-9)

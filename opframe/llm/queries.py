@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, quality_rules, repair, sharding, simhash, toxicity
+from . import cotrain, decontaminate, quality_rules, repair, sharding, simhash, toxicity
 
 QUERIES = {
     "op2_decontaminate": decontaminate.query,
@@ -11,6 +11,7 @@ QUERIES = {
     "op6_nnpu_toxicity": toxicity.query,
     "op7_best_fit_shards": sharding.query,
     "op8_repair_ids": repair.query,
+    "op9_cotrain_quality": cotrain.query,
 }
 
 ORACLES: dict[str, str] = {
