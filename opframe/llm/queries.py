@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import cotrain, decontaminate, quality_rules, repair, sharding, simhash, toxicity
+from . import cotrain, decontaminate, lm, quality_rules, repair, sharding, simhash, toxicity
 
 QUERIES = {
     "op2_decontaminate": decontaminate.query,
     "op3_simhash": simhash.query,
     "op4_robust_outliers": quality_rules.query,
+    "op5_deleted_interpolation": lm.query,
     "op6_nnpu_toxicity": toxicity.query,
     "op7_best_fit_shards": sharding.query,
     "op8_repair_ids": repair.query,
