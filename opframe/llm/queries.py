@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import cotrain, decontaminate, lm, quality_rules, repair, sharding, simhash, toxicity
+from . import cotrain, decontaminate, lm, pieces, quality_rules, repair, sharding, simhash, toxicity
 
 QUERIES = {
+    "op1_suffix_array_pieces": pieces.query,
     "op2_decontaminate": decontaminate.query,
     "op3_simhash": simhash.query,
     "op4_robust_outliers": quality_rules.query,
