@@ -189,20 +189,23 @@ def train(docs: DataFrame, labels: DataFrame) -> Model | None:
     return Model(chosen, np.append(w_t, 0.0), centre, scale, w_m, cal, fit_logistic(f, y[aside].astype(float), l2=1e-3))
 
 
-def score(docs: DataFrame, model: Model | None) -> DataFrame:
-    """``docs`` with text_score, meta_score and score (0 to 1; higher: good quality likelier).
+NAMES = ("text_score", "meta_score", "score")
+
+
+def score(docs: DataFrame, model: Model | None, names: tuple[str, str, str] = NAMES) -> DataFrame:
+    """``docs`` with the scores of the text view, of the metadata view and of both (0 to 1; higher: good quality likelier).
 
     Every row is scored over its whole text; null texts count as empty, null or absent lang,
     source and n_chars as unknown. Without a model all scores are 1. Columns of the three
     names are replaced, all others pass through.
     """
-    base = docs.drop("text_score", "meta_score", "score")
+    base = docs.drop(*names)
     if model is None:
-        return base.withColumns({c: F.lit(1.0) for c in ("text_score", "meta_score", "score")})
+        return base.withColumns({c: F.lit(1.0) for c in names})
     shared = docs.sparkSession.sparkContext.broadcast(model)
     fields = base.columns
     fed = base.select(*fields, F.struct(*_columns(base)[1:]).alias("__view"))
-    schema = base.withColumns({c: F.lit(0.0) for c in ("text_score", "meta_score", "score")}).schema
+    schema = base.withColumns({c: F.lit(0.0) for c in names}).schema
     at = fields.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -215,7 +218,7 @@ def score(docs: DataFrame, model: Model | None) -> DataFrame:
             f_meta = np.clip((meta - m.centre) / m.scale, -8, 8) @ m.meta[:-1] + m.meta[-1]
             f_text = m.chosen.sums(*text_buckets(raw, off, GRAM, False), b.num_rows, np.append(m.text[: m.chosen.size], 0.0)) + m.text[m.chosen.size]
             s = m.scores(f_text, f_meta)
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], *(pa.array(s[:, k]) for k in range(3))], schema=pa.schema([*list(b.schema)[:-1], *(pa.field(c, pa.float64()) for c in ("text_score", "meta_score", "score"))]))
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], *(pa.array(s[:, k]) for k in range(3))], schema=pa.schema([*list(b.schema)[:-1], *(pa.field(c, pa.float64()) for c in names)]))
 
     return fed.mapInArrow(run, schema)
 

@@ -124,8 +124,8 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray | None = None,
     total = max(weight.sum(), 1e-9)
     w, adam = np.zeros(x.shape[1] + 1), Adam(x.shape[1] + 1, rate)
     for _ in range(steps):
-        r = (sigmoid(x @ w[:-1] + w[-1]) - y) * weight / total
-        w = adam.step(w, np.append(x.T @ r + l2 * w[:-1], r.sum()))
+        r = (sigmoid(x @ w[:-1].astype(x.dtype) + w[-1]) - y) * weight / total
+        w = adam.step(w, np.append(r.astype(x.dtype) @ x + l2 * w[:-1], r.sum()))
     return w
 
 

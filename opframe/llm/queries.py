@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
-from . import cotrain, decontaminate, lm, pieces, quality_rules, repair, sharding, simhash, toxicity
+import corpus_pipeline
+
+from . import cotrain, decontaminate, licences, lm, pieces, quality_rules, repair, sharding, simhash, toxicity
 
 QUERIES = {
+    "pipeline": corpus_pipeline.run,
     "op1_suffix_array_pieces": pieces.query,
     "op2_decontaminate": decontaminate.query,
     "op3_simhash": simhash.query,
@@ -14,6 +17,7 @@ QUERIES = {
     "op7_best_fit_shards": sharding.query,
     "op8_repair_ids": repair.query,
     "op9_cotrain_quality": cotrain.query,
+    "op10_licence_paragraphs": licences.query,
 }
 
 ORACLES: dict[str, str] = {

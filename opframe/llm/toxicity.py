@@ -38,18 +38,17 @@ def nnpu(x_p: np.ndarray, x_u: np.ndarray, prior: float, l2: float = 2e-4, steps
     n_p, n_u = max(len(x_p), 1), max(len(x_u), 1)
     w, adam = np.zeros(x_u.shape[1] + 1), Adam(x_u.shape[1] + 1, rate)
     w[-1] = np.log(prior / (1 - prior))
-    best = w
     for _ in range(steps):
-        f_p, f_u = x_p @ w[:-1] + w[-1], x_u @ w[:-1] + w[-1]
+        near = w[:-1].astype(x_u.dtype)
+        f_p, f_u = x_p @ near + w[-1], x_u @ near + w[-1]
         negative = np.logaddexp(0, f_u).sum() / n_u - prior * np.logaddexp(0, f_p).sum() / n_p
         d_u, d_p = sigmoid(f_u) / n_u, -prior * sigmoid(f_p) / n_p
         if negative >= -slack:
             d_p = d_p + prior * (sigmoid(f_p) - 1) / n_p
         else:
             d_u, d_p = -d_u, -d_p
-        w = adam.step(w, np.append(x_p.T @ d_p + x_u.T @ d_u + l2 * w[:-1], d_p.sum() + d_u.sum()))
-        best = w
-    return best
+        w = adam.step(w, np.append(d_p.astype(x_p.dtype) @ x_p + d_u.astype(x_u.dtype) @ x_u + l2 * w[:-1], d_p.sum() + d_u.sum()))
+    return w
 
 
 def _features(docs: DataFrame) -> DataFrame:
@@ -89,23 +88,23 @@ def train(docs: DataFrame, labels: DataFrame, prior: float | None = None) -> Mod
     return Model(chosen, np.append(w[:-1], 0.0), float(w[-1]))
 
 
-def score(docs: DataFrame, model: Model) -> DataFrame:
-    """``docs`` with a column score (0 to 1; higher: toxic likelier) from the text alone.
+def score(docs: DataFrame, model: Model, column: str = "score") -> DataFrame:
+    """``docs`` with a column of scores (0 to 1; higher: toxic likelier) from the text alone.
 
     Null and empty texts get the score of a text without features. Rows are kept one by one,
-    repeated rows too; every text is read whole. A column named score is replaced.
+    repeated rows too; every text is read whole. A column of the same name is replaced.
     """
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    base = docs.drop("score")
+    base = docs.drop(column)
     at = base.columns.index("text")
-    schema = base.withColumn("score", F.lit(0.0)).schema
+    schema = base.withColumn(column, F.lit(0.0)).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for b in pieces(batches, "text"):
             raw, off, _ = buffers(b.column(at))
             total = m.chosen.sums(*text_buckets(raw, off, GRAM, True), b.num_rows, m.weight)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(sigmoid(total + m.bias))], [*b.schema.names, "score"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(sigmoid(total + m.bias))], [*b.schema.names, column])
 
     return base.mapInArrow(run, schema)
 
