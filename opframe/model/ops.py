@@ -43,7 +43,7 @@ class Op:
 
     def creates(self) -> set[str]:
         """IDs that exist only after the operation."""
-        if self.kind in ("insert_elem", "append_elem", "insert_field", "append_field", "wrap_record"):
+        if self.kind in ("insert_elem", "append_elem", "insert_field", "append_field"):
             return {self.ids[0]}
         return set()
 
