@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Text bytes that a Python worker looks at in one numpy pass.
-PIECE_BYTES = 4 << 20
+PIECE_BYTES = 3 << 20
 
 _made: list[tuple[SparkSession, str]] = []
 

@@ -26,8 +26,8 @@ from pyspark.sql import functions as F
 
 from .common import SPACE_TABLE, buffers, doc_bucket, hash_words, materialise, pieces, ragged, words
 
-#: Largest n-gram table, text bytes of a chunk, one training text in DELETED is left out for the weights.
-TABLE, CHUNK_BYTES, DELETED = 1_000_000, 4 << 20, 12
+#: Largest n-gram table, text bytes of a chunk and of a numpy pass, tokens of a pass; one training text in DELETED is left out for the weights.
+TABLE, CHUNK_BYTES, PASS_BYTES, PASS_TOKENS, DELETED = 1_000_000, 12 << 20, 2 << 20, 1 << 18, 12
 #: Hash of the end token; buckets of context frequency; steps of expectation-maximisation.
 END, BUCKETS, EM_STEPS = -1, 12, 40
 ESTIMATE, HELD, TEST = 0, 1, 2
@@ -47,7 +47,37 @@ def chunks(docs: DataFrame) -> DataFrame:
         from pyspark import TaskContext
 
         part, seq = TaskContext.get().partitionId(), 0
-        for b in pieces(batches, "text", CHUNK_BYTES):
+        open_: dict[bool, list] = {False: [], True: []}
+        size_of = {False: 0, True: 0}
+
+        def close(held: bool) -> pa.RecordBatch:
+            ids, sizes, roles, tokens = zip(*open_[held], strict=True)
+            open_[held], size_of[held] = [], 0
+            sizes, roles = np.concatenate(sizes), np.concatenate(roles)
+            coded = pa.array(np.concatenate(tokens)).dictionary_encode()
+            local, names = np.asarray(coded.indices), np.asarray(coded.dictionary)
+            # numbers by falling frequency, so that the high bytes are nearly all zero
+            order = np.argsort(-np.bincount(local, minlength=len(names)), kind="stable")
+            number = np.empty(len(names), "<u4")
+            number[order] = np.arange(len(names))
+            local, names = number[local], names[order]
+            count = np.bincount(local[np.repeat(roles != TEST, sizes)], minlength=len(names))
+            planes = np.ascontiguousarray(local.view(np.uint8).reshape(-1, 4).T)
+            return pa.RecordBatch.from_arrays(
+                [
+                    pa.array([part << 32 | seq], pa.int64()),
+                    pa.array([held]),
+                    pa.array([pa.concat_arrays(ids)], pa.list_(ids[0].type)),
+                    pa.array([sizes.astype(np.int32)], pa.list_(pa.int32())),
+                    pa.array([roles.astype(np.int32)], pa.list_(pa.int32())),
+                    pa.array([pa.compress(planes.tobytes(), "zstd", asbytes=True)], pa.binary()),
+                    pa.array([names], pa.list_(pa.int64())),
+                    pa.array([count.astype(np.int64)], pa.list_(pa.int64())),
+                ],
+                ["chunk", "held", "doc_ids", "sizes", "roles", "tokens", "words", "counts"],
+            )
+
+        for b in pieces(batches, "text", PASS_BYTES):
             raw, off, _ = buffers(b.column(1))
             low, starts, ends, bound = words(raw, off, SPACE_TABLE)
             h = hash_words(low, starts, ends).view(np.int64)
@@ -60,23 +90,14 @@ def chunks(docs: DataFrame) -> DataFrame:
                 size = n[rows] + 1
                 every = np.full(int(size.sum()), END, np.int64)
                 every[ragged(np.cumsum(size) - size, n[rows])] = h[ragged(bound[rows], n[rows])]
-                coded = pa.array(every).dictionary_encode()
-                local, names = np.asarray(coded.indices), np.asarray(coded.dictionary)
-                learnt = np.repeat(role[rows] != TEST, size)
-                count = np.bincount(local[learnt], minlength=len(names))
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array([part << 32 | seq], pa.int64()),
-                        pa.array([held]),
-                        pa.array([b.column(0).take(pa.array(rows))], pa.list_(b.column(0).type)),
-                        pa.array([size.astype(np.int32)], pa.list_(pa.int32())),
-                        pa.array([role[rows].astype(np.int32)], pa.list_(pa.int32())),
-                        pa.array([local.astype("<u4").tobytes()], pa.binary()),
-                        pa.array([names], pa.list_(pa.int64())),
-                        pa.array([count.astype(np.int64)], pa.list_(pa.int64())),
-                    ],
-                    ["chunk", "held", "doc_ids", "sizes", "roles", "tokens", "words", "counts"],
-                )
+                open_[held].append((b.column(0).take(pa.array(rows)), size, role[rows], every))
+                size_of[held] += int((off[rows + 1] - off[rows]).sum())
+                if size_of[held] >= CHUNK_BYTES:
+                    yield close(held)
+                    seq += 1
+        for held in (False, True):
+            if open_[held]:
+                yield close(held)
                 seq += 1
 
     return docs.select("doc_id", "text", "role").mapInArrow(
@@ -88,8 +109,17 @@ def _row(b: pa.RecordBatch, k: int, name: str) -> np.ndarray:
     return np.asarray(b.column(b.schema.get_field_index(name))[k].values)
 
 
-def _tokens(b: pa.RecordBatch, k: int) -> np.ndarray:
-    return np.frombuffer(b.column(b.schema.get_field_index("tokens"))[k].as_buffer(), "<u4").astype(np.int64)
+def _passes(b: pa.RecordBatch, k: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """(first text, end, word numbers, tokens of each text) of runs of whole texts of a chunk."""
+    sizes = _row(b, k, "sizes").astype(np.int64)
+    packed = b.column(b.schema.get_field_index("tokens"))[k].as_py()
+    planes = np.frombuffer(pa.decompress(packed, 4 * int(sizes.sum()), "zstd", asbytes=True), np.uint8).reshape(4, -1)
+    local = np.ascontiguousarray(planes.T).view("<u4").ravel()
+    edge, at = np.concatenate([[0], np.cumsum(sizes)]), 0
+    while at < len(sizes):
+        to = max(at + 1, int(np.searchsorted(edge, edge[at] + PASS_TOKENS, "right")) - 1)
+        yield at, to, local[edge[at] : edge[to]].astype(np.int64), sizes[at:to]
+        at = to
 
 
 class Classes:
@@ -97,22 +127,25 @@ class Classes:
 
     def __init__(self, top: np.ndarray, order: int) -> None:
         self.order = order
-        self.sets = {n: np.sort(top[: classes_for(n)]) for n in range(2, order + 1)}
+        self.sorted, self.rank_of = np.sort(top), np.argsort(top)
 
-    def of(self, names: np.ndarray, n: int) -> np.ndarray:
-        """Class of each word hash for n-grams of order n."""
-        own = self.sets[n]
-        if not len(own):
-            return np.ones(len(names), np.int64)
-        at = np.minimum(np.searchsorted(own, names), len(own) - 1)
-        return np.where(own[at] == names, at + 2, 1)
+    def ranks(self, names: np.ndarray) -> np.ndarray:
+        """Place of each word hash among the most frequent words, or -1."""
+        if not len(self.sorted):
+            return np.full(len(names), -1)
+        at = np.minimum(np.searchsorted(self.sorted, names), len(self.sorted) - 1)
+        return np.where(self.sorted[at] == names, self.rank_of[at], -1)
+
+    def of(self, rank: np.ndarray, n: int) -> np.ndarray:
+        """Class of words, given their ranks, for n-grams of order n."""
+        return np.where((rank >= 0) & (rank < classes_for(n)), rank + 2, 1)
 
     def radix(self, n: int) -> int:
         return classes_for(n) + 2
 
-    def keys(self, local: np.ndarray, names: np.ndarray, sizes: np.ndarray, n: int) -> np.ndarray:
+    def keys(self, local: np.ndarray, rank: np.ndarray, sizes: np.ndarray, n: int) -> np.ndarray:
         """n-gram key of each token; the class of the token is the key modulo the radix."""
-        c = self.of(names, n)[local]
+        c = self.of(rank, n)[local]
         place = np.arange(len(c)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
         key = c.copy()
         for back in range(1, n):
@@ -132,11 +165,12 @@ def _gram_tables(made: DataFrame, classes: Classes) -> dict[int, tuple[np.ndarra
         sums = {n: np.zeros((2, c.radix(n) ** n), np.int64) for n in range(2, c.order + 1)}
         for b in batches:
             for k in range(b.num_rows):
-                sizes, roles, local, names = _row(b, k, "sizes"), _row(b, k, "roles"), _tokens(b, k), _row(b, k, "words")
-                learnt = np.repeat(roles != TEST, sizes)
-                row = int((roles == HELD).all() and len(roles) > 0)
-                for n, table in sums.items():
-                    table[row] += np.bincount(c.keys(local, names, sizes, n)[learnt], minlength=table.shape[1])
+                roles, rank = _row(b, k, "roles"), c.ranks(_row(b, k, "words"))
+                row = int((roles == HELD).all())
+                for at, to, local, sizes in _passes(b, k):
+                    learnt = np.repeat(roles[at:to] != TEST, sizes)
+                    for n, table in sums.items():
+                        table[row] += np.bincount(c.keys(local, rank, sizes, n)[learnt], minlength=table.shape[1])
         for n, table in sums.items():
             at = np.flatnonzero(table.any(axis=0))
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), n, np.int32)), pa.array(at), pa.array(table[0][at]), pa.array(table[1][at])], ["n", "key", "e", "h"])
@@ -158,15 +192,12 @@ def _gram_tables(made: DataFrame, classes: Classes) -> dict[int, tuple[np.ndarra
 class Estimates:
     """Maximum-likelihood estimates of one set of counts."""
 
-    def __init__(self, classes: Classes, tables: dict[int, np.ndarray], total: int, types: int, own: np.ndarray, own_count: np.ndarray) -> None:
+    def __init__(self, classes: Classes, tables: dict[int, np.ndarray], total: int, types: int, own_count: np.ndarray) -> None:
         self.classes, self.tables, self.total, self.types = classes, tables, total, types
         self.context = {n: t.reshape(-1, classes.radix(n)).sum(1) for n, t in tables.items()}
-        self.rest = {}
-        for n, s in classes.sets.items():
-            at = np.isin(own, s)
-            self.rest[n] = total - int(own_count[at].sum())
+        self.rest = {n: total - int(own_count[: classes_for(n)].sum()) for n in tables}
 
-    def parts(self, local: np.ndarray, names: np.ndarray, sizes: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def parts(self, local: np.ndarray, rank: np.ndarray, sizes: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """((tokens, order + 1) probabilities: uniform, unigram, bigram ...; bucket of the longest context)."""
         out = np.zeros((len(local), self.classes.order + 1))
         out[:, 0] = 1 / (self.types + 1)
@@ -174,7 +205,7 @@ class Estimates:
         out[:, 1] = c / max(self.total, 1)
         bucket = np.zeros(len(local), np.int64)
         for n, table in self.tables.items():
-            key = self.classes.keys(local, names, sizes, n)
+            key = self.classes.keys(local, rank, sizes, n)
             context = self.context[n][key // self.classes.radix(n)]
             share = np.where(key % self.classes.radix(n) == 1, c / max(self.rest[n], 1), 1.0)
             out[:, n] = table[key] / np.maximum(context, 1) * np.minimum(share, 1.0)
@@ -194,23 +225,31 @@ def expectation_maximisation(parts: np.ndarray, bucket: np.ndarray, weight: np.n
     return lam
 
 
-def _with_counts(made: DataFrame, counts: DataFrame, columns: list[str]) -> DataFrame:
-    """Chunk rows with ``at`` (numbers of the chunk's words) and ``got`` (their counts in ``counts``)."""
+def _with_counts(made: DataFrame, counts: DataFrame, top: DataFrame, columns: list[str]) -> DataFrame:
+    """Chunk rows with ``at`` (numbers of the chunk's words), ``got`` (their counts) and ``rank`` (place in ``top`` or -1).
+
+    The most frequent words, which every chunk has, are looked up in the broadcast ``top``
+    (classes_for(2) rows at most); only the others are joined by shuffle.
+    """
     each = made.select("chunk", F.posexplode("words").alias("at", "word"))
+    frequent = each.join(F.broadcast(top), "word").select("chunk", "at", "n", "rank")
+    others = each.join(F.broadcast(top.select("word")), "word", "left_anti").join(counts, "word").select("chunk", "at", "n", F.lit(-1).alias("rank"))
     # a chunk's words are bounded by its bytes, so the lists are too
-    lists = each.join(counts, "word").groupBy("chunk").agg(F.collect_list(F.struct("at", "n")).alias("l"))
-    return made.join(lists, "chunk", "left").select(*columns, F.col("l.at").alias("at"), F.col("l.n").alias("got"))
+    lists = frequent.unionByName(others).groupBy("chunk").agg(F.collect_list(F.struct("at", "n", "rank")).alias("l"))
+    return made.join(lists, "chunk", "left").select(*columns, F.col("l.at").alias("at"), F.col("l.n").alias("got"), F.col("l.rank").alias("rank"))
 
 
-def _local_counts(b: pa.RecordBatch, k: int, n: int) -> np.ndarray:
-    out = np.zeros(n, np.int64)
-    i = b.schema.get_field_index("at")
-    if b.column(i)[k].is_valid:
-        out[_row(b, k, "at")] = _row(b, k, "got")
-    return out
+def _local(b: pa.RecordBatch, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """Counts and ranks by the chunk's word numbers."""
+    n = b.column(b.schema.get_field_index("types"))[k].as_py()
+    count, rank = np.zeros(n, np.int64), np.full(n, -1)
+    if b.column(b.schema.get_field_index("at"))[k].is_valid:
+        at = _row(b, k, "at")
+        count[at], rank[at] = _row(b, k, "got"), _row(b, k, "rank")
+    return count, rank
 
 
-def _held_events(made: DataFrame, counts: DataFrame, model: Estimates) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _held_events(made: DataFrame, counts: DataFrame, top: DataFrame, model: Estimates) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(parts, bucket, weight) of held-out tokens, on a grid of log-probabilities whose size is fixed."""
     shared = made.sparkSession.sparkContext.broadcast(model)
     order = model.classes.order
@@ -219,16 +258,17 @@ def _held_events(made: DataFrame, counts: DataFrame, model: Estimates) -> tuple[
         m = shared.value
         for b in batches:
             for k in range(b.num_rows):
-                names = _row(b, k, "words")
-                parts, bucket = m.parts(_tokens(b, k), names, _row(b, k, "sizes"), _local_counts(b, k, len(names)))
-                grid = np.where(parts > 0, np.clip(np.round(-np.log2(np.maximum(parts, 1e-30)) * _GRID), 0, 254), 255).astype(np.int64)
-                cell = bucket
-                for i in range(1, order + 1):
-                    cell = cell * 256 + grid[:, i]
-                cells, n = np.unique(cell, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(n)], ["cell", "n"])
-
-    held = _with_counts(made.where("held"), counts, ["words", "tokens", "sizes"])
+                count, rank = _local(b, k)
+                for _, _, local, sizes in _passes(b, k):
+                    parts, bucket = m.parts(local, rank, sizes, count)
+                    grid = np.where(parts > 0, np.clip(np.round(-np.log2(np.maximum(parts, 1e-30)) * _GRID), 0, 254), 255).astype(np.int64)
+                    cell = bucket
+                    for i in range(1, order + 1):
+                        cell = cell * 256 + grid[:, i]
+                    cells, n = np.unique(cell, return_counts=True)
+                    yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(n)], ["cell", "n"])
+
+    held = _with_counts(made.where("held"), counts, top, ["tokens", "sizes", F.size("words").alias("types")])
     got = held.mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
     cell = np.asarray(got.column("cell").combine_chunks() if got.num_rows else [], np.int64)
     weight = np.asarray(got.column("n").combine_chunks() if got.num_rows else [], float)
@@ -260,13 +300,16 @@ def score(docs: DataFrame, learn, order: int = 3) -> DataFrame:
     )
     counts = materialise(counts, "counts")
     total, types, e_total, e_types = (x or 0 for x in counts.agg(F.sum("n"), F.count(F.lit(1)), F.sum("e"), F.count(F.when(F.col("e") > 0, 1))).first())
-    top = counts.orderBy(F.desc("n"), "word").limit(classes_for(2)).collect()
-    own = np.array([r["word"] for r in top], np.int64)
-    classes = Classes(own, order)
+    frequent = counts.orderBy(F.desc("n"), "word").limit(classes_for(2)).collect()
+    classes = Classes(np.array([r["word"] for r in frequent], np.int64), order)
     tables = _gram_tables(made, classes)
-    small = Estimates(classes, {n: t[0] for n, t in tables.items()}, e_total, e_types, own, np.array([r["e"] for r in top], np.int64))
-    full = Estimates(classes, {n: t[1] for n, t in tables.items()}, total, types, own, np.array([r["n"] for r in top], np.int64))
-    lam = expectation_maximisation(*_held_events(made, counts.select("word", F.col("e").alias("n")).where("n > 0"), small))
+    small = Estimates(classes, {n: t[0] for n, t in tables.items()}, e_total, e_types, np.array([r["e"] for r in frequent], np.int64))
+    full = Estimates(classes, {n: t[1] for n, t in tables.items()}, total, types, np.array([r["n"] for r in frequent], np.int64))
+
+    def top(column: str) -> DataFrame:
+        return spark.createDataFrame([(r["word"], r[column], i) for i, r in enumerate(frequent)], "word bigint, n bigint, rank int")
+
+    lam = expectation_maximisation(*_held_events(made, counts.select("word", F.col("e").alias("n")).where("n > 0"), top("e"), small))
     shared = spark.sparkContext.broadcast((full, lam))
     kind = docs.schema["doc_id"].dataType.simpleString()
 
@@ -274,27 +317,27 @@ def score(docs: DataFrame, learn, order: int = 3) -> DataFrame:
         m, lam = shared.value
         for b in batches:
             for k in range(b.num_rows):
-                names, sizes, local = _row(b, k, "words"), _row(b, k, "sizes").astype(np.int64), _tokens(b, k)
-                count = _local_counts(b, k, len(names))
-                parts, bucket = m.parts(local, names, sizes, count)
-                base = np.log10((count + 0.5) / (m.total + 0.5 * (m.types + 1)))[local]
-                mixed = np.log10((parts * lam[bucket]).sum(1))
-                seg = np.cumsum(sizes) - sizes
-                n = len(sizes)
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        b.column(b.schema.get_field_index("doc_ids"))[k].values,
-                        pa.array(_row(b, k, "roles") != TEST),
-                        pa.array(sizes),
-                        pa.array(np.add.reduceat((count > 0)[local].astype(np.int64), seg)),
-                        pa.array(np.full(n, m.total, np.int64)),
-                        pa.array(np.add.reduceat(base, seg)),
-                        pa.array(np.add.reduceat(mixed, seg)),
-                    ],
-                    ["doc_id", "learnt", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
-                )
-
-    joined = _with_counts(made, counts.select("word", "n"), ["words", "tokens", "sizes", "roles", "doc_ids"])
+                count, rank = _local(b, k)
+                base = np.log10((count + 0.5) / (m.total + 0.5 * (m.types + 1)))
+                ids, roles = b.column(b.schema.get_field_index("doc_ids"))[k].values, _row(b, k, "roles")
+                for at, to, local, sizes in _passes(b, k):
+                    parts, bucket = m.parts(local, rank, sizes, count)
+                    mixed = np.log10((parts * lam[bucket]).sum(1))
+                    seg = np.cumsum(sizes) - sizes
+                    yield pa.RecordBatch.from_arrays(
+                        [
+                            ids[at:to],
+                            pa.array(roles[at:to] != TEST),
+                            pa.array(sizes),
+                            pa.array(np.add.reduceat((count > 0)[local].astype(np.int64), seg)),
+                            pa.array(np.full(to - at, m.total, np.int64)),
+                            pa.array(np.add.reduceat(base[local], seg)),
+                            pa.array(np.add.reduceat(mixed, seg)),
+                        ],
+                        ["doc_id", "learnt", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
+                    )
+
+    joined = _with_counts(made, counts.select("word", "n"), top("n"), ["tokens", "sizes", "roles", "doc_ids", F.size("words").alias("types")])
     return joined.mapInArrow(run, f"doc_id {kind}, learnt boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double")
 
 
