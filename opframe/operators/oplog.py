@@ -316,8 +316,9 @@ def undo_overridden(ops: DataFrame, chosen: Column) -> DataFrame:
     """Chosen writes whose undoing has no effect because a kept later write overrides them."""
     picked = ops.withColumn("__undo", chosen)
     last = picked.where(~F.col("__undo")).groupBy(*CELL).agg(F.max("seq").alias("kept"))
-    on = [picked[c].eqNullSafe(last[c]) for c in CELL]
-    return picked.where("__undo").join(last, on, "left_semi") if False else picked.where("__undo").join(last, on, "left").where(F.col("kept") > F.col("seq")).select(*[picked[c] for c in ops.columns])
+    mine = picked.where("__undo")
+    on = [mine[c].eqNullSafe(last[c]) for c in CELL]
+    return mine.join(last, [*on, F.col("kept") > F.col("seq")], "left_semi").select(*ops.columns)
 
 
 def common_prefix(a: DataFrame, b: DataFrame) -> int:
