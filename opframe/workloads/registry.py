@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from . import acme
+from . import acme, events, todo
 
-MODULES = (acme,)
+MODULES = (acme, todo, events)
 QUERIES = {k: v for m in MODULES for k, v in m.QUERIES.items()}
 ORACLES = {k: v for m in MODULES for k, v in m.ORACLES.items()}
