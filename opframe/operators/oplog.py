@@ -63,7 +63,7 @@ def replay(db: Database, ops: DataFrame, tables: list[str] | None = None) -> Dat
     for name in tables or list(db.tables):
         r = db[name]
         mine = ops.where(F.col("list_key") == name)
-        new = mine.where("kind in ('insert_elem', 'append_elem')")
+        new = mine.where("kind in ('insert_elem', 'append_elem') and fid is null")
         keys = order_keys(new, r)
         header = keys.select(EID, ORD, F.lit(False).alias(DEAD), *r.header_row())
         rows = r.select().unionByName(header.select(*r.select().columns))
@@ -71,7 +71,7 @@ def replay(db: Database, ops: DataFrame, tables: list[str] | None = None) -> Dat
         nested = [f for f in r.fields if isinstance(f.type, ListT)]
         writes = last_writers(mine.where(F.col("sub").isNull()))
         cells = [F.max(F.when(F.col("fid") == fid, F.struct(F.col("op_id").alias("o"), value_of(t).alias("v")))).alias(f"__{fid}") for fid, t in plain.items() if fid in r.stored()]
-        dead = mine.where("kind in ('drop_elem', 'restore_elem')").groupBy("eid").agg((F.max_by("kind", "seq") == "drop_elem").alias("__drop"))
+        dead = mine.where("kind in ('drop_elem', 'restore_elem') and fid is null").groupBy(F.col("arg_eid").alias("eid")).agg((F.max_by("kind", "seq") == "drop_elem").alias("__drop"))
         patched = rows
         if cells:
             patch = writes.groupBy(F.col("eid").alias("__p")).agg(*cells)
