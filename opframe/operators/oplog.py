@@ -342,9 +342,28 @@ def simplify(ops: DataFrame) -> DataFrame:
 
 
 def dependencies(ops: DataFrame) -> DataFrame:
-    """(op_id, dep_id): an operation needs the earlier one that made an element it mentions."""
-    makers = ops.where("kind in ('insert_elem', 'append_elem')").select(F.col("arg_eid").alias("id"), F.col("op_id").alias("dep_id"), F.col("seq").alias("made"))
-    uses = ops.select("op_id", "seq", F.explode(F.array_compact(F.array("eid", "sub", "anchor", F.when(F.col("kind") == "set_link", F.col("val_s")), F.when(F.col("kind") == "drop_elem", F.col("arg_eid"))))).alias("id"))
+    """(op_id, dep_id): an operation needs the earlier one that made an element it mentions.
+
+    IDs of elements of nested lists hold within their row, so they are met together with it.
+    """
+
+    def scoped(e: Column) -> Column:
+        return F.concat_ws("/", "list_key", F.when(F.col("fid").isNotNull(), F.col("eid")), e)
+
+    def top(e: Column) -> Column:
+        return F.concat_ws("/", "list_key", e)
+
+    made = F.col("kind").isin("insert_elem", "append_elem")
+    makers = ops.where(made).select(scoped(F.col("arg_eid")).alias("id"), F.col("op_id").alias("dep_id"), F.col("seq").alias("made"))
+    mentioned = F.array_compact(
+        F.array(
+            F.when(F.col("eid").isNotNull(), top(F.col("eid"))),
+            F.when(F.col("sub").isNotNull(), scoped(F.col("sub"))),
+            F.when(F.col("anchor").isNotNull(), scoped(F.col("anchor"))),
+            F.when(F.col("kind") == "drop_elem", scoped(F.col("arg_eid"))),
+        )
+    )
+    uses = ops.select("op_id", "seq", F.explode(mentioned).alias("id"))
     return uses.join(makers, "id").where("made < seq").select("op_id", "dep_id").distinct()
 
 

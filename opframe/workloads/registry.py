@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from . import acme, events, structure, todo
+from . import acme, events, structure, surface, todo
 
-MODULES = (acme, todo, events, structure)
+MODULES = (acme, todo, events, structure, surface)
 QUERIES = {k: v for m in MODULES for k, v in m.QUERIES.items()}
 ORACLES = {k: v for m in MODULES for k, v in m.ORACLES.items()}

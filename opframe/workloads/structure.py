@@ -90,7 +90,7 @@ def _turn_edits(c):
     own = at(F.col("turn"))
     xs = oplog.log(c.where("turn % 2 = 0"), "insert_elem", "turns", seq=F.col("conv_id") * 100 + F.col("turn"), arg_eid=F.concat(own, F.lit("x")), anchor=own)
     ys = oplog.log(c.where("turn % 2 = 0"), "insert_elem", "turns", seq=F.col("conv_id") * 100 + F.col("turn") + 50, arg_eid=F.concat(own, F.lit("y")), anchor=F.concat(own, F.lit("x")))
-    zs = oplog.log(c.where("turn = 3"), "insert_elem", "turns", seq=F.col("conv_id") * 100 + F.col("turn"), arg_eid=F.concat(own, F.lit("z")), anchor=own)
+    zs = oplog.log(c.where("turn = 3"), "insert_elem", "turns", seq=F.col("conv_id") * 100 + 1, arg_eid=F.concat(own, F.lit("z")), anchor=own)
     drop = oplog.log(c.where("turn = 2"), "drop_elem", "turns", seq=F.col("conv_id") * 100 + 99, arg_eid=own)
     return xs.unionByName(ys).unionByName(zs), drop
 
