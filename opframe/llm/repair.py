@@ -13,7 +13,6 @@ file system that Spark reaches); ``payload`` is a binary record of the layout in
 
 from __future__ import annotations
 
-import re
 import struct
 import zlib
 from collections.abc import Iterator
@@ -21,6 +20,7 @@ from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -28,12 +28,14 @@ from pyspark.sql import functions as F
 from .common import materialise, pieces, ragged, scratch_dir
 
 #: Ids after which a shard is closed; a longer document is a shard of its own.
-SHARD_IDS = 1 << 19
+SHARD_IDS = 1 << 20
 #: Rounds of pair replacement, pairs replaced in one round, and the least count of a replaced pair.
 ROUNDS, PAIRS_A_ROUND, LEAST_COUNT = 4, 4096, 16
+#: Hash slots in which pairs are counted.
+SLOTS = 1 << 18
 MAGIC = b"RPID1\0\0\0"
 #: Distinct words kept encoded by a worker; past it the table starts anew (results do not depend on it).
-CACHE_WORDS = 600_000
+CACHE_WORDS = 500_000
 
 
 def _byte_alphabet() -> str:
@@ -43,8 +45,8 @@ def _byte_alphabet() -> str:
     return "".join(chr(b) if b in own else chr(next(others)) for b in range(256))
 
 
-#: Characters that are letters of Latin scripts or ASCII: normal form C leaves them alone and each is lowered by itself.
-_LATIN = re.compile(r"[\x00-\u024F\u1E00-\u1EFF]*")
+#: Words of these characters only are in normal form C, and each character is lowered by itself to one other.
+_LATIN = r"^[\x00-\x{12F}\x{131}-\x{24F}\x{1E00}-\x{1EFF}]+$"
 _MARKS = ".,;:!?"
 
 
@@ -55,7 +57,8 @@ class WordEncoder:
     text are those of its words one after another; nor does it join a letter with the mark that
     follows it. A word of Latin letters, marks after it or not, is therefore lowered, mapped to
     the byte alphabet and given to the library's BPE model; every other word goes through the
-    library's whole pipeline. Tests hold both against the whole pipeline.
+    library's whole pipeline. Words are split, told apart and lowered by Arrow kernels. Tests
+    hold the result against the whole pipeline.
     """
 
     def __init__(self, path: str) -> None:
@@ -66,15 +69,18 @@ class WordEncoder:
         self._clear()
 
     def _clear(self) -> None:
-        self.known: dict[str, int] = {}
         self.parts: dict[str, int] = {}
+        self.others: dict[str, int] = {}
         self.ids = np.zeros(1 << 20, np.uint32)
-        self.used = self.runs = 0
+        self.used = 0
         self.start = np.zeros(1 << 18, np.int64)
         self.len = np.zeros(1 << 18, np.int64)
+        self.runs = 1  # run 0 is empty
 
-    def _store(self, ids: np.ndarray, lens: np.ndarray) -> int:
+    def _store(self, runs: list[list[int]]) -> int:
         """Append runs of ids; the number of the first."""
+        lens = np.fromiter(map(len, runs), np.int64, len(runs))
+        ids = np.fromiter(chain.from_iterable(runs), np.uint32, int(lens.sum()))
         while self.used + len(ids) > len(self.ids):
             self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
         while self.runs + len(lens) > len(self.start):
@@ -88,65 +94,54 @@ class WordEncoder:
         self.runs += len(lens)
         return first
 
-    def _part(self, parts: list[str], letters: bool) -> None:
-        """Encode parts that are not yet known: words of letters by the BPE model, others by the whole pipeline."""
-        if not parts:
-            return
-        if letters:
-            tokenize, alphabet = self.tok.model.tokenize, self.alphabet
-            runs = [[x.id for x in tokenize(w if w.isascii() else "".join([alphabet[c] for c in w.encode()]))] for w in parts]
-        else:
-            runs = [e.ids for e in self.tok.encode_batch(parts, add_special_tokens=False)]
-        lens = np.fromiter(map(len, runs), np.int64, len(runs))
-        first = self._store(np.fromiter(chain.from_iterable(runs), np.uint32, int(lens.sum())), lens)
-        self.parts.update(zip(parts, range(first, first + len(parts)), strict=True))
-
-    def _add(self, fresh: list[str]) -> None:
-        whole: list[str] = []
-        cut: list[tuple[str, str, str]] = []
-        for w in fresh:
-            core = w.rstrip(_MARKS)
-            if core.isalpha() and (core.isascii() or _LATIN.fullmatch(core)):
-                low = core.lower()
-                if low.isalpha():
-                    cut.append((w, low, w[len(core) :]))
-                    continue
-            whole.append(w)
-        parts = self.parts
-        self._part(list(dict.fromkeys(c for _, c, _ in cut if c not in parts)), True)
-        self._part(list(dict.fromkeys([*(m for _, _, m in cut if m not in parts), *(w for w in whole if w not in parts)])), False)
-        known = self.known
-        for w in whole:
-            known[w] = parts[w]
-        for w, c, m in cut:
-            if not m:
-                known[w] = parts[c]
-        two = [x for x in cut if x[2]]
-        if two:
-            a = np.fromiter((parts[c] for _, c, _ in two), np.int64, len(two))
-            b = np.fromiter((parts[m] for _, _, m in two), np.int64, len(two))
-            pair = np.stack([a, b], axis=1).ravel()
-            first = self._store(self.ids[ragged(self.start[pair], self.len[pair])], self.len[a] + self.len[b])
-            known.update(zip((w for w, _, _ in two), range(first, first + len(two)), strict=True))
-
-    def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+    def _numbers(self, names: list[str], table: dict[str, int], letters: bool) -> np.ndarray:
+        """Run number of each of the distinct names; unknown ones are encoded."""
+        got = np.fromiter(map(table.get, names, repeat(-1)), np.int64, len(names))
+        missing = np.flatnonzero(got < 0)
+        if len(missing):
+            fresh = [names[i] for i in missing.tolist()]
+            if letters:
+                tokenize, alphabet = self.tok.model.tokenize, self.alphabet
+                runs = [[x.id for x in tokenize(w if w.isascii() else "".join([alphabet[c] for c in w.encode()]))] for w in fresh]
+            else:
+                runs = [e.ids for e in self.tok.encode_batch(fresh, add_special_tokens=False)]
+            first = self._store(runs)
+            got[missing] = np.arange(first, first + len(fresh))
+            table.update(zip(fresh, range(first, first + len(fresh)), strict=True))
+        return got
+
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts, how many each has)."""
-        if len(self.known) > CACHE_WORDS:
+        if len(self.parts) + len(self.others) > CACHE_WORDS:
             self._clear()
-        every: list[str] = []
-        seg = [0]
-        for t in texts:
-            every += (t or "").replace("\n", " ").replace("\t", " ").split(" ")
-            seg.append(len(every))
-        which = np.fromiter(map(self.known.get, every, repeat(-1)), np.int64, len(every))
-        missing = np.flatnonzero(which < 0)
-        if len(missing):
-            absent = [every[i] for i in missing.tolist()]
-            self._add(list(dict.fromkeys(absent)))
-            which[missing] = np.fromiter(map(self.known.__getitem__, absent), np.int64, len(absent))
-        lens = self.len[which]
+        plain = pc.replace_substring(pc.replace_substring(pc.fill_null(texts, ""), "\n", " "), "\t", " ")
+        lists = pc.split_pattern(plain, " ")
+        coded = lists.flatten().dictionary_encode()
+        uniq = coded.dictionary
+        core = pc.utf8_rtrim(uniq, characters=_MARKS)
+        good = np.asarray(pc.and_(pc.utf8_is_alpha(core), pc.match_substring_regex(core, _LATIN)))
+        first, second = np.zeros(len(uniq), np.int64), np.zeros(len(uniq), np.int64)
+        at = np.flatnonzero(good)
+        if len(at):
+            low = pc.utf8_lower(core.take(pa.array(at))).dictionary_encode()
+            first[at] = self._numbers(low.dictionary.to_pylist(), self.parts, True)[np.asarray(low.indices)]
+            extra = np.asarray(pc.subtract(pc.binary_length(uniq), pc.binary_length(core)))
+            tailed = np.flatnonzero(good & (extra > 0))
+            tails = [w[-k:] for w, k in zip(uniq.take(pa.array(tailed)).to_pylist(), extra[tailed].tolist(), strict=True)]
+            kinds = list(dict.fromkeys(tails))
+            which = dict(zip(kinds, self._numbers(kinds, self.others, False).tolist(), strict=True))
+            second[tailed] = np.fromiter(map(which.__getitem__, tails), np.int64, len(tails))
+        rest = np.flatnonzero(~good)
+        if len(rest):
+            first[rest] = self._numbers(uniq.take(pa.array(rest)).to_pylist(), self.others, False)
+        pair = np.stack([first, second], axis=1).ravel()
+        flat = self.ids[ragged(self.start[pair], self.len[pair])]
+        size = self.len[first] + self.len[second]
+        token = np.asarray(coded.indices)
+        lens = size[token]
         total = np.concatenate([[0], np.cumsum(lens)])
-        return self.ids[ragged(self.start[which], lens)], np.diff(total[seg])
+        seg = np.concatenate([[0], np.cumsum(np.asarray(lists.value_lengths()))])
+        return flat[ragged((np.cumsum(size) - size)[token], lens)], np.diff(total[seg])
 
 
 _encoders: dict[str, WordEncoder] = {}
@@ -169,23 +164,25 @@ def compress(ids: np.ndarray, terminals: int, rounds: int = ROUNDS) -> tuple[np.
     seq = ids.astype(np.int64)
     rules = np.zeros((0, 2), np.int64)
     size = np.ones(terminals, np.int64)
+    holder = np.zeros(SLOTS, np.int64)
     for _ in range(rounds):
         if len(seq) < 2 * LEAST_COUNT:
             break
         pair = (seq[:-1] << 32) | seq[1:]
-        slot = ((pair * np.int64(0x5851F42D4C957F2D | 1)) >> np.int64(44)) & ((1 << 20) - 1)
-        heavy = np.bincount(slot, minlength=1 << 20) >= LEAST_COUNT
-        at = np.flatnonzero(heavy[slot])
-        keys, counts = np.unique(pair[at], return_counts=True)
-        frequent = counts >= LEAST_COUNT
-        keys, counts = keys[frequent], counts[frequent]
-        if not len(keys):
+        slot = ((pair * np.int64(0x5851F42D4C957F2D)) >> np.int64(44)) & (SLOTS - 1)
+        holder[slot] = pair
+        # a slot stands for the pair it holds; others that hash to it wait for a later round
+        at = np.flatnonzero(holder[slot] == pair)
+        where = slot[at]
+        counts = np.bincount(where, minlength=SLOTS)
+        frequent = np.flatnonzero(counts >= LEAST_COUNT)
+        if not len(frequent):
             break
-        best = keys[np.argsort(-counts, kind="stable")[:PAIRS_A_ROUND]]
-        order = np.sort(best)
-        near = np.minimum(np.searchsorted(order, pair[at]), len(order) - 1)
-        good = order[near] == pair[at]
-        at, rule = at[good], near[good]
+        best = frequent[np.argsort(-counts[frequent], kind="stable")[:PAIRS_A_ROUND]]
+        number = np.full(SLOTS, -1, np.int32)
+        number[best] = np.arange(len(best), dtype=np.int32)
+        order, rule = holder[best], number[where]
+        at, rule = at[rule >= 0], rule[rule >= 0]
         run = np.flatnonzero(np.diff(at, prepend=-9) != 1)
         place = np.arange(len(at)) - np.repeat(run, np.diff(np.append(run, len(at))))
         at, rule = at[place % 2 == 0], rule[place % 2 == 0]
@@ -204,20 +201,25 @@ def compress(ids: np.ndarray, terminals: int, rounds: int = ROUNDS) -> tuple[np.
 
 
 def expand(seq: np.ndarray, rules: np.ndarray, terminals: int) -> np.ndarray:
-    """Undo ``compress``: rules made last are opened first, all at once for each depth."""
-    seq = seq.astype(np.int64)
-    while len(rules):
-        hit = seq >= terminals
-        if not hit.any():
-            break
-        start = np.arange(len(seq)) + np.concatenate([[0], np.cumsum(hit)[:-1]])
-        out = np.empty(len(seq) + int(hit.sum()), np.int64)
-        out[start[~hit]] = seq[~hit]
-        opened = rules[seq[hit] - terminals]
-        out[start[hit]] = opened[:, 0]
-        out[start[hit] + 1] = opened[:, 1]
-        seq = out
-    return seq.astype(np.uint32)
+    """Undo ``compress``: the text of every rule is written out once, in the order the rules were made, then gathered."""
+    size = np.ones(terminals + len(rules), np.int64)
+    start = np.arange(terminals + len(rules), dtype=np.int64)
+    text = [np.arange(terminals, dtype=np.uint32)]
+    done, used = 0, terminals
+    while done < len(rules):
+        # rules up to the first that uses a rule of this same run
+        late = np.flatnonzero(rules[done:].max(axis=1) >= terminals + done)
+        to = done + (int(late[0]) if len(late) else len(rules) - done)
+        pair = rules[done:to]
+        size[terminals + done : terminals + to] = size[pair].sum(axis=1)
+        flat = np.concatenate(text) if len(text) > 1 else text[0]
+        text = [flat, flat[ragged(start[pair.ravel()], size[pair.ravel()])]]
+        own = size[terminals + done : terminals + to]
+        start[terminals + done : terminals + to] = used + np.cumsum(own) - own
+        used += int(own.sum())
+        done = to
+    flat = np.concatenate(text) if len(text) > 1 else text[0]
+    return flat[ragged(start[seq], size[seq])]
 
 
 def pack_shard(seq: np.ndarray, rules: np.ndarray, size: np.ndarray, counts: np.ndarray, terminals: int) -> bytes:
@@ -289,9 +291,9 @@ def write_ids(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2) -> No
                 ["part", "seq", "doc_ids", "n_ids", "payload"],
             )
 
-        for b in pieces(batches, "text", 1 << 20):
+        for b in pieces(batches, "text", 6 << 20):
             id_type = b.column(0).type
-            ids, n = words.encode(b.column(1).to_pylist())
+            ids, n = words.encode(b.column(1))
             out = np.full(len(ids) + len(n), end_id, np.uint32)
             out[ragged(np.concatenate([[0], np.cumsum(n + 1)[:-1]]), n)] = ids
             held.append(out)
