@@ -174,7 +174,7 @@ class Encoder:
         v = self.v
         n = len(code)
         padded = np.concatenate([code, np.zeros(v.depth, np.uint16)]).astype(">u2")
-        suffix = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(padded, v.depth)[:n])
+        suffix = np.lib.stride_tricks.sliding_window_view(padded, v.depth)[:n].copy()
         # what follows a chunk's end does not belong to its suffixes
         suffix[np.cumsum(suffix == 0, axis=1) > 0] = 0
         suffix = suffix.view(f"S{2 * v.depth}").ravel()
