@@ -19,32 +19,26 @@ def maybe_broadcast(df: DataFrame, rows: int) -> DataFrame:
 def components(links: DataFrame) -> DataFrame:
     """(id, root) of every vertex of ``links`` (u long, v long); root is the least id reachable.
 
-    Each round takes the least label among neighbours and then follows labels once
-    (pointer doubling), so rounds grow with the logarithm of a component's diameter.
-    Rounds are written to the shared scratch folder. An empty table gives an empty result.
+    Each round hooks every vertex to its least neighbour, follows hooks once (pointer
+    doubling), and contracts: links between the hooked vertices, each kept once, are the next
+    round's input, so they shrink from round to round. Rounds are written to the shared
+    scratch folder. An empty table gives an empty result.
     """
-    both = materialise(
-        links.where("u <> v").select("u", "v").unionByName(links.where("u <> v").select(F.col("v").alias("u"), F.col("u").alias("v"))), "links"
-    )
-    labels = materialise(
-        both.groupBy(F.col("u").alias("id")).agg(F.min("v").alias("m")).select("id", F.least("id", "m").alias("root")), "labels"
-    )
-    n = labels.count()
-    while n:
-        near = (
-            both.join(maybe_broadcast(labels.select(F.col("id").alias("v"), "root"), n), "v")
-            .groupBy(F.col("u").alias("id"))
-            .agg(F.min("root").alias("m"))
+    edges = materialise(links.where("u <> v").select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct(), "links")
+    found = None
+    while True:
+        least = edges.groupBy(F.col("v").alias("id")).agg(F.min("u").alias("to"))
+        ends = edges.select(F.col("u").alias("id"), F.col("u").alias("to")).distinct()
+        hooks = materialise(least.unionByName(ends).groupBy("id").agg(F.min("to").alias("to")), "hooks")
+        n = hooks.count()
+        if not n:
+            return found if found is not None else hooks.select("id", F.col("to").alias("root"))
+        far = hooks.select(F.col("id").alias("to"), F.col("to").alias("root"))
+        labels = materialise(hooks.join(maybe_broadcast(far, n), "to").select("id", "root"), "labels")
+        found = labels if found is None else materialise(
+            found.join(maybe_broadcast(labels.select(F.col("id").alias("root"), F.col("root").alias("next")), n), "root", "left").select("id", F.coalesce("next", "root").alias("root")), "roots"
         )
-        stepped = materialise(
-            labels.join(near, "id").select("id", F.least("root", "m").alias("root"), F.col("root").alias("old")), "labels"
-        )
-        jump = stepped.select(F.col("id").alias("root"), F.col("root").alias("next"))
-        new = materialise(
-            stepped.join(maybe_broadcast(jump, n), "root").select("id", F.col("next").alias("root"), "old"), "labels"
-        )
-        moved = new.where("root <> old").limit(1).count()
-        labels = new.select("id", "root")
-        if not moved:
-            break
-    return labels
+        step = edges
+        for c in ("u", "v"):
+            step = step.join(maybe_broadcast(labels.select(F.col("id").alias(c), F.col("root").alias("r")), n), c).drop(c).withColumnRenamed("r", c)
+        edges = materialise(step.where("u <> v").select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct(), "links")

@@ -13,7 +13,7 @@ fingerprints share one verifying step:
 
 Fingerprints that share a key meet in one bucket. Buckets are split into chunks of bounded
 size and every pair of chunks is a group of its own, so a hot key spreads over tasks. A group
-verifies all of its Hamming distances and emits only a spanning forest of the links found:
+verifies all of its Hamming distances and emits one link for each fingerprint that it connects:
 connectivity is exact and the output is never larger than the group.
 """
 
@@ -34,6 +34,8 @@ from .graph import BROADCAST_ROWS, components, maybe_broadcast
 
 #: Fingerprints of one chunk of a bucket.
 CHUNK = 2048
+#: Text bytes of one pass, whose shingles are lists of Python numbers for a moment.
+PASS_BYTES = 1 << 20
 SEED = 42
 
 
@@ -83,7 +85,7 @@ def fingerprints(docs: DataFrame, width: int = 4, words64: int = 1) -> DataFrame
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in pieces(batches, "text"):
+        for b in pieces(batches, "text", PASS_BYTES):
             raw, off, _ = buffers(b.column(1))
             fp = majority_bits(*shingle_hashes(raw, off, width), words64)
             col = pa.array(fp[:, 0].view(np.int64)) if words64 == 1 else pa.array([x.tobytes() for x in fp], pa.binary())
@@ -141,17 +143,21 @@ def band_keys(nodes: DataFrame, width: int, bands: int, words64: int) -> DataFra
 
 
 def forest(fp: np.ndarray, max_diff: int) -> list[tuple[int, int]]:
-    """Spanning forest, as index pairs, of the graph of rows at ``max_diff`` or fewer differing bits; fp: (n, words64)."""
+    """Links, as index pairs, that connect what the graph of rows at ``max_diff`` or fewer differing bits connects.
+
+    fp: (n, words64). Each component is a star around its least fingerprint, so that buckets
+    which hold the same fingerprints give the same links.
+    """
     if len(fp) == 2:
         return [(0, 1)] if int(np.bitwise_count(fp[0] ^ fp[1]).sum()) <= max_diff else []
-    rest, out = np.arange(len(fp)), []
+    rest, out = np.lexsort(fp.T[::-1]), []
     while len(rest):
-        queue, rest = [int(rest[0])], rest[1:]
+        seed, rest = int(rest[0]), rest[1:]
+        queue = [seed]
         while queue and len(rest):
-            at = queue.pop()
-            near = np.bitwise_count(fp[rest] ^ fp[at]).sum(1) <= max_diff
+            near = np.bitwise_count(fp[rest] ^ fp[queue.pop()]).sum(1) <= max_diff
             found = rest[near].tolist()
-            out += [(at, x) for x in found]
+            out += [(seed, x) for x in found]
             queue += found
             rest = rest[~near]
     return out
