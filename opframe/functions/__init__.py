@@ -21,19 +21,24 @@ def parse_path(path: Column) -> Column:
     return F.when(path == ".", F.array().cast("array<string>")).otherwise(F.split(path, r"\."))
 
 
-@pandas_udf("bigint")
-def winner(side: pd.Series, seq: pd.Series) -> pd.Series:
-    """Rank of a write in a merge: the transferred side (1) wins, then the later. The escape hatch; columns do the same."""
+def _winner(side: pd.Series, seq: pd.Series) -> pd.Series:
     return side.astype("int64") * (1 << 40) + seq.astype("int64")
 
 
-@pandas_udf("double")
-def merge_cells(rank: pd.Series, value: pd.Series) -> float:
-    """Grouped aggregate: the value of the greatest rank."""
+def _merge_cells(rank: pd.Series, value: pd.Series) -> float:
     return float(value.iloc[int(rank.to_numpy().argmax())])
 
 
-@udtf(returnType="seq bigint, step int, value double")
+def winner(side: Column | str, seq: Column | str) -> Column:
+    """Rank of a write in a merge: the transferred side (1) wins, then the later. The escape hatch; columns do the same."""
+    return pandas_udf(_winner, "bigint")(side, seq)
+
+
+def merge_cells(rank: Column | str, value: Column | str) -> Column:
+    """Grouped aggregate: the value of the greatest rank."""
+    return pandas_udf(_merge_cells, "double")(rank, value)
+
+
 class CellHistory:
     """Table function: the writes of one cell (a list of (seq, value)) with their number."""
 
@@ -48,9 +53,9 @@ def register(spark: SparkSession, name: str, db: Database, log: DataFrame | None
         db.export(t).createOrReplaceTempView(f"{name}__{t}")
     if log is not None:
         log.createOrReplaceTempView(f"{name}__oplog")
-    spark.udf.register("winner", winner)
-    spark.udf.register("merge_cells", merge_cells)
-    spark.udtf.register("cell_history", CellHistory)
+    spark.udf.register("winner", pandas_udf(_winner, "bigint"))
+    spark.udf.register("merge_cells", pandas_udf(_merge_cells, "double"))
+    spark.udtf.register("cell_history", udtf(CellHistory, returnType="seq bigint, step int, value double"))
 
 
 __all__ = ["CellHistory", "EID", "format_path", "merge_cells", "parse_path", "register", "winner"]

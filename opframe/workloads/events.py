@@ -9,7 +9,9 @@ from .. import measures as ms
 from ..operators import oplog
 from .docs import L_EVENTS, events_log
 
-CELL = [F.col("eid").cast("bigint").alias("u"), F.col("fid").alias("f")]
+def cell() -> list:
+    """The user and the event type that a log row writes."""
+    return [F.col("eid").cast("bigint").alias("u"), F.col("fid").alias("f")]
 
 
 def v(c: str, name: str = "v"):
@@ -17,24 +19,24 @@ def v(c: str, name: str = "v"):
 
 
 def replay(spark, sf):
-    return oplog.last_writers(events_log(spark, sf)["all"]).select(*CELL, v("val_n"))
+    return oplog.last_writers(events_log(spark, sf)["all"]).select(*cell(), v("val_n"))
 
 
 def conflicts(spark, sf):
     e = events_log(spark, sf)
-    return oplog.conflicts(e["left"], e["right"]).select(*CELL, v("ln", "l"), v("rn", "r"))
+    return oplog.conflicts(e["left"], e["right"]).select(*cell(), v("ln", "l"), v("rn", "r"))
 
 
 def transfer_left(spark, sf):
     e = events_log(spark, sf)
     right = e["shared"].unionByName(e["right"])
-    return oplog.transfer_values(e["left"], right).select(*CELL, v("val_n"))
+    return oplog.transfer_values(e["left"], right).select(*cell(), v("val_n"))
 
 
 def optimised(spark, sf):
     e = events_log(spark, sf)
     c = oplog.optimised_cells(e["shared"], e["left"], e["right"])
-    return c.where("keep_left or keep_right").select(*CELL, "keep_left", "keep_right", v("la.val_n", "l"), v("ra.val_n", "r"))
+    return c.where("keep_left or keep_right").select(*cell(), "keep_left", "keep_right", v("la.val_n", "l"), v("ra.val_n", "r"))
 
 
 def diff_sizes(spark, sf):
@@ -48,31 +50,31 @@ def synthesise(spark, sf):
     shared = a.join(b.select("op_id"), "op_id", "left_semi").select(*a.columns)
     left, right = (x.join(b if x is a else a, "op_id", "left_anti").select(*a.columns) for x in (a, b))
     c = oplog.optimised_cells(shared, left, right)
-    return c.where("keep_left or keep_right").select(*CELL, "keep_left", "keep_right", v("la.val_n", "l"), v("ra.val_n", "r"))
+    return c.where("keep_left or keep_right").select(*cell(), "keep_left", "keep_right", v("la.val_n", "l"), v("ra.val_n", "r"))
 
 
-UNDONE = F.col("seq") % 7 == 0
+UNDONE = "seq % 7 = 0"
 
 
 def undo(spark, sf):
-    return oplog.undo(events_log(spark, sf)["all"], UNDONE).select(*CELL, v("val_n"))
+    return oplog.undo(events_log(spark, sf)["all"], F.expr(UNDONE)).select(*cell(), v("val_n"))
 
 
 def undo_overridden(spark, sf):
-    return oplog.undo_overridden(events_log(spark, sf)["all"], UNDONE).select("seq")
+    return oplog.undo_overridden(events_log(spark, sf)["all"], F.expr(UNDONE)).select("seq")
 
 
 def undo_scrubbed(spark, sf):
     """State after the undo delta; it equals the state of a history without the undone operations."""
     ops = events_log(spark, sf)["all"]
     state = oplog.last_writers(ops).select("eid", "fid", "val_n")
-    delta = oplog.undo(ops, UNDONE).select("eid", "fid", F.col("val_n").alias("n"), F.lit(True).alias("hit"))
-    return state.join(delta, ["eid", "fid"], "left").select(*CELL, F.when(F.col("hit"), F.col("n")).otherwise(F.col("val_n")).cast("bigint").alias("v")).where("v is not null")
+    delta = oplog.undo(ops, F.expr(UNDONE)).select("eid", "fid", F.col("val_n").alias("n"), F.lit(True).alias("hit"))
+    return state.join(delta, ["eid", "fid"], "left").select(*cell(), F.when(F.col("hit"), F.col("n")).otherwise(F.col("val_n")).cast("bigint").alias("v")).where("v is not null")
 
 
 def history_page(spark, sf):
     """The last hundred operations: a limit that is the feature."""
-    return events_log(spark, sf)["all"].orderBy(F.desc("seq")).limit(100).select("seq", *CELL, v("val_n"))
+    return events_log(spark, sf)["all"].orderBy(F.desc("seq")).limit(100).select("seq", *cell(), v("val_n"))
 
 
 def simplify(spark, sf):
@@ -80,7 +82,7 @@ def simplify(spark, sf):
 
 
 def naive_undo(spark, sf):
-    return bl.truncate_undo(events_log(spark, sf)["all"], 5000).select(*CELL, v("val_n"))
+    return bl.truncate_undo(events_log(spark, sf)["all"], 5000).select(*cell(), v("val_n"))
 
 
 def fingerprint(spark, sf):
@@ -94,18 +96,18 @@ def fingerprint(spark, sf):
 
 def three_way(spark, sf):
     e = events_log(spark, sf)
-    return bl.three_way_merge(*(oplog.last_writers(x).select(*CELL, v("val_n")) for x in (e["shared"], e["shared"].unionByName(e["left"]), e["shared"].unionByName(e["right"]))), ["u", "f"], "v")
+    return bl.three_way_merge(*(oplog.last_writers(x).select(*cell(), v("val_n")) for x in (e["shared"], e["shared"].unionByName(e["left"]), e["shared"].unionByName(e["right"]))), ["u", "f"], "v")
 
 
 def keyed_diff(spark, sf):
     e = events_log(spark, sf)
-    a, b = (oplog.last_writers(e["shared"].unionByName(e[s])).select(*CELL, v("val_n")) for s in ("left", "right"))
+    a, b = (oplog.last_writers(e["shared"].unionByName(e[s])).select(*cell(), v("val_n")) for s in ("left", "right"))
     return bl.keyed_state_diff(a, b, ["u", "f"])
 
 
 def row_diff(spark, sf):
     e = events_log(spark, sf)
-    a, b = (oplog.last_writers(e["shared"].unionByName(e[s])).select(*CELL, v("val_n")) for s in ("left", "right"))
+    a, b = (oplog.last_writers(e["shared"].unionByName(e[s])).select(*cell(), v("val_n")) for s in ("left", "right"))
     return bl.row_set_diff(a, b)
 
 
