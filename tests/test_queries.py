@@ -1,6 +1,9 @@
 """Every query with an oracle against DuckDB on the smallest tables, and plans."""
 
+import itertools
+
 import duckdb
+import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
@@ -18,11 +21,13 @@ def duck(sf):
 
 
 def plain(v):
-    if v is None or v != v:
+    if v is None or pd.isna(v):
         return None
     if hasattr(v, "item"):
         v = v.item()
-    return round(float(v), 6) if isinstance(v, float) or type(v).__name__ == "Decimal" else v if isinstance(v, (int, bool)) else str(v)
+    if isinstance(v, (float, int)) or type(v).__name__ == "Decimal":
+        return round(float(v), 6)  # a column of integers with gaps comes as floats
+    return str(v)
 
 
 def rows(df):
@@ -32,8 +37,10 @@ def rows(df):
 
 @pytest.mark.parametrize("name", sorted(registry.QUERIES))
 def test_query_equals_oracle(spark, sf, duck, name):
-    got = rows(registry.QUERIES[name](spark, sf).toPandas())
-    assert got == rows(duck.sql(registry.ORACLES[name]).df())
+    (cols, got), (want_cols, want) = rows(registry.QUERIES[name](spark, sf).toPandas()), rows(duck.sql(registry.ORACLES[name]).df())
+    assert cols == want_cols and len(got) == len(want)
+    # few examples only: a whole difference of long lists takes minutes to print
+    assert not list(itertools.islice((x for x in zip(got, want, strict=True) if x[0] != x[1]), 3))
 
 
 def test_every_query_has_an_oracle():
