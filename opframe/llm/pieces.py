@@ -29,7 +29,7 @@ from .common import ragged
 
 MARK = "▁"
 #: Distinct chunks kept encoded by a worker, and remembered pairs (log2); results depend on neither.
-CACHE_CHUNKS, PAIR_BITS = 500_000, 21
+CACHE_CHUNKS, PAIR_BITS = 800_000, 21
 _BIG = 1 << 40
 
 

@@ -133,10 +133,9 @@ def band_keys(nodes: DataFrame, width: int, bands: int, words64: int) -> DataFra
         for big in batches:
             for at in range(0, big.num_rows, 4096):
                 b = big.slice(at, 4096)
-                fps = b.column(0).to_pylist()
-                m = np.unpackbits(np.frombuffer(b"".join(fps), np.uint8).reshape(len(fps), -1), axis=1, bitorder="little").astype(np.uint64)
+                m = np.unpackbits(buffers(b.column(0))[0].reshape(b.num_rows, -1), axis=1, bitorder="little").astype(np.uint64)
                 keys = np.stack([mix((m[:, c] * weight).sum(1) + np.uint64(i << 44)) for i, c in enumerate(cuts)], axis=1)
-                take = pa.array(np.repeat(np.arange(len(fps)), len(cuts)))
+                take = pa.array(np.repeat(np.arange(b.num_rows), len(cuts)))
                 yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64).ravel()), b.column(0).take(take)], ["key", "fp"])
 
     return nodes.select("fp").mapInArrow(run, "key bigint, fp binary")
@@ -191,7 +190,7 @@ def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
             if words64 == 1:
                 fp = np.asarray(flat).view(np.uint64).reshape(-1, 1)
             else:
-                fp = np.frombuffer(b"".join(flat.to_pylist()), np.uint64).reshape(-1, words64)
+                fp = buffers(flat)[0].view(np.uint64).reshape(-1, words64)
             end = np.cumsum(np.asarray(b.column(0).value_lengths()))
             at = 0
             for to in end.tolist():
