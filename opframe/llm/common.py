@@ -8,12 +8,14 @@ checkpoint does and survive a lost executor.
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -82,8 +84,36 @@ def buffers(column) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return raw, off - off[0], valid
 
 
+#: What a Python worker keeps from task to task, with the stage that used it last.
+_kept: dict[str, tuple[int, object]] = {}
+
+
+def _stage() -> int:
+    context = TaskContext.get()
+    return context.stageId() if context else -1
+
+
+def kept(key: str, make: Callable[[], object]):
+    """An object of the worker process, made once and kept while tasks of one stage follow each other."""
+    if key not in _kept:
+        _kept[key] = (-1, make())
+    _kept[key] = (_stage(), _kept[key][1])
+    return _kept[key][1]
+
+
+def _release() -> None:
+    """Let go of what tasks of other stages kept, so that a later stage has the memory."""
+    now, size = _stage(), len(_kept)
+    for key in [k for k, (stage, _) in _kept.items() if stage != now]:
+        del _kept[key]
+    if len(_kept) < size:
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+
+
 def pieces(batches: Iterator[pa.RecordBatch], column: str, limit: int = PIECE_BYTES) -> Iterator[pa.RecordBatch]:
     """Cut batches at row bounds into slices of about ``limit`` text bytes; a longer text is a slice of its own."""
+    _release()
     for batch in batches:
         _, off, _ = buffers(batch.column(batch.schema.get_field_index(column)))
         at, n = 0, batch.num_rows

@@ -1,6 +1,7 @@
 """SentencePiece encoding and decoding by suffix-array matching (operator 1).
 
-A batch's distinct chunks (a run of word marks with the word after it) are concatenated and
+A batch's distinct chunks (text cut where no piece reaches across: before word marks, around
+line ends, between a letter and a mark after it) are concatenated and
 indexed by a suffix array as deep as the longest piece. Every piece of the vocabulary is
 binary-searched for its range of suffixes, which yields all occurrences of all pieces as edges
 (start, end, piece). Edges are sorted by position and relaxed from left to right, for all
@@ -14,6 +15,7 @@ pair of pieces is such a pair, which reproduces the order of merges without repl
 
 from __future__ import annotations
 
+import unicodedata
 import zlib
 from collections.abc import Iterator
 from itertools import repeat
@@ -23,13 +25,13 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from .common import mix
+from .common import kept, mix
 from .common import pieces as slices
 from .common import ragged
 
 MARK = "▁"
 #: Distinct chunks kept encoded by a worker, and remembered pairs (log2); results depend on neither.
-CACHE_CHUNKS, PAIR_BITS = 800_000, 21
+CACHE_CHUNKS, PAIR_BITS = 600_000, 21
 _BIG = 1 << 40
 
 
@@ -66,6 +68,8 @@ class Vocabulary:
         joins = [self.text[i] for i in usable if len(self.text[i]) > 1]
         self.splits_marks = not any(MARK in x.lstrip(MARK) for x in joins)
         self.splits_lines = not any("\n" in x for x in joins)
+        after_letter = {b for x in joins for a, b in zip(x, x[1:], strict=False) if unicodedata.category(a)[0] == "L"}
+        self.splits_marks_after_letters = "".join(c for c in ".,;:!?" if c not in after_letter)
         data = [bytes([int(t[3:5], 16)]) if i in self.byte_ids.values() else ("" if sp.is_control(i) else t).encode() for i, t in enumerate(self.text)]
         self.piece_bytes = np.frombuffer(b"".join(data), np.uint8)
         self.piece_len = np.array([len(x) for x in data], np.int64)
@@ -297,6 +301,8 @@ class Encoder:
         marked = pc.if_else(pc.equal(pc.binary_length(plain), 0), "", pc.binary_join_element_wise(pa.scalar(MARK), marked, ""))
         if self.v.splits_marks:
             marked = pc.replace_substring_regex(marked, f"({MARK}+)", r" \1")
+        if self.v.splits_marks_after_letters:
+            marked = pc.replace_substring_regex(marked, rf"(\pL)([{self.v.splits_marks_after_letters}])", r"\1 \2")
         if self.v.splits_lines:
             marked = pc.replace_substring(marked, "\n", " \n ")
         lists = pc.split_pattern(marked, " ")
@@ -316,14 +322,9 @@ class Encoder:
         return [t[1:] if t[:1] == " " else t for t in out]
 
 
-_encoders: dict[str, Encoder] = {}
-
-
 def encoder(path: str) -> Encoder:
     """The worker process's encoder of a model file."""
-    if path not in _encoders:
-        _encoders[path] = Encoder(path)
-    return _encoders[path]
+    return kept(f"pieces:{path}", lambda: Encoder(path))
 
 
 def encode(docs: DataFrame, model: str) -> DataFrame:

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialise, pieces, ragged, scratch_dir
+from .common import kept, materialise, pieces, ragged, scratch_dir
 
 #: Ids after which a shard is closed; a longer document is a shard of its own.
 SHARD_IDS = 1 << 20
@@ -144,14 +144,9 @@ class WordEncoder:
         return flat[ragged((np.cumsum(size) - size)[token], lens)], np.diff(total[seg])
 
 
-_encoders: dict[str, WordEncoder] = {}
-
-
 def encoder(path: str) -> WordEncoder:
-    """The worker process's encoder for a tokenizer file; its words stay known from task to task."""
-    if path not in _encoders:
-        _encoders[path] = WordEncoder(path)
-    return _encoders[path]
+    """The worker process's encoder for a tokenizer file; its words stay known from task to task of a stage."""
+    return kept(f"words:{path}", lambda: WordEncoder(path))
 
 
 def compress(ids: np.ndarray, terminals: int, rounds: int = ROUNDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
