@@ -145,3 +145,15 @@ def test_set_transfer_equals_the_kernel(spark):
     mine, theirs = log(left, None), log(right, ONE)
     out = oplog.replay(oplog.replay(db.apply(wrap), theirs), oplog.forward(mine, wrap, db))
     assert {r[EID]: r.who[0].val for r in out["t"].live().collect()} == want
+
+
+def test_jobs_do_not_grow_with_operations(spark):
+    """Ten times the operations are moved by the same number of jobs."""
+
+    def jobs(sf_dir, group):
+        spark.sparkContext.setJobGroup(group, group)
+        registry.QUERIES["events_transfer_left"](spark, sf_dir).count()
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+        return len(spark.sparkContext.statusTracker().getJobIdsForGroup(group))
+
+    assert jobs("/root/testdata/sf0.001", "few") == jobs("/root/testdata/sf0.01", "many")
