@@ -64,6 +64,17 @@ def without_redelivery(events: DataFrame, key: str = "event_id", late: str = "36
     return events.withWatermark("at", late).dropDuplicatesWithinWatermark([key])
 
 
+def follow_links(events: DataFrame, table: DataFrame, link: str, key: str) -> DataFrame:
+    """Stream-static join: each operation with the row that its link names now (a forward map, a dimension)."""
+    return events.join(table, events[link] == table[key])
+
+
+def match_origins(sent: DataFrame, arrived: DataFrame, within: str, late: str = "3650 days") -> DataFrame:
+    """Stream-stream join of transferred operations (origin, at2) with their origins (event_id, at) up to ``within`` before them."""
+    a, b = sent.withWatermark("at", late), arrived.withWatermark("at2", late)
+    return a.join(b, F.expr(f"event_id = origin and at2 >= at and at2 <= at + interval {within}"))
+
+
 def latest_cells(ops: DataFrame) -> DataFrame:
     """Updates (u, f, seq, v) of the last write of each cell; late and shuffled writes do no harm, as the sequence decides."""
 

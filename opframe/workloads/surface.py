@@ -298,6 +298,17 @@ def stream_autosync(s, d):
     return oplog.last_writers(s.read.parquet(path)).select(F.col("eid").cast("bigint").alias("u"), "sub", F.col("val_s").alias("f"))
 
 
+def stream_static_join(s, d):
+    return st.drain(st.follow_links(_stream(s, d), table(s, d, "customer").select("c_custkey", "c_nationkey"), "user_id", "c_custkey").select("event_id", "c_nationkey"))
+
+
+def stream_stream_join(s, d):
+    """Every third operation is transferred ten minutes later and meets its origin."""
+    e = table(s, d, "events").where("event_id % 3 = 0")
+    moved = st.read_events(s, st.slices(e, F.col("event_id"), 2)).select(F.col("event_id").alias("origin"), (F.col("at") + F.expr("interval 10 minutes")).alias("at2"))
+    return st.drain(st.match_origins(_stream(s, d), moved, "1 hour").select("event_id", F.col("at2").cast("timestamp_ntz").alias("arrived")))
+
+
 QUERIES = {
     "rel_scan_project": scan_project,
     "rel_filter_predicates": filter_predicates,
@@ -352,6 +363,8 @@ QUERIES = {
     "stream_dedup": stream_dedup,
     "stream_state_cells": stream_state_cells,
     "stream_autosync": stream_autosync,
+    "stream_static_join": stream_static_join,
+    "stream_stream_join": stream_stream_join,
 }
 
 _W = f"with {L_EVENTS}"
@@ -413,5 +426,7 @@ ORACLES = {
       s as (select user_id, ts, sum(new) over (partition by user_id order by ts rows unbounded preceding) as k from g) select min(ts) as start, user_id, count(*) as n from s group by user_id, k""",
     "stream_dedup": "select event_id, user_id from events",
     "stream_state_cells": f"{_W} select u, f, arg_max(v, seq) as v from e group by u, f",
+    "stream_static_join": "select event_id, c_nationkey from events join customer on c_custkey = user_id",
+    "stream_stream_join": "select event_id, ts + interval 10 minute as arrived from events where event_id % 3 = 0",
     "stream_autosync": "select user_id as u, 'ONE' as sub, arg_max(event_type, event_id) as f from events group by 1",
 }
