@@ -32,8 +32,8 @@ def filter_predicates(s, d):
 
 def join(how: str, hint: str | None = None):
     def run(s, d):
-        left, lab = table(s, d, "documents").select("doc_id", "lang"), table(s, d, "labels").where("doc_id % 3 <> 0")
-        return left.where("doc_id % 2 = 0").join(lab.hint(hint) if hint else lab, "doc_id", how)
+        left, lab = table(s, d, "documents").select("doc_id", "lang").where("lang = 'en'"), table(s, d, "labels").where("quality = 1")
+        return left.join(lab.hint(hint) if hint else lab, "doc_id", how)
 
     return run
 
@@ -368,7 +368,7 @@ QUERIES = {
 }
 
 _W = f"with {L_EVENTS}"
-_JOIN = "select doc_id, lang, quality, toxic from (select doc_id, lang from documents where doc_id % 2 = 0) {how} join (select * from labels where doc_id % 3 <> 0) using (doc_id)"
+_JOIN = "select doc_id, lang, quality, toxic from (select doc_id, lang from documents where lang = 'en') {how} join (select * from labels where quality = 1) using (doc_id)"
 _NR = "select n_name, r_name from nation join region on r_regionkey = n_regionkey"
 _MERGED = f"{_W} select u, f, coalesce(arg_max(v, seq) filter (where br = 'L'), arg_max(v, seq)) as v from e group by u, f"
 _SETS = f"{_W}, a as (select u, f from e where br = 'L'), b as (select u, f from e where br = 'R') select cast(u as varchar) as u, f from (select * from a {{op}} select * from b)"
