@@ -14,7 +14,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..model.ops import Op
-from ..model.types import ONE, Atom, LinkT, ListT, Num, Str, Type
+from ..model.types import ONE, Atom, LinkT, ListT, Num, RecordT, Str, Type
 from .relation import DEAD, EID, LAST, ORD, Database, Relation, moved_columns
 
 #: Columns of a log and their Spark types: fixed values.
@@ -67,7 +67,7 @@ def replay(db: Database, ops: DataFrame, tables: list[str] | None = None) -> Dat
         keys = order_keys(new, r)
         header = keys.select(EID, ORD, F.lit(False).alias(DEAD), *r.header_row())
         rows = r.select().unionByName(header.select(*r.select().columns))
-        plain = {f.fid: f.type for f in r.fields if not isinstance(f.type, ListT)}
+        plain = {f.fid: f.type for f in r.fields if not isinstance(f.type, (ListT, RecordT))}
         nested = [f for f in r.fields if isinstance(f.type, ListT)]
         writes = last_writers(mine.where(F.col("sub").isNull()))
         cells = [F.max(F.when(F.col("fid") == fid, F.struct(F.col("op_id").alias("o"), value_of(t).alias("v")))).alias(f"__{fid}") for fid, t in plain.items() if fid in r.stored()]
@@ -80,12 +80,29 @@ def replay(db: Database, ops: DataFrame, tables: list[str] | None = None) -> Dat
                 if fid in r.stored():
                     patched = patched.withColumn(fid, F.when(F.col(f"__{fid}").isNotNull(), F.col(f"__{fid}.v")).otherwise(F.col(fid)))
         patched = patched.join(dead.withColumnRenamed("eid", "__d"), F.col(EID) == F.col("__d"), "left").withColumn(DEAD, F.coalesce("__drop", DEAD))
+        for f in r.fields:
+            if isinstance(f.type, RecordT):
+                patched = _replay_record(patched, mine.where(F.col("fid") == f.fid), f.fid, f.type)
         for f in nested:
             patched = _replay_nested(patched, mine.where(F.col("fid") == f.fid), f.fid, f.type)
         db = db.put(**{name: replace(r, df=patched.select(*r.select().columns))})
     return db
 
 
+def _replay_record(df: DataFrame, ops: DataFrame, fid: str, t: RecordT) -> DataFrame:
+    """A record column after writes of its fields (sub)."""
+    inner = [g for g in t.fields if isinstance(g.type, (Str, Num, LinkT, Atom))]
+    last = last_writers(ops.where(F.col("sub").isNotNull()))
+    cells = [F.max(F.when(F.col("sub") == g.fid, F.struct(F.col("op_id").alias("o"), value_of(g.type).alias("v")))).alias(f"__r{i}") for i, g in enumerate(inner)]
+    if not cells:
+        return df
+    out = df.join(last.groupBy(F.col("eid").alias("__a")).agg(*cells), F.col(EID) == F.col("__a"), "left")
+    value = F.col(fid)
+    for i, g in enumerate(inner):
+        value = value.withField(g.fid, F.when(F.col(f"__r{i}").isNotNull(), F.col(f"__r{i}.v")).otherwise(F.col(fid)[g.fid]))
+    return out.withColumn(fid, value).drop("__a", *[f"__r{i}" for i in range(len(inner))])
+
+
 def _replay_nested(df: DataFrame, ops: DataFrame, fid: str, t: ListT) -> DataFrame:
     """A list column after writes, insertions and drops of its elements (sub)."""
     at = last_writers(ops.where(F.col("sub").isNotNull())).groupBy("eid").agg(F.map_from_entries(F.collect_list(F.struct(F.col("sub"), value_of(t.elem).alias("v")))).alias("__w"))
@@ -155,6 +172,13 @@ def forward(ops: DataFrame, over: Op, before: Database) -> DataFrame:
     if over.kind == "wrap_list":
         hit = here & (F.col("fid") == fid) & F.col("sub").isNull() & (F.col("kind") == "set_cell")
         return ops.withColumn("sub", F.when(hit, ONE).otherwise(F.col("sub")))
+    if over.kind == "wrap_record":
+        hit = here & (F.col("fid") == fid) & F.col("sub").isNull() & F.col("kind").isin("set_cell", "set_link")
+        return ops.withColumn("sub", F.when(hit, over.ids[0]).otherwise(F.col("sub")))
+    if over.kind == "unwrap_field":
+        mine = here & (F.coalesce(F.col("fid"), F.lit("")) == fid)
+        kept = ops.where(~mine | (F.coalesce(F.col("sub"), F.lit("")) == over.ids[0]))
+        return kept.withColumn("sub", F.when(mine, F.lit(None)).otherwise(F.col("sub")))
     if over.kind == "unwrap_first":
         keep = ~(here & (F.coalesce(F.col("fid"), F.lit("")) == fid)) | (F.coalesce(F.col("sub"), F.lit(ONE)) == (over.arg or ONE)) & F.col("kind").isin("set_cell", "set_link")
         return ops.where(keep).withColumn("sub", F.when(here & (F.col("fid") == fid), F.lit(None)).otherwise(F.col("sub")))
@@ -216,6 +240,17 @@ def backward(ops: DataFrame, over: Op, after: Database) -> tuple[DataFrame, Data
         bad = inside & ~((F.col("kind") == "set_cell") & (F.coalesce(F.col("sub"), F.lit("")) == ONE))
         ok = ops.where(~bad).withColumn("sub", F.when(inside, F.lit(None)).otherwise(F.col("sub")))
         return ok, ops.where(bad).withColumn("blocker_kind", F.lit(over.kind))
+    if over.kind == "wrap_record":
+        inside = here & (F.coalesce(F.col("fid"), F.lit("")) == fid)
+        bad = inside & (F.coalesce(F.col("sub"), F.lit("")) != over.ids[0])
+        ok = ops.where(~bad).withColumn("sub", F.when(inside, F.lit(None)).otherwise(F.col("sub")))
+        return ok, ops.where(bad).withColumn("blocker_kind", F.lit(over.kind))
+    if over.kind == "unwrap_field":
+        inside = here & (F.coalesce(F.col("fid"), F.lit("")) == fid)
+        return ops.withColumn("sub", F.when(inside, over.ids[0]).otherwise(F.col("sub"))), ops.where("false").withColumn("blocker_kind", F.lit(over.kind))
+    if over.kind == "move_field":
+        moved = here & (F.col("fid") == over.ref[2])
+        return ops.withColumn("fid", F.when(moved, fid).otherwise(F.col("fid"))), ops.where("false").withColumn("blocker_kind", F.lit(over.kind))
     if over.kind == "split_table":
         new = over.ref[0]
         bad = (F.col("list_key") == new) & F.col("kind").isin("insert_elem", "append_elem", "drop_elem")

@@ -150,6 +150,17 @@ def parts_add_drop(spark, sf):
     return db.export("part", "p_partkey", "note")
 
 
+def parts_record_transfer(spark, sf):
+    """Writes of brands cross a record wrap and come back from behind it."""
+    db, wrap = parts_db(spark, sf), o.wrap_record(("part", ANY, "p_brand"), "b")
+    src = table(spark, sf, "part").where("p_partkey % 10 = 0")
+    ops = oplog.log(src, "set_cell", "part", seq=F.col("p_partkey"), eid=F.concat(F.lit("p"), F.col("p_partkey").cast("string")), fid=F.lit("p_brand"), val_s=F.lit("NEW"))
+    over = oplog.forward(ops, wrap, db)
+    back, _ = oplog.backward(over, wrap, db.apply(wrap))
+    there = oplog.replay(db.apply(wrap), over).export("part", "p_partkey", F.col("p_brand.b").alias("behind"))
+    return there.join(oplog.replay(db, back).export("part", "p_partkey", F.col("p_brand").alias("before")), "p_partkey")
+
+
 def _match(name: str, key: str, src: str, regex: str, out: str, cast: str | None = None):
     def run(spark, sf):
         df = table(spark, sf, name).select(key, src)
@@ -285,6 +296,7 @@ QUERIES = {
     "parts_convert": parts_convert,
     "parts_record_wrap_unwrap": parts_record,
     "parts_move_field": parts_move,
+    "parts_record_transfer": parts_record_transfer,
     "parts_add_drop": parts_add_drop,
     "match_customer_number": _match("customer", "c_custkey", "c_name", r"#(\d+)", "number", "bigint"),
     "match_part_words": match_words,
@@ -322,6 +334,7 @@ ORACLES = {
     "parts_convert": "select p_partkey, p_size, cast(null as double) as p_name from part",
     "parts_record_wrap_unwrap": "select p_partkey, p_brand from part",
     "parts_move_field": "select p_partkey, p_brand, p_type as kind from part",
+    "parts_record_transfer": "select p_partkey, case when p_partkey % 10 = 0 then 'NEW' else p_brand end as behind, case when p_partkey % 10 = 0 then 'NEW' else p_brand end as before from part",
     "parts_add_drop": "select p_partkey, 'n' as note from part where p_size <= 40",
     "match_customer_number": "select c_custkey, cast(regexp_extract(c_name, '#(\\d+)', 1) as bigint) as number from customer",
     "match_part_words": "select p_partkey, split_part(p_name, ' ', 1) as first, split_part(p_name, ' ', 2) as second from part",
