@@ -8,6 +8,7 @@ checkpoint does and survive a lost executor.
 from __future__ import annotations
 
 import atexit
+import ctypes
 import gc
 import tempfile
 import uuid
@@ -103,12 +104,20 @@ def kept(key: str, make: Callable[[], object]):
 
 def _release() -> None:
     """Let go of what tasks of other stages kept, so that a later stage has the memory."""
-    now, size = _stage(), len(_kept)
+    now = _stage()
     for key in [k for k, (stage, _) in _kept.items() if stage != now]:
         del _kept[key]
-    if len(_kept) < size:
-        gc.collect()
-        pa.default_memory_pool().release_unused()
+    trim()
+
+
+def trim() -> None:
+    """Give freed memory back to the system: a worker process outlives its tasks, and its memory counts all along."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        return
 
 
 def pieces(batches: Iterator[pa.RecordBatch], column: str, limit: int = PIECE_BYTES) -> Iterator[pa.RecordBatch]:

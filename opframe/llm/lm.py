@@ -24,10 +24,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE_TABLE, buffers, doc_bucket, hash_words, materialise, pieces, ragged, words
+from .common import SPACE_TABLE, buffers, doc_bucket, hash_words, materialise, pieces, ragged, trim, words
 
 #: Largest n-gram table, text bytes of a chunk and of a numpy pass, tokens of a pass; one training text in DELETED is left out for the weights.
-TABLE, CHUNK_BYTES, PASS_BYTES, PASS_TOKENS, DELETED = 1_000_000, 12 << 20, 2 << 20, 1 << 18, 12
+TABLE, CHUNK_BYTES, PASS_BYTES, PASS_TOKENS, DELETED = 1_000_000, 8 << 20, 1 << 20, 1 << 17, 12
 #: Hash of the end token; buckets of context frequency; steps of expectation-maximisation.
 END, BUCKETS, EM_STEPS = -1, 12, 40
 ESTIMATE, HELD, TEST = 0, 1, 2
@@ -83,6 +83,7 @@ def chunks(docs: DataFrame) -> DataFrame:
             h = hash_words(low, starts, ends).view(np.int64)
             n = np.diff(bound)
             role = np.asarray(b.column(2))
+            del raw, low, starts, ends
             for held in (False, True):
                 rows = np.flatnonzero((role == HELD) == held)
                 if not len(rows):
@@ -94,6 +95,7 @@ def chunks(docs: DataFrame) -> DataFrame:
                 size_of[held] += int((off[rows + 1] - off[rows]).sum())
                 if size_of[held] >= CHUNK_BYTES:
                     yield close(held)
+                    trim()
                     seq += 1
         for held in (False, True):
             if open_[held]:
@@ -174,6 +176,8 @@ def _gram_tables(made: DataFrame, classes: Classes) -> dict[int, tuple[np.ndarra
         for n, table in sums.items():
             at = np.flatnonzero(table.any(axis=0))
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), n, np.int32)), pa.array(at), pa.array(table[0][at]), pa.array(table[1][at])], ["n", "key", "e", "h"])
+        sums.clear()
+        trim()
 
     rows = made.select("sizes", "roles", "tokens", "words").mapInArrow(run, "n int, key bigint, e bigint, h bigint")
     got = rows.groupBy("n", "key").agg(F.sum("e").alias("e"), F.sum("h").alias("h")).toArrow()
@@ -336,6 +340,7 @@ def score(docs: DataFrame, learn, order: int = 3) -> DataFrame:
                         ],
                         ["doc_id", "learnt", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
                     )
+                trim()
 
     joined = _with_counts(made, counts.select("word", "n"), top("n"), ["tokens", "sizes", "roles", "doc_ids", F.size("words").alias("types")])
     return joined.mapInArrow(run, f"doc_id {kind}, learnt boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double")
