@@ -119,7 +119,9 @@ class WordEncoder:
         coded = lists.flatten().dictionary_encode()
         uniq = coded.dictionary
         core = pc.utf8_rtrim(uniq, characters=_MARKS)
-        good = np.asarray(pc.and_(pc.utf8_is_alpha(core), pc.match_substring_regex(core, _LATIN)))
+        good = np.array(pc.utf8_is_alpha(core))
+        wide = np.flatnonzero(good & ~np.asarray(pc.string_is_ascii(core)))
+        good[wide] = np.asarray(pc.match_substring_regex(core.take(pa.array(wide)), _LATIN))
         first, second = np.zeros(len(uniq), np.int64), np.zeros(len(uniq), np.int64)
         at = np.flatnonzero(good)
         if len(at):
