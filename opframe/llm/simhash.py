@@ -79,20 +79,22 @@ def majority_bits(hashes: np.ndarray, count: np.ndarray, words64: int = 1) -> np
 
 
 def fingerprints(docs: DataFrame, width: int = 4, words64: int = 1) -> DataFrame:
-    """(doc_id, fp): fingerprint of every whole text, one long for 64 bits, else binary of 8 * words64 bytes.
+    """(doc_id, fp, other columns of ``docs`` but text): fingerprint of every whole text, one long for 64 bits, else binary of 8 * words64 bytes.
 
     Null and empty texts and texts without words get fingerprint zero.
     """
+    also = [c for c in docs.columns if c not in ("doc_id", "text")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in pieces(batches, "text", PASS_BYTES):
             raw, off, _ = buffers(b.column(1))
             fp = majority_bits(*shingle_hashes(raw, off, width), words64)
             col = pa.array(fp[:, 0].view(np.int64)) if words64 == 1 else pa.array([x.tobytes() for x in fp], pa.binary())
-            yield pa.RecordBatch.from_arrays([b.column(0), col], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), col, *b.columns[2:]], ["doc_id", "fp", *also])
 
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp {'bigint' if words64 == 1 else 'binary'}")
+    kind = {c: docs.schema[c].dataType.simpleString() for c in ["doc_id", *also]}
+    more = "".join(f", {c} {kind[c]}" for c in also)
+    return docs.select("doc_id", "text", *also).mapInArrow(run, f"doc_id {kind['doc_id']}, fp {'bigint' if words64 == 1 else 'binary'}{more}")
 
 
 def blocks_for(n: int, max_diff: int) -> int:
@@ -207,6 +209,20 @@ def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
     return found.select(F.least(node("a"), node("b")).alias("u"), F.greatest(node("a"), node("b")).alias("v")).distinct()
 
 
+def linked(docs: DataFrame, width: int, words64: int, max_diff: int | None, similarity: float, recall: float, sure: float) -> tuple[DataFrame, DataFrame, DataFrame, int]:
+    """(fingerprints of all rows with ``docs``' other columns, nodes (fp, rep, id), (id, root) of the linked nodes, number of nodes)."""
+    made = materialise(fingerprints(docs, width, words64), "fingerprints")
+    node_id = F.col("fp") if words64 == 1 else F.xxhash64("fp")
+    nodes = materialise(made.groupBy("fp").agg(F.min("doc_id").alias("rep")).withColumn("id", node_id), "nodes")
+    n = nodes.count()
+    if max_diff is not None:
+        keyed = pigeonhole_keys(nodes, n, max_diff)
+    else:
+        block, bands, max_diff = band_plan(n, 64 * words64, similarity, recall, sure)
+        keyed = materialise(band_keys(nodes, block, bands, words64), "bands")
+    return made, nodes, components(materialise(links(keyed, max_diff, words64), "edges")), n
+
+
 def near_duplicates(
     docs: DataFrame,
     width: int = 4,
@@ -225,16 +241,7 @@ def near_duplicates(
     table. Rows with a null doc_id take part and count as the largest id. An empty table
     gives no rows. Extra columns of ``docs`` are ignored.
     """
-    made = materialise(fingerprints(docs, width, words64), "fingerprints")
-    node_id = F.col("fp") if words64 == 1 else F.xxhash64("fp")
-    nodes = materialise(made.groupBy("fp").agg(F.min("doc_id").alias("rep")).withColumn("id", node_id), "nodes")
-    n = nodes.count()
-    if max_diff is not None:
-        keyed = pigeonhole_keys(nodes, n, max_diff)
-    else:
-        block, bands, max_diff = band_plan(n, 64 * words64, similarity, recall, sure)
-        keyed = materialise(band_keys(nodes, block, bands, words64), "bands")
-    roots = components(materialise(links(keyed, max_diff, words64), "edges"))
+    made, nodes, roots, n = linked(docs.select("doc_id", "text"), width, words64, max_diff, similarity, recall, sure)
     n_roots = roots.count()
     least = roots.join(nodes.select("id", "rep"), "id").groupBy("root").agg(F.min("rep").alias("component_id"))
     least = materialise(least, "least")
@@ -248,25 +255,43 @@ def near_duplicates(
     return made.join(F.broadcast(final) if wide else final, "fp").select("doc_id", "fp", "component_id")
 
 
-def keep_one(docs: DataFrame, **how) -> DataFrame:
-    """Rows of ``docs`` without all but one document (the least doc_id) of each near-duplicate group.
+def keep_one(
+    docs: DataFrame,
+    width: int = 4,
+    words64: int = 1,
+    max_diff: int | None = 4,
+    similarity: float = 0.8,
+    recall: float = 0.99,
+    sure: float = 1.5,
+) -> DataFrame:
+    """``docs`` with one row of each near-duplicate group (the least doc_id, nulls last, then the least text hash).
 
-    Columns are those of ``docs``. Of rows that repeat a doc_id one stays; rows with a null
-    doc_id stay unless their group has a row with an id.
+    Columns are those of ``docs``. Rows are told apart by doc_id and a 64-bit hash of the text, so
+    that null and repeated ids neither drop nor keep a row of another group.
     """
-    found = materialise(near_duplicates(docs, **how), "groups")
+    made, _, roots, _ = linked(docs.select("doc_id", "text", F.xxhash64("text").alias("__text")), width, words64, max_diff, similarity, recall, sure)
+    node_id = F.col("fp") if words64 == 1 else F.xxhash64("fp")
+    row = made.select("doc_id", "__text", node_id.alias("id"))
+    found = row.join(maybe_broadcast(roots, roots.count()), "id", "left").select("doc_id", "__text", F.coalesce("root", "id").alias("root"))
+    found = materialise(found.groupBy("root", "doc_id", "__text").agg(F.count(F.lit(1)).alias("n")), "groups")
+    order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "__text")
+    # groups of one kind of row lose none
+    first = materialise(
+        found.groupBy("root").agg(F.min(order).alias("first"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1").select("root", "first"), "first"
+    )
     gone = materialise(
-        found.where("component_id is not null and doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct(), "gone"
+        found.join(maybe_broadcast(first, first.count()), "root").where(~order.eqNullSafe(F.col("first"))).select(F.col("doc_id").alias("__id"), F.col("__text").alias("__gone")), "gone"
     )
-    stay = docs.join(maybe_broadcast(gone, gone.count()), docs["doc_id"] == F.col("__gone"), "left_anti")
-    nulls = found.where("doc_id is null and component_id is not null").limit(1).count()
-    if nulls:
-        stay = stay.where("doc_id is not null")
-    again = materialise(found.groupBy("doc_id").count().where("count > 1 and doc_id is not null").select(F.col("doc_id").alias("__again")), "again")
+    again = materialise(found.where("n > 1").select(F.col("doc_id").alias("__id"), F.col("__text").alias("__again")), "again")
+
+    def meet(other: DataFrame, name: str):
+        return docs["doc_id"].eqNullSafe(other["__id"]) & (F.xxhash64(docs["text"]) == other[name])
+
+    stay = docs.join(maybe_broadcast(gone, gone.count()), meet(gone, "__gone"), "left_anti")
     n = again.count()
     if n:
-        twice = stay.join(maybe_broadcast(again, n), stay["doc_id"] == F.col("__again"), "left_semi").dropDuplicates(["doc_id"])
-        stay = stay.join(maybe_broadcast(again, n), stay["doc_id"] == F.col("__again"), "left_anti").unionByName(twice)
+        twice = stay.join(maybe_broadcast(again, n), meet(again, "__again"), "left_semi").withColumn("__text", F.xxhash64("text")).dropDuplicates(["doc_id", "__text"]).drop("__text")
+        stay = stay.join(maybe_broadcast(again, n), meet(again, "__again"), "left_anti").unionByName(twice)
     return stay
 
 

@@ -239,6 +239,16 @@ def test_simhash_odd_rows(spark):
     assert simhash.near_duplicates(empty(spark)).count() == simhash.keep_one(empty(spark)).count() == 0
 
 
+def test_keep_one_decides_by_row(spark):
+    rng = random.Random(5)
+    a, b, c, d, e = (" ".join(rng.choices([f"w{i}" for i in range(4000)], k=60)) for _ in range(5))
+    rows = [(5, a), (7, a), (7, b), (None, a), (None, c), (None, d), (None, d), (8, e), (8, e), (9, e)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    for how in ({}, {"width": 5, "words64": 4, "max_diff": None}):
+        kept = collections.Counter((r.doc_id, r.text) for r in simhash.keep_one(docs, **how).collect())
+        assert kept == collections.Counter([(5, a), (7, b), (None, c), (None, d), (8, e)])
+
+
 # ---- 4 quality rules -------------------------------------------------------------------------
 
 
