@@ -7,14 +7,16 @@ fingerprints share one verifying step:
   differing bits agree on at least m - d blocks, so each combination of m - d blocks is a
   join key and no close pair is missed. m is chosen from the number of distinct
   fingerprints so that unrelated fingerprints rarely meet; every choice gives the same links.
-* ``band_keys``: wide fingerprints for a similarity bound. The exact split would need
-  millions of keys there, so blocks are cut from several permutations of the bits until a
-  pair at the bound shares a block with the stated probability.
+* ``band_keys``: wide fingerprints of shingle sets for a similarity bound. The exact split would
+  need millions of keys there, so blocks are cut from several permutations of the bits until a
+  pair at the bound shares a block with the stated probability. Here distances only propose
+  pairs: each is verified by the Jaccard similarity of the whole shingle sets.
 
 Fingerprints that share a key meet in one bucket. Buckets are split into chunks of bounded
 size and every pair of chunks is a group of its own, so a hot key spreads over tasks. A group
 verifies all of its Hamming distances and emits one link for each fingerprint that it connects:
-connectivity is exact and the output is never larger than the group.
+connectivity is exact and the output is never larger than the group. Only where a proposed pair is
+refuted do the fingerprints around it meet again and give all their pairs across what is linked.
 """
 
 from __future__ import annotations
@@ -37,6 +39,8 @@ CHUNK = 2048
 #: Text bytes of one pass, whose shingles are lists of Python numbers for a moment.
 PASS_BYTES = 1 << 20
 SEED = 42
+#: A pair at the similarity bound shares a block with this probability at the expected distance; distances up to so many deviations above it are candidates.
+RECALL, SURE = 0.9999, 3.5
 
 
 def shingle_hashes(raw: np.ndarray, off: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -78,18 +82,39 @@ def majority_bits(hashes: np.ndarray, count: np.ndarray, words64: int = 1) -> np
     return out
 
 
+def distinct_sets(hashes: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct hashes of each text and how many each has."""
+    owner = np.repeat(np.arange(len(count)), count)
+    order = np.lexsort((hashes, owner))
+    h, o = hashes[order], owner[order]
+    new = np.ones(len(h), bool)
+    new[1:] = (h[1:] != h[:-1]) | (o[1:] != o[:-1])
+    return h[new], np.bincount(o[new], minlength=len(count))
+
+
+def _slices(values: np.ndarray, count: np.ndarray) -> list[bytes]:
+    raw, edge = values.astype("<u8").tobytes(), (8 * np.concatenate([[0], np.cumsum(count)])).tolist()
+    return [raw[a:b] for a, b in zip(edge[:-1], edge[1:], strict=True)]
+
+
 def fingerprints(docs: DataFrame, width: int = 4, words64: int = 1) -> DataFrame:
-    """(doc_id, fp, other columns of ``docs`` but text): fingerprint of every whole text, one long for 64 bits, else binary of 8 * words64 bytes.
+    """(doc_id, fp, other columns of ``docs`` but text): fingerprint of every whole text.
 
-    Null and empty texts and texts without words get fingerprint zero.
+    One long for 64 bits. Else binary: 8 * words64 bytes from the distinct shingles, then 8 bytes
+    that tell their set apart. Null and empty texts and texts without words get fingerprint zero.
     """
     also = [c for c in docs.columns if c not in ("doc_id", "text")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in pieces(batches, "text", PASS_BYTES):
             raw, off, _ = buffers(b.column(1))
-            fp = majority_bits(*shingle_hashes(raw, off, width), words64)
-            col = pa.array(fp[:, 0].view(np.int64)) if words64 == 1 else pa.array([x.tobytes() for x in fp], pa.binary())
+            found = shingle_hashes(raw, off, width)
+            if words64 == 1:
+                col = pa.array(majority_bits(*found)[:, 0].view(np.int64))
+            else:
+                found = distinct_sets(*found)
+                own = np.fromiter(map(xxhash.xxh64_intdigest, _slices(*found)), np.uint64, b.num_rows)
+                col = pa.array([x.tobytes() for x in np.column_stack([majority_bits(*found, words64), own])], pa.binary())
             yield pa.RecordBatch.from_arrays([b.column(0), col, *b.columns[2:]], ["doc_id", "fp", *also])
 
     kind = {c: docs.schema[c].dataType.simpleString() for c in ["doc_id", *also]}
@@ -135,7 +160,7 @@ def band_keys(nodes: DataFrame, width: int, bands: int, words64: int) -> DataFra
         for big in batches:
             for at in range(0, big.num_rows, 4096):
                 b = big.slice(at, 4096)
-                m = np.unpackbits(buffers(b.column(0))[0].reshape(b.num_rows, -1), axis=1, bitorder="little").astype(np.uint64)
+                m = np.unpackbits(buffers(b.column(0))[0].reshape(b.num_rows, -1)[:, : 8 * words64], axis=1, bitorder="little").astype(np.uint64)
                 keys = np.stack([mix((m[:, c] * weight).sum(1) + np.uint64(i << 44)) for i, c in enumerate(cuts)], axis=1)
                 take = pa.array(np.repeat(np.arange(b.num_rows), len(cuts)))
                 yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64).ravel()), b.column(0).take(take)], ["key", "fp"])
@@ -164,8 +189,36 @@ def forest(fp: np.ndarray, max_diff: int) -> list[tuple[int, int]]:
     return out
 
 
-def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
-    """Links (u, v), by node id, between fingerprints that share a key and differ in few bits.
+def tree(fp: np.ndarray, max_diff: int) -> list[tuple[int, int]]:
+    """Links, as index pairs of rows at ``max_diff`` or fewer differing bits, least distances first, that connect what the graph of all such pairs connects."""
+    if len(fp) <= 32:
+        near = np.bitwise_count(fp[:, None] ^ fp[None]).sum(2) <= max_diff
+        if near.sum() <= len(fp):
+            return []
+    rest, out = np.lexsort(fp.T[::-1]), []
+    best, parent = np.full(len(fp), 1 << 30), np.full(len(fp), -1)
+    while len(rest):
+        at = int(best[rest].argmin())
+        x, rest = int(rest[at]), np.delete(rest, at)
+        if best[x] <= max_diff:
+            out.append((int(parent[x]), x))
+        far = np.bitwise_count(fp[rest] ^ fp[x]).sum(1).astype(np.int64)
+        closer = far < best[rest]
+        best[rest[closer]], parent[rest[closer]] = far[closer], x
+    return out
+
+
+def across(fp: np.ndarray, label: np.ndarray, max_diff: int) -> list[tuple[int, int]]:
+    """All index pairs of rows of different labels at ``max_diff`` or fewer differing bits."""
+    out = []
+    for i in range(len(fp) - 1):
+        near = (label[i + 1 :] != label[i]) & (np.bitwise_count(fp[i + 1 :] ^ fp[i]).sum(1) <= max_diff)
+        out += [(i, i + 1 + j) for j in np.flatnonzero(near).tolist()]
+    return out
+
+
+def buckets(keyed: DataFrame) -> DataFrame:
+    """(fps, and labels if ``keyed`` has them) of the groups of fingerprints that share a key.
 
     ``keyed`` has a row (key, fp) for each key of each distinct fingerprint. Keys met by more
     than CHUNK fingerprints are dealt out as pairs of chunks.
@@ -179,10 +232,23 @@ def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
     else:
         near = keyed.withColumn("parts", F.lit(1))
     part = F.pmod(F.xxhash64("fp", F.lit(1)), F.col("parts")).cast("int")
+    labels = ["label"] if "label" in keyed.columns else []
     near = near.withColumn("part", part).select(
-        "key", "fp", F.explode(F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least("part", j).alias("i"), F.greatest("part", j).alias("j")))).alias("pair")
+        "key", "fp", *labels, F.explode(F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least("part", j).alias("i"), F.greatest("part", j).alias("j")))).alias("pair")
     )
-    groups = near.groupBy("key", "pair").agg(F.collect_list("fp").alias("fps")).where(F.size("fps") > 1).select("fps")
+    if labels:
+        groups = near.groupBy("key", "pair").agg(F.collect_list(F.struct("fp", "label")).alias("l")).where(F.size("l") > 1)
+        return groups.select(F.col("l.fp").alias("fps"), F.col("l.label").alias("labels"))
+    return near.groupBy("key", "pair").agg(F.collect_list("fp").alias("fps")).where(F.size("fps") > 1).select("fps")
+
+
+def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
+    """Links (u, v), by node id, between fingerprints that share a key and differ in few bits.
+
+    For wide fingerprints these are pairs to be verified: a tree of each group, or, where
+    ``keyed`` has labels, all pairs of different labels.
+    """
+    groups = buckets(keyed)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -192,11 +258,16 @@ def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
             if words64 == 1:
                 fp = np.asarray(flat).view(np.uint64).reshape(-1, 1)
             else:
-                fp = buffers(flat)[0].view(np.uint64).reshape(-1, words64)
+                fp = buffers(flat)[0].view(np.uint64).reshape(-1, words64 + 1)[:, :words64]
+            label = np.asarray(b.column(1).flatten()) if b.num_columns > 1 else None
             end = np.cumsum(np.asarray(b.column(0).value_lengths()))
             at = 0
             for to in end.tolist():
-                for x, y in forest(fp[at:to], max_diff):
+                if label is not None:
+                    found = across(fp[at:to], label[at:to], max_diff)
+                else:
+                    found = forest(fp[at:to], max_diff) if words64 == 1 else tree(fp[at:to], max_diff)
+                for x, y in found:
                     u.append(at + x)
                     v.append(at + y)
                 at = to
@@ -209,17 +280,69 @@ def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
     return found.select(F.least(node("a"), node("b")).alias("u"), F.greatest(node("a"), node("b")).alias("v")).distinct()
 
 
+def verified(docs: DataFrame, nodes: DataFrame, pairs: DataFrame, width: int, similarity: float) -> DataFrame:
+    """(u, v, ok) of all ``pairs`` (u, v): whether the Jaccard similarity of the whole shingle sets is ``similarity`` or more."""
+    ids = pairs.select(F.col("u").alias("id")).unionByName(pairs.select(F.col("v").alias("id"))).distinct()
+    wanted = materialise(nodes.join(ids, "id").select("id", F.col("src.doc_id").alias("__id"), F.col("src.__text").alias("__hash")), "wanted")
+    meet = docs["doc_id"].eqNullSafe(F.col("__id")) & (docs["__text"] == F.col("__hash"))
+    texts = docs.join(maybe_broadcast(wanted, wanted.count()), meet).select("id", "text")
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in pieces(batches, "text", PASS_BYTES):
+            raw, off, _ = buffers(b.column(1))
+            found = _slices(*distinct_sets(*shingle_hashes(raw, off, width)))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], ["id", "shingles"])
+
+    sets = materialise(texts.mapInArrow(read, "id bigint, shingles binary").dropDuplicates(["id"]), "sets")
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            ok = []
+            for x, y in zip(b.column(2), b.column(3), strict=True):
+                x, y = np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8")
+                both = len(np.intersect1d(x, y, assume_unique=True))
+                ok.append(both >= similarity * (len(x) + len(y) - both))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(ok, pa.bool_())], ["u", "v", "ok"])
+
+    a, b = (sets.select(F.col("id").alias(c), F.col("shingles").alias(f"of_{c}")) for c in ("u", "v"))
+    return pairs.join(a, "u").join(b, "v").select("u", "v", "of_u", "of_v").mapInArrow(compare, "u bigint, v bigint, ok boolean")
+
+
+def similar_roots(docs: DataFrame, nodes: DataFrame, keyed: DataFrame, max_diff: int, words64: int, width: int, similarity: float) -> DataFrame:
+    """(id, root) of nodes linked by verified pairs.
+
+    The trees' pairs come first. Nodes that distances connect to a refuted pair meet once more and
+    give all pairs across different components, so that a refuted pair hides no other link.
+    """
+    first = materialise(verified(docs, nodes, materialise(links(keyed, max_diff, words64), "pairs"), width, similarity), "verified")
+    roots = components(first.where("ok").select("u", "v"))
+    bad = first.where("not ok").select(F.col("u").alias("id"))
+    if not bad.limit(1).count():
+        return roots
+    loose = components(first.select("u", "v"))
+    open_roots = materialise(loose.join(bad, "id").select(F.col("root").alias("loose")).distinct(), "open-roots")
+    label = loose.join(maybe_broadcast(open_roots, open_roots.count()), loose["root"] == F.col("loose"), "left_semi").select("id")
+    label = materialise(label.join(roots, "id", "left").select("id", F.coalesce("root", "id").alias("label")).join(nodes.select("id", "fp"), "id").select("fp", "label"), "labels")
+    again = materialise(keyed.join(maybe_broadcast(label, label.count()), "fp").select("key", "fp", "label"), "open")
+    more = materialise(links(again, max_diff, words64).join(first.select("u", "v"), ["u", "v"], "left_anti"), "pairs")
+    second = materialise(verified(docs, nodes, more, width, similarity).where("ok").select("u", "v"), "verified")
+    return components(first.where("ok").select("u", "v").unionByName(second))
+
+
 def linked(docs: DataFrame, width: int, words64: int, max_diff: int | None, similarity: float, recall: float, sure: float) -> tuple[DataFrame, DataFrame, DataFrame, int]:
     """(fingerprints of all rows with ``docs``' other columns, nodes (fp, rep, id), (id, root) of the linked nodes, number of nodes)."""
+    if words64 > 1:
+        docs = docs.select("doc_id", "text", F.xxhash64("text").alias("__text"))
     made = materialise(fingerprints(docs, width, words64), "fingerprints")
     node_id = F.col("fp") if words64 == 1 else F.xxhash64("fp")
-    nodes = materialise(made.groupBy("fp").agg(F.min("doc_id").alias("rep")).withColumn("id", node_id), "nodes")
+    source = [] if words64 == 1 else [F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "__text")).alias("src")]
+    nodes = materialise(made.groupBy("fp").agg(F.min("doc_id").alias("rep"), *source).withColumn("id", node_id), "nodes")
     n = nodes.count()
-    if max_diff is not None:
-        keyed = pigeonhole_keys(nodes, n, max_diff)
-    else:
+    if max_diff is None:
         block, bands, max_diff = band_plan(n, 64 * words64, similarity, recall, sure)
         keyed = materialise(band_keys(nodes, block, bands, words64), "bands")
+        return made, nodes, similar_roots(docs, nodes, keyed, max_diff, words64, width, similarity), n
+    keyed = pigeonhole_keys(nodes, n, max_diff)
     return made, nodes, components(materialise(links(keyed, max_diff, words64), "edges")), n
 
 
@@ -229,16 +352,16 @@ def near_duplicates(
     words64: int = 1,
     max_diff: int | None = 4,
     similarity: float = 0.8,
-    recall: float = 0.99,
-    sure: float = 1.5,
+    recall: float = RECALL,
+    sure: float = SURE,
 ) -> DataFrame:
     """(doc_id, fp, component_id) of every row of ``docs`` (doc_id, text).
 
     With ``max_diff``: exact links at that many or fewer differing bits of 64. With
-    ``max_diff=None``: ``64 * words64`` bits, blocks and distance derived from ``similarity``
-    of the shingle sets. component_id is the least doc_id reachable over links, equal
-    fingerprints included. Wide fingerprints are identified by a 64-bit hash in the link
-    table. Rows with a null doc_id take part and count as the largest id. An empty table
+    ``max_diff=None`` (and ``words64`` of 2 or more): links at ``similarity`` or more of the whole
+    shingle sets, proposed by blocks and distance of ``64 * words64`` bits and all verified.
+    component_id is the least doc_id reachable over links, equal fingerprints (sets, where wide)
+    included. Wide fingerprints are identified by a 64-bit hash in the link table. Rows with a null doc_id take part and count as the largest id. An empty table
     gives no rows. Extra columns of ``docs`` are ignored.
     """
     made, nodes, roots, n = linked(docs.select("doc_id", "text"), width, words64, max_diff, similarity, recall, sure)
@@ -252,7 +375,8 @@ def near_duplicates(
         nodes.join(maybe_broadcast(member, n_roots), "id", "left").select("fp", F.coalesce("component_id", "rep").alias("component_id")), "classes"
     )
     wide = n * words64 <= BROADCAST_ROWS
-    return made.join(F.broadcast(final) if wide else final, "fp").select("doc_id", "fp", "component_id")
+    out = made.join(F.broadcast(final) if wide else final, "fp")
+    return out.select("doc_id", "fp" if words64 == 1 else F.substring("fp", 1, 8 * words64).alias("fp"), "component_id")
 
 
 def keep_one(
@@ -261,8 +385,8 @@ def keep_one(
     words64: int = 1,
     max_diff: int | None = 4,
     similarity: float = 0.8,
-    recall: float = 0.99,
-    sure: float = 1.5,
+    recall: float = RECALL,
+    sure: float = SURE,
 ) -> DataFrame:
     """``docs`` with one row of each near-duplicate group (the least doc_id, nulls last, then the least text hash).
 

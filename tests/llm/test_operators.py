@@ -249,6 +249,38 @@ def test_keep_one_decides_by_row(spark):
         assert kept == collections.Counter([(5, a), (7, b), (None, c), (None, d), (8, e)])
 
 
+def test_similar_means_jaccard_of_whole_sets(spark):
+    rng = random.Random(11)
+
+    def change(t, n):
+        w = t.split()
+        for i in range(0, 300, 300 // n):
+            w[i] = f"z{rng.random()}"
+        return " ".join(w)
+
+    def sets(t):
+        w = t.split()
+        return {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+
+    base = [" ".join(rng.choices([f"w{i}" for i in range(4000)], k=300)) for _ in range(60)]
+    # about 0.85, 0.7 and 0.6 of the shingles in common; chains of texts whose ends are far apart
+    rows = [(i, t) for i, t in enumerate(base)] + [(100 * k + i, change(t, n)) for k, n in ((1, 5), (2, 10), (3, 15)) for i, t in enumerate(base)]
+    rows += [(1000 + i, base[0].rsplit(" ", 25 * i)[0]) for i in range(1, 6)] + [(2000, "a a a a a a a a a a b"), (2001, "a a a a a a a a a a c")]
+    of = {i: sets(t) for i, t in rows}
+    root = {i: i for i in of}
+
+    def find(x):
+        return x if root[x] == x else find(root[x])
+
+    for a, b in itertools.combinations(sorted(of), 2):
+        if len(of[a] & of[b]) >= 0.8 * len(of[a] | of[b]):
+            a, b = find(a), find(b)
+            root[max(a, b)] = min(a, b)
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    got = {r.doc_id: r.component_id for r in simhash.near_duplicates(docs, width=5, words64=4, max_diff=None).collect()}
+    assert got == {i: find(i) for i in of} and len(set(got.values())) > 150
+
+
 # ---- 4 quality rules -------------------------------------------------------------------------
 
 
