@@ -2,7 +2,7 @@
 
 Documents are dealt to shards in ascending doc_id order and encoded there with a public
 tokenizer. A shard replaces frequent pairs of neighbouring ids by nonterminals, round after
-round, and stores the rules, each rule's expansion length, the compressed sequence and where
+round until none is left, and stores the rules, each rule's expansion length, the compressed sequence and where
 documents begin. A document is decoded alone: expansion lengths, summed along the sequence,
 lead to the symbol that covers its first id.
 
@@ -29,10 +29,10 @@ from .common import kept, materialise, pieces, ragged, scratch_dir
 
 #: Ids after which a shard is closed; a longer document is a shard of its own.
 SHARD_IDS = 1 << 20
-#: Rounds of pair replacement, pairs replaced in one round, and the least count of a replaced pair.
-ROUNDS, PAIRS_A_ROUND, LEAST_COUNT = 4, 4096, 16
-#: Hash slots in which pairs are counted.
-SLOTS = 1 << 18
+#: Pairs replaced in one round, and the least count of a replaced pair.
+PAIRS_A_ROUND, LEAST_COUNT = 4096, 16
+#: Hash slots that tell which pairs are too rare to be counted one by one.
+SLOTS = 1 << 20
 MAGIC = b"RPID1\0\0\0"
 #: Distinct words kept encoded by a worker; past it the table starts anew (results do not depend on it).
 CACHE_WORDS = 500_000
@@ -151,34 +151,30 @@ def encoder(path: str) -> WordEncoder:
     return kept(f"words:{path}", lambda: WordEncoder(path))
 
 
-def compress(ids: np.ndarray, terminals: int, rounds: int = ROUNDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def compress(ids: np.ndarray, terminals: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Re-Pair in rounds: (sequence, rules (n, 2), expansion length of each rule).
 
-    A round counts all neighbouring pairs and replaces the most frequent ones at once,
-    left to right without overlap, until no pair is frequent or the rounds are over.
+    A round counts all neighbouring pairs exactly and replaces the most frequent ones at once,
+    left to right without overlap, until no pair occurs LEAST_COUNT times.
     Symbol ``terminals + r`` stands for rule r.
     """
     seq = ids.astype(np.int64)
     rules = np.zeros((0, 2), np.int64)
     size = np.ones(terminals, np.int64)
-    holder = np.zeros(SLOTS, np.int64)
-    for _ in range(rounds):
-        if len(seq) < 2 * LEAST_COUNT:
-            break
-        pair = (seq[:-1] << 32) | seq[1:]
-        slot = ((pair * np.int64(0x5851F42D4C957F2D)) >> np.int64(44)) & (SLOTS - 1)
-        holder[slot] = pair
-        # a slot stands for the pair it holds; others that hash to it wait for a later round
-        at = np.flatnonzero(holder[slot] == pair)
-        where = slot[at]
-        counts = np.bincount(where, minlength=SLOTS)
+    while len(seq) >= 2 * LEAST_COUNT:
+        bits = np.int64(int(terminals + len(rules)).bit_length())
+        pair = (seq[:-1] << bits) | seq[1:]
+        # a slot's count bounds that of each of its pairs, so only pairs of full slots are sorted and counted
+        slot = (pair * np.int64(0x5851F42D4C957F2D)) >> np.int64(44) & (SLOTS - 1)
+        at = np.flatnonzero((np.bincount(slot, minlength=SLOTS) >= LEAST_COUNT)[slot])
+        kinds, which, counts = np.unique(pair[at], return_inverse=True, return_counts=True)
         frequent = np.flatnonzero(counts >= LEAST_COUNT)
         if not len(frequent):
             break
         best = frequent[np.argsort(-counts[frequent], kind="stable")[:PAIRS_A_ROUND]]
-        number = np.full(SLOTS, -1, np.int32)
+        number = np.full(len(kinds), -1, np.int32)
         number[best] = np.arange(len(best), dtype=np.int32)
-        order, rule = holder[best], number[where]
+        order, rule = kinds[best], number[which]
         at, rule = at[rule >= 0], rule[rule >= 0]
         run = np.flatnonzero(np.diff(at, prepend=-9) != 1)
         place = np.arange(len(at)) - np.repeat(run, np.diff(np.append(run, len(at))))
@@ -187,7 +183,7 @@ def compress(ids: np.ndarray, terminals: int, rounds: int = ROUNDS) -> tuple[np.
         used = np.unique(rule)
         name = np.zeros(len(order), np.int64)
         name[used] = base + np.arange(len(used))
-        new = np.stack([order[used] >> 32, order[used] & 0xFFFFFFFF], axis=1)
+        new = np.stack([order[used] >> bits, order[used] & ((1 << bits) - 1)], axis=1)
         rules = np.concatenate([rules, new])
         size = np.concatenate([size, size[new[:, 0]] + size[new[:, 1]]])
         seq[at] = name[rule]

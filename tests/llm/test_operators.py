@@ -507,6 +507,16 @@ def test_grammar_round_trip_and_random_access():
     assert (repair.expand(*repair.compress(same, 8)[:2], 8) == same).all()
 
 
+def test_no_frequent_pair_is_left():
+    rng = np.random.default_rng(4)
+    phrases = [rng.integers(0, 40_000, int(rng.integers(2, 40))) for _ in range(4000)]
+    ids = np.concatenate([phrases[int(i)] for i in (4000 * rng.random(30_000) ** 2).astype(int)])
+    seq, rules, _ = repair.compress(ids, 40_000)
+    counts = collections.Counter(zip(seq[:-1].tolist(), seq[1:].tolist(), strict=True))
+    assert max(counts.values()) < repair.LEAST_COUNT and len(rules) > repair.PAIRS_A_ROUND
+    assert (repair.expand(seq, rules, 40_000) == ids).all()
+
+
 def test_ids_written_and_read(spark, sf, word_model, tmp_path):
     from tokenizers import Tokenizer
 
