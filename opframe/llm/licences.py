@@ -1,10 +1,11 @@
 """Licence scans by a trained paragraph classifier (operator 10).
 
-Paragraphs (lines with a word) become sparse presence vectors of hashed word n-grams. A
-logistic regression per licence family, trained on notices written out from templates and on
+Word windows and paragraphs (lines with a word) become sparse presence vectors of hashed word
+n-grams. Windows are as long as a template and lie where its two-word grams are found, so that a
+notice is seen inside a long line or across single line ends as if it stood alone. A logistic regression per licence family, trained on notices written out from templates and on
 paragraphs of the corpus as the unknown class, proposes a family; its probability is calibrated
-on notices and paragraphs kept aside, and a paragraph under the bar is unknown. A proposal
-counts only if the paragraph also resembles one of the family's templates.
+on notices and paragraphs kept aside, and what is under the bar is unknown. A proposal counts
+only if it also resembles one of the family's templates. Of overlapping windows the likest counts.
 """
 
 from __future__ import annotations
@@ -85,6 +86,8 @@ TEMPLATES: dict[str, list[str]] = {
 }
 #: Buckets (log2), n-gram sizes, bound of unknown paragraphs, bars on probability and on template likeness.
 BITS, GRAMS, MOST_UNKNOWN, BAR, LIKENESS = 14, (1, 2, 3), 2000, 0.5, 0.6
+#: Share of a template's two-word grams that proposes a window; words by which parts of a notice may be shifted.
+PROPOSE, SLACK = 0.4, 3
 _WORDS = byte_table([x for x in range(128) if not (48 <= x < 58 or 65 <= x < 91 or 97 <= x < 123)])
 _LINES = byte_table([0x0A], lower=False)
 
@@ -127,7 +130,8 @@ def paragraph_grams(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.nd
 
 @dataclass
 class Model:
-    """Weights by family and bucket, their calibration, each family's template n-grams, and flags of the hashes of two-word grams."""
+    """Weights by family and bucket, their calibration, each family's template n-grams, flags of the hashes of two-word grams,
+    and where these grams stand: (gram, template, place), sorted, and how many words each template has."""
 
     families: list[str]
     weight: np.ndarray
@@ -135,43 +139,106 @@ class Model:
     calibration: list[tuple[float, float]]
     templates: list[list[np.ndarray]]
     flags: np.ndarray
+    places: tuple[np.ndarray, np.ndarray, np.ndarray]
+    lengths: np.ndarray
 
-    def judge(self, raw: np.ndarray, off: np.ndarray):
-        """(text, start, end, family, probability, likeness) of the paragraphs that are a licence notice."""
-        low, starts, ends, _ = words(raw, off, _WORDS)
-        h = word_hashes(low, starts, ends)
-        hit = starts[:-1][self.flags[gram_hash(h, 2) >> np.uint64(44)]] if len(h) > 1 else starts[:0]
-        if not len(hit):
-            return []
-        # the paragraphs around the hits, as texts of their own; only those can be a notice
-        bounds = np.unique(np.concatenate([np.flatnonzero(raw == 10) + 1, off]))
-        line = np.unique(np.searchsorted(bounds, hit, "right") - 1)
-        at, to = bounds[line], np.append(bounds, len(raw))[line + 1]
-        text_of = np.searchsorted(off, at, "right") - 1
-        part, part_off = raw[ragged(at, to - at)], np.concatenate([[0], np.cumsum(to - at)])
-        a, b, owner, who, gram = paragraph_grams(part, part_off)
+    def windows(self, hit: np.ndarray, gram: np.ndarray, first: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(first word, end) of the windows that template grams at words ``hit`` propose; first and end are those of the hit's text."""
+        known, template, place = self.places
+        a = np.searchsorted(known, gram, "left")
+        n = np.searchsorted(known, gram, "right") - a
+        at = ragged(a, n)
+        t, start = template[at], np.repeat(hit, n) - place[at]
+        order = np.lexsort((start, t))
+        t, start, first, end = t[order], start[order], np.repeat(first, n)[order], np.repeat(end, n)[order]
+        out = []
+        for slack in (0, SLACK):
+            # grams that agree on where the template starts, exactly or nearly
+            new = np.flatnonzero((np.diff(t, prepend=-1) != 0) | (np.diff(start, prepend=-(1 << 40)) > slack) | (np.diff(first, prepend=-1) != 0))
+            last = np.append(new[1:], len(t)) - 1
+            good = last - new + 1 >= np.maximum(1, PROPOSE * (self.lengths[t[new]] - 1)) if len(t) else np.zeros(0, bool)
+            new, last = new[good], last[good]
+            out.append(np.stack([np.maximum(start[new], first[new]), np.minimum(start[last] + self.lengths[t[last]], end[last])], axis=1))
+        both = np.unique(np.concatenate(out), axis=0)
+        return both[:, 0], both[:, 1]
+
+    def accept(self, who: np.ndarray, gram: np.ndarray) -> list[tuple[int, str, float, float]]:
+        """(which, family, probability, likeness) of the n-gram sets that are a licence notice."""
         if not len(who):
             return []
-        shift = (at - part_off[:-1])[owner]
-        a, b, owner = a + shift, b + shift, text_of[owner]
         bucket = (gram >> np.uint64(64 - BITS)).astype(np.int64)
-        near, pick = np.unique(who), np.ones(len(who), bool)
-        place = np.searchsorted(near, who[pick])
-        key = np.unique(place << BITS | bucket[pick])
+        near, place = np.unique(who, return_inverse=True)
+        key = np.unique(place << BITS | bucket)
         logit = np.tile(self.bias, (len(near), 1))
         np.add.at(logit, key >> BITS, self.weight[key & ((1 << BITS) - 1)])
         logit = np.stack([s * logit[:, k] + t for k, (s, t) in enumerate(self.calibration)], axis=1)
         prob = 1 / (1 + np.exp(-np.clip(logit, -40, 40)))
         best = prob.argmax(1)
-        out, grams = [], gram[pick]
+        out = []
         for i in np.flatnonzero(prob.max(1) >= BAR).tolist():
-            own = np.unique(grams[place == i])
+            own = np.unique(gram[place == i])
             like = max(np.isin(t, own).mean() for t in self.templates[best[i]])
             if like >= LIKENESS:
-                p = near[i]
-                out.append((int(owner[p]), int(a[p]), int(b[p]), self.families[best[i]], float(prob[i, best[i]]), float(like)))
+                out.append((int(near[i]), self.families[best[i]], float(prob[i, best[i]]), float(like)))
         return out
 
+    def judge(self, raw: np.ndarray, off: np.ndarray):
+        """(text, start, end, family, probability, likeness) of the licence notices, in order."""
+        low, starts, ends, bound = words(raw, off, _WORDS)
+        h = word_hashes(low, starts, ends)
+        if len(h) < 2:
+            return []
+        grams = {n: gram_hash(h, n) for n in GRAMS[1:]}
+        at = np.flatnonzero(self.flags[grams[2] >> np.uint64(44)])
+        if not len(at):
+            return []
+        text = np.searchsorted(bound, at, "right") - 1
+        inside = at + 1 < bound[text + 1]
+        first, end = self.windows(at[inside], grams[2][at[inside]], bound[text[inside]], bound[text[inside] + 1])
+        # a version at the end may have more parts than the template's
+        limit = bound[np.searchsorted(bound, first, "right")]
+        for _ in range(2):
+            following = np.minimum(end, len(h) - 1)
+            end = end + ((end < limit) & (h[following] == 1) & (starts[following] == ends[end - 1] + 1) & (raw[np.minimum(ends[end - 1], len(raw) - 1)] == 46))
+        # no window goes on after an empty line
+        lines = np.flatnonzero(raw == 10)
+        pair = lines[np.flatnonzero(np.diff(lines) == 1)]
+        whole = np.searchsorted(pair, starts[first]) == np.searchsorted(pair, ends[end - 1])
+        first, end = first[whole], end[whole]
+        who, found = [], []
+        for n in GRAMS:
+            many = np.maximum(end - first - n + 1, 0)
+            who.append(np.repeat(np.arange(len(first)), many))
+            found.append((h if n == 1 else grams[n])[ragged(first, many)])
+        got = self.accept(np.concatenate(who), np.concatenate(found))
+        bounds = np.unique(np.concatenate([lines + 1, off]))
+        out, taken = [], np.zeros(len(raw) + 1, bool)
+        for w, family, p, like in sorted(got, key=lambda x: (-x[3], end[x[0]] - first[x[0]], -x[2], x[0])):
+            i, j = int(first[w]), int(end[w])
+            a, b = int(starts[i]), int(ends[j - 1])
+            if taken[a:b].any():
+                continue
+            taken[a:b] = True
+            # what is left of a line without further words belongs to the notice
+            k = int(np.searchsorted(off, a, "right")) - 1
+            head = int(bounds[np.searchsorted(bounds, a, "right") - 1])
+            tail = int(bounds[np.searchsorted(bounds, b - 1, "right")])
+            if i == bound[k] or ends[i - 1] <= head:
+                a = head
+            if j == bound[k + 1] or starts[j] >= tail:
+                b = tail - (1 if raw[tail - 1] == 10 else 0)
+            out.append((k, a, b, family, p, like))
+        # paragraphs around the hits, as texts of their own: notices that are worded too freely for a window
+        line = np.unique(np.searchsorted(bounds, starts[at], "right") - 1)
+        at, to = bounds[line], np.append(bounds, len(raw))[line + 1]
+        text_of = np.searchsorted(off, at, "right") - 1
+        part, part_off = raw[ragged(at, to - at)], np.concatenate([[0], np.cumsum(to - at)])
+        a, b, owner, who, gram = paragraph_grams(part, part_off)
+        shift = (at - part_off[:-1])[owner]
+        a, b, owner = a + shift, b + shift, text_of[owner]
+        out += [(int(owner[i]), int(a[i]), int(b[i]), *rest) for i, *rest in self.accept(who, gram) if not taken[a[i] : b[i]].any()]
+        return sorted(out)
+
 
 def _rows(texts: list[str]) -> tuple[np.ndarray, list[np.ndarray]]:
     """Presence matrix and n-gram sets of paragraphs."""
@@ -215,11 +282,16 @@ def train(docs: DataFrame) -> Model:
         cal.append(calibrate(dense[aside] @ w[:-1] + w[-1], own[aside]))
     plain = [[re.sub(r"\{\w\}", "1", t) for t in TEMPLATES[f]] for f in families]
     sets = [_rows(ts)[1] for ts in plain]
-    flags = np.zeros(1 << 20, bool)
+    flags, known = np.zeros(1 << 20, bool), []
     for t in (t for f in plain for t in f):
         raw = np.frombuffer(t.encode(), np.uint8)
-        flags[gram_hash(word_hashes(*words(raw, np.array([0, len(raw)]), _WORDS)[:3]), 2) >> np.uint64(44)] = True
-    return Model(families, weight, bias, cal, sets, flags)
+        known.append(gram_hash(word_hashes(*words(raw, np.array([0, len(raw)]), _WORDS)[:3]), 2))
+        flags[known[-1] >> np.uint64(44)] = True
+    lengths = np.array([len(g) + 1 for g in known])
+    every = np.concatenate(known)
+    order = np.argsort(every, kind="stable")
+    places = (every[order], np.repeat(np.arange(len(known)), lengths - 1)[order], ragged(np.zeros(len(known), np.int64), lengths - 1)[order])
+    return Model(families, weight, bias, cal, sets, flags, places, lengths)
 
 
 def scan(docs: DataFrame, model: Model) -> DataFrame:

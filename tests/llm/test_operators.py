@@ -562,5 +562,29 @@ def test_licences(spark, sf):
     assert licences.scan(odd(spark), model).count() == len(ODD) and licences.scan(empty(spark), model).count() == 0
 
 
+def test_licences_inside_long_and_wrapped_paragraphs(spark, sf):
+    docs = given(spark, sf.replace("0.001", "0.01"))
+    model = licences.train(docs)
+    pool = [w for r in docs.select("text").where("text is not null").orderBy("doc_id").limit(50).collect() if not re.search(r"(?i)licen[sc]e|copyright|reserved|CC", r.text) for w in r.text.split()]
+    notices = {"Apache": "Licensed under the Apache License, Version 2.0.", "MIT": "Released under the MIT License.", "CC-BY-NC": "Licensed under CC BY-NC 4.0.", "GPL": "This work is licensed under the GNU General Public License, version 3."}
+    rng, rows, want = random.Random(2), [], {}
+    for f, x in notices.items():
+        for n in (20, 50, 300, 2000):
+            for wrap in (False, True):
+                at = rng.randrange(n)
+                filler = rng.choices(pool, k=n)
+                said = x.replace("nder ", "nder\n", 1) if wrap else x
+                rows.append((len(rows), " ".join([*filler[:at], said, *filler[at:]])))
+                want[rows[-1][0]] = ([f], said)
+    rows += [(900, " ".join([*pool[:40], *notices.values(), *pool[40:80]])), (901, " ".join(rng.choices(pool, k=3000))), (902, "Licensed under the Apache\n\nstory of a general and public version")]
+    out = {r.doc_id: r for r in licences.scan(spark.createDataFrame(rows, "doc_id bigint, text string"), model).collect()}
+    text = dict(rows)
+    for i, (families, said) in want.items():
+        assert out[i].families == families and len(out[i].notices) == 1, (i, text[i][:200])
+        n = out[i].notices[0]
+        assert text[i].encode()[n.start : n.end].decode().rstrip(".") == said.rstrip(".")
+    assert out[900].families == sorted(notices) and out[901].families == []
+
+
 def test_digest_of_items():
     assert hashlib.sha256(b"").hexdigest() == "e3b0c44298fc1c149afbf4c8996fb92427ae41e4649b934ca495991b7852b855"
