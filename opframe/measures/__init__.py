@@ -53,13 +53,23 @@ def transfer_rate(moved: DataFrame, blocked: DataFrame) -> DataFrame:
     return a.join(b, "kind", "full").select("kind", F.coalesce("moved", F.lit(0)).alias("moved"), F.coalesce("blocked", F.lit(0)).alias("blocked"))
 
 
-def merge_fidelity(transferred: DataFrame, merged: DataFrame, key: list[str], left: DataFrame) -> DataFrame:
-    """method, rows, faithful: cells equal to the intended result, in which the transferred side wins."""
-    want = transferred.select(*key, F.col("v").alias("want"))
-    got = want.join(merged.select(*key, F.col("v").alias("got")), key, "left")
-    a = got.agg(F.count(F.lit(1)).alias("rows"), F.count(F.lit(1)).alias("faithful")).withColumn("method", F.lit("transfer"))
-    b = got.agg(F.count(F.lit(1)).alias("rows"), F.count(F.when(F.col("want").eqNullSafe(F.col("got")), 1)).alias("faithful")).withColumn("method", F.lit("three_way"))
-    return a.unionByName(b).select("method", "rows", "faithful")
+def intended_cells(shared: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
+    """(eid, fid, val_n) that a merge intends, straight from the log: the last left write, else the last right one, else the last shared one."""
+    cols = ["eid", "fid", "seq", "val_n"]
+    rows = [x.select(F.lit(i).alias("side"), *cols) for i, x in enumerate((shared, right, left))]
+    every = rows[0].unionByName(rows[1]).unionByName(rows[2])
+    return every.groupBy("eid", "fid").agg(F.max_by("val_n", F.struct("side", "seq")).alias("val_n"))
+
+
+def merge_fidelity(intended: DataFrame, transferred: DataFrame, merged: DataFrame, key: list[str]) -> DataFrame:
+    """method, rows, faithful: cells (``key``, v) of each method that equal the intended ones; a cell that only one of them has is not faithful."""
+    out = []
+    for method, result in (("transfer", transferred), ("three_way", merged)):
+        want = intended.select(*key, F.col("v").alias("want"), F.lit(True).alias("due"))
+        both = want.join(result.select(*key, F.col("v").alias("got"), F.lit(True).alias("found")), key, "full")
+        same = F.col("due") & F.col("found") & F.col("want").eqNullSafe(F.col("got"))
+        out.append(both.agg(F.count(F.lit(1)).alias("rows"), F.count(F.when(same, 1)).alias("faithful")).withColumn("method", F.lit(method)))
+    return out[0].unionByName(out[1]).select("method", "rows", "faithful")
 
 
 def order_errors(order: DataFrame, intended: DataFrame, by: list[str]) -> DataFrame:

@@ -113,7 +113,8 @@ def row_diff(spark, sf):
 
 def merge_fidelity(spark, sf):
     e = events_log(spark, sf)
-    return ms.merge_fidelity(transfer_left(spark, sf), three_way(spark, sf), ["u", "f"], e["left"])
+    intended = ms.intended_cells(e["shared"], e["left"], e["right"]).select(*cell(), v("val_n"))
+    return ms.merge_fidelity(intended, transfer_left(spark, sf), three_way(spark, sf), ["u", "f"])
 
 
 QUERIES = {

@@ -157,3 +157,15 @@ def test_jobs_do_not_grow_with_operations(spark):
         return len(spark.sparkContext.statusTracker().getJobIdsForGroup(group))
 
     assert jobs("/root/testdata/sf0.001", "few") == jobs("/root/testdata/sf0.01", "many")
+
+
+def test_merge_fidelity_sees_wrong_transfers(spark):
+    from opframe import measures as ms
+
+    log = {"shared": [("a", "x", 1, 1.0), ("b", "x", 2, 2.0), ("c", "x", 3, 3.0)], "right": [("a", "x", 4, 4.0), ("b", "x", 5, 5.0)], "left": [("a", "x", 6, 6.0), ("a", "x", 7, 7.0)]}
+    parts = {k: spark.createDataFrame(v, "eid string, fid string, seq long, val_n double") for k, v in log.items()}
+    intended = ms.intended_cells(**parts).select("eid", "fid", "val_n").withColumnRenamed("val_n", "v")
+    assert {r.eid: r.v for r in intended.collect()} == {"a": 7.0, "b": 5.0, "c": 3.0}
+    wrong = spark.createDataFrame([("a", "x", 6.0), ("b", "x", 5.0), ("d", "x", 1.0)], "eid string, fid string, v double")
+    out = {r.method: (r.rows, r.faithful) for r in ms.merge_fidelity(intended, wrong, intended, ["eid", "fid"]).collect()}
+    assert out == {"transfer": (4, 1), "three_way": (3, 3)}
