@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import buffers, byte_table, hash_words, mix, pieces, words
+from .common import buffers, byte_table, hash_words, materialise, mix, pieces, words
 
 #: Benchmark words whose windows are broadcast at once.
 PASS_WORDS = 2_000_000
@@ -25,6 +25,8 @@ PASS_WORDS = 2_000_000
 TABLE = byte_table([*range(0x00, 0x30), *range(0x3A, 0x61), *range(0x7B, 0x80)])
 _STEP = [np.uint64((0xD6E8FEB86659FD93 * (2 * j + 1)) & (2**64 - 1) | 1) for j in range(64)]
 _TABLE_BITS = 20
+_SPANS = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
+_FOUND = "n_words bigint, n_hit bigint, items array<string>, spans array<struct<start: bigint, end: bigint>>"
 
 
 def _windows_hash(h: np.ndarray, width: int) -> np.ndarray:
@@ -83,16 +85,17 @@ class Windows:
         return starts, ends, bound, np.cumsum(delta[:-1]) > 0, owners
 
 
-def _passes(bench: DataFrame, width: int) -> list[Windows]:
-    """Window sets of bounded size; one for any usual benchmark."""
+def _passes(bench: DataFrame, width: int) -> list[DataFrame]:
+    """Parts (item, text) of the benchmark whose windows are of bounded size; one for any usual benchmark."""
     rows = bench.where("text is not null").select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item"), "text")
-    total = rows.agg(F.sum(F.size(F.split("text", r"\s+")))).first()[0] or 0
+    # words are joined by anything else than their own characters
+    total = rows.agg(F.sum(F.size(F.split("text", r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")))).first()[0] or 0
     n = -(-int(total) // PASS_WORDS) or 1
-    out = []
-    for k in range(n):
-        some = rows if n == 1 else rows.where(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == k)
-        out.append(Windows([(r["item"], r["text"]) for r in some.toLocalIterator()], width))
-    return out
+    return [rows if n == 1 else rows.where(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == k) for k in range(n)]
+
+
+def _windows(part: DataFrame, width: int) -> Windows:
+    return Windows([(r["item"], r["text"]) for r in part.toLocalIterator()], width)
 
 
 def _runs(starts: np.ndarray, ends: np.ndarray, hit: np.ndarray) -> list[tuple[int, int]]:
@@ -109,11 +112,96 @@ def scan(docs: DataFrame, bench: DataFrame, width: int = 10) -> DataFrame:
     A null item_id counts as the empty id; null item texts and items without words have no
     windows. Repeated rows are scanned each; an empty benchmark hits nothing.
     """
-    spark = docs.sparkSession
-    sets = spark.sparkContext.broadcast(_passes(bench, width))
+    parts = _passes(bench, width)
+    if len(parts) > 1:
+        return _united(docs, _hits(docs, parts, width))
+    return _scan(docs, docs.sparkSession.sparkContext.broadcast([_windows(parts[0], width)]))
+
+
+def _meet(docs: DataFrame, hits: DataFrame):
+    return docs["doc_id"].eqNullSafe(hits["__id"]) & (F.xxhash64(docs["text"]) == hits["__text"])
+
+
+def _hits(docs: DataFrame, parts: list[DataFrame], width: int) -> DataFrame:
+    """(__id, __text, items, spans) of the kinds of rows (doc_id, text hash) with a hit, each part's windows broadcast alone."""
+    found = None
+    for part in parts:
+        sets = docs.sparkSession.sparkContext.broadcast([_windows(part, width)])
+        one = _scan(docs, sets, "__text").where("n_hit > 0").select(F.col("doc_id").alias("__id"), "__text", "items", "spans")
+        one = materialise(one, "hits")
+        sets.destroy()
+        found = one if found is None else found.unionByName(one)
+    lists = [F.array_sort(F.array_distinct(F.flatten(F.collect_set(c)))).alias(c) for c in ("items", "spans")]
+    return materialise(found.groupBy("__id", "__text").agg(*lists), "united")
+
+
+def _marked(b: pa.RecordBatch, text: int, spans: int):
+    """(bytes, offsets, starts, ends, first word of each text, words within the text's spans) of a batch."""
+    raw, off, _ = buffers(b.column(text))
+    _, starts, ends, bound = words(raw, off, TABLE)
+    delta = np.zeros(len(starts) + 1, np.int64)
+    for k, l in enumerate(b.column(spans).to_pylist()):
+        for x in l or ():
+            delta[np.searchsorted(starts, off[k] + x["start"])] += 1
+            delta[np.searchsorted(starts, off[k] + x["end"])] -= 1
+    return raw, off, starts, ends, bound, np.cumsum(delta[:-1]) > 0
+
+
+def _united(docs: DataFrame, hits: DataFrame) -> DataFrame:
+    """``scan``'s rows from what the passes found."""
+    kind = docs.schema["doc_id"].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in pieces(batches, "text"):
+            _, off, starts, ends, bound, hit = _marked(b, 1, 3)
+            total = np.concatenate([[0], np.cumsum(hit)])
+            spans = [
+                [{"start": s - int(off[k]), "end": e - int(off[k])} for s, e in _runs(starts[x:y], ends[x:y], hit[x:y])]
+                for k, (x, y) in enumerate(zip(bound[:-1], bound[1:], strict=True))
+            ]
+            items = [x or [] for x in b.column(2).to_pylist()]
+            yield pa.RecordBatch.from_arrays(
+                [b.column(0), pa.array(np.diff(bound), pa.int64()), pa.array(total[bound[1:]] - total[bound[:-1]], pa.int64()), pa.array(items, pa.list_(pa.string())), pa.array(spans, _SPANS)],
+                ["doc_id", "n_words", "n_hit", "items", "spans"],
+            )
+
+    joined = docs.select("doc_id", "text").join(hits, _meet(docs, hits), "left").select("doc_id", "text", "items", "spans")
+    return joined.mapInArrow(run, f"doc_id {kind}, {_FOUND}")
+
+
+def _cut_in_passes(docs: DataFrame, parts: list[DataFrame], width: int) -> DataFrame:
+    """``decontaminate`` in mode "spans": texts with hits are cut and scanned again by all passes until none has any."""
+    at, chars = docs.columns.index("text"), docs.columns.index("n_chars") if "n_chars" in docs.columns else None
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in pieces(batches, "text"):
+            raw, off, starts, ends, bound, hit = _marked(b, at, b.num_columns - 1)
+            texts, left = [], np.add.reduceat(np.append(~hit, False).astype(np.int64), bound[:-1])
+            for k, (x, y) in enumerate(zip(bound[:-1], bound[1:], strict=True)):
+                keep = np.ones(int(off[k + 1] - off[k]), bool)
+                for s, e in _runs(starts[x:y], ends[x:y], hit[x:y]):
+                    keep[s - off[k] : e - off[k]] = False
+                texts.append(raw[off[k] : off[k + 1]][keep].tobytes().decode(errors="replace"))
+            cols = list(b.columns[:-1])
+            cols[at] = pa.array(texts, b.schema.field(at).type)
+            if chars is not None:
+                cols[chars] = pa.array([len(t) for t in texts], b.schema.field(chars).type)
+            yield pa.RecordBatch.from_arrays(cols, b.schema.names[:-1]).filter(pa.array(left > 0))
+
+    out, work = None, docs
+    while True:
+        hits = _hits(work, parts, width)
+        clean = work.join(hits, _meet(work, hits), "left_anti")
+        out = clean if out is None else out.unionByName(clean)
+        if not hits.limit(1).count():
+            return out
+        work = materialise(work.join(hits, _meet(work, hits)).select(*[work[c] for c in docs.columns], "spans").mapInArrow(run, docs.schema), "cut")
+
+
+def _scan(docs: DataFrame, sets, *also: str) -> DataFrame:
+    """``scan`` against broadcast windows; with "__text", the hash of the text as well."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
         for b in pieces(batches, "text"):
             raw, off, _ = buffers(b.column(1))
             hit, owners = None, {}
@@ -134,15 +222,14 @@ def scan(docs: DataFrame, bench: DataFrame, width: int = 10) -> DataFrame:
                     pa.array(np.diff(bound), pa.int64()),
                     pa.array(n_hit, pa.int64()),
                     pa.array([sorted(owners.get(k, ())) for k in range(b.num_rows)], pa.list_(pa.string())),
-                    pa.array(spans, kind),
+                    pa.array(spans, _SPANS),
+                    *b.columns[2:],
                 ],
-                ["doc_id", "n_words", "n_hit", "items", "spans"],
+                ["doc_id", "n_words", "n_hit", "items", "spans", *also],
             )
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(
-        run, f"doc_id {kind}, n_words bigint, n_hit bigint, items array<string>, spans array<struct<start: bigint, end: bigint>>"
-    )
+    return docs.select("doc_id", "text", *[F.xxhash64("text").alias(c) for c in also]).mapInArrow(run, f"doc_id {kind}, {_FOUND}{''.join(f', {c} bigint' for c in also)}")
 
 
 def _cut(text: str, sets: list[Windows]) -> tuple[str, int]:
@@ -170,7 +257,13 @@ def decontaminate(docs: DataFrame, bench: DataFrame, width: int = 10, mode: str
     """
     if mode not in ("spans", "documents"):
         raise ValueError(f"mode must be spans or documents, not {mode}")
-    sets = docs.sparkSession.sparkContext.broadcast(_passes(bench, width))
+    parts = _passes(bench, width)
+    if len(parts) > 1 and mode == "spans":
+        return _cut_in_passes(docs, parts, width)
+    if len(parts) > 1:
+        hits = _hits(docs, parts, width)
+        return docs.join(hits, _meet(docs, hits), "left_anti")
+    sets = docs.sparkSession.sparkContext.broadcast([_windows(parts[0], width)])
     at = docs.columns.index("text")
     chars = docs.columns.index("n_chars") if "n_chars" in docs.columns else None
 

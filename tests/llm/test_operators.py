@@ -145,6 +145,19 @@ def test_passes_unite(spark, sf, monkeypatch):
     assert sorted(map(repr, decontaminate.scan(docs, bench).select(*cols).collect())) == want
 
 
+def test_passes_are_broadcast_one_at_a_time(spark, sf, monkeypatch):
+    docs = given(spark, sf).select("doc_id", "text", "n_chars").unionByName(odd(spark).select("doc_id", "text", "n_chars"))
+    bench = given(spark, sf, "benchmark")
+    how = [lambda: decontaminate.scan(docs, bench), lambda: decontaminate.decontaminate(docs, bench, 10, "spans"), lambda: decontaminate.decontaminate(docs, bench, 10, "documents")]
+    want = [sorted(map(repr, f().collect())) for f in how]
+    sent, real = [], spark.sparkContext.broadcast
+    monkeypatch.setattr(spark.sparkContext, "broadcast", lambda x: (sent.append(x), real(x))[1])
+    monkeypatch.setattr(decontaminate, "PASS_WORDS", 700)
+    n = len(decontaminate._passes(bench, 10))
+    assert n > 1 and [sorted(map(repr, f().collect())) for f in how] == want
+    assert len(sent) >= 3 * n and all(len(x) == 1 for x in sent)
+
+
 def test_decontaminate_odd_rows(spark):
     bench = spark.createDataFrame([(1, "one two three four five six seven eight nine ten")], "item_id bigint, text string")
     out = {r.doc_id: r for r in decontaminate.decontaminate(odd(spark), bench).collect()}
