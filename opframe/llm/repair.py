@@ -16,7 +16,7 @@ from __future__ import annotations
 import struct
 import zlib
 from collections.abc import Iterator
-from itertools import chain, repeat
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -25,17 +25,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import kept, materialise, pieces, ragged, scratch_dir
+from .common import buffers, kept, materialise, mix, pieces, ragged, scratch_dir
 
 #: Ids after which a shard is closed; a longer document is a shard of its own.
 SHARD_IDS = 1 << 20
-#: Pairs replaced in one round, and the least count of a replaced pair.
-PAIRS_A_ROUND, LEAST_COUNT = 4096, 16
+#: Least count of a replaced pair: a rule takes 12 bytes of the record and saves 4 for each occurrence, so a rarer pair would make it longer.
+LEAST_COUNT = 4
 #: Hash slots that tell which pairs are too rare to be counted one by one.
 SLOTS = 1 << 20
 MAGIC = b"RPID1\0\0\0"
+#: Text bytes that are encoded in one pass.
+PASS_BYTES = 12 << 20
 #: Distinct words kept encoded by a worker; past it the table starts anew (results do not depend on it).
-CACHE_WORDS = 500_000
+CACHE_WORDS = 2_000_000
 
 
 def _byte_alphabet() -> str:
@@ -69,18 +71,17 @@ class WordEncoder:
         self._clear()
 
     def _clear(self) -> None:
-        self.parts: dict[str, int] = {}
-        self.others: dict[str, int] = {}
+        # words met so far and the run of each, letters first, others second
+        self.known = [pa.array([], pa.string()), pa.array([], pa.string())]
+        self.run_of = [np.zeros(0, np.int64), np.zeros(0, np.int64)]
         self.ids = np.zeros(1 << 20, np.uint32)
         self.used = 0
         self.start = np.zeros(1 << 18, np.int64)
         self.len = np.zeros(1 << 18, np.int64)
         self.runs = 1  # run 0 is empty
 
-    def _store(self, runs: list[list[int]]) -> int:
+    def _store(self, ids: np.ndarray, lens: np.ndarray) -> int:
         """Append runs of ids; the number of the first."""
-        lens = np.fromiter(map(len, runs), np.int64, len(runs))
-        ids = np.fromiter(chain.from_iterable(runs), np.uint32, int(lens.sum()))
         while self.used + len(ids) > len(self.ids):
             self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
         while self.runs + len(lens) > len(self.start):
@@ -94,25 +95,31 @@ class WordEncoder:
         self.runs += len(lens)
         return first
 
-    def _numbers(self, names: list[str], table: dict[str, int], letters: bool) -> np.ndarray:
-        """Run number of each of the distinct names; unknown ones are encoded."""
-        got = np.fromiter(map(table.get, names, repeat(-1)), np.int64, len(names))
-        missing = np.flatnonzero(got < 0)
+    def _numbers(self, names: pa.Array, kind: int) -> np.ndarray:
+        """Run number of each of the distinct names (kind 0: letters only, 1: others); unknown ones are encoded."""
+        at = np.asarray(pc.fill_null(pc.index_in(names, value_set=self.known[kind]), -1), np.int64)
+        got = np.append(self.run_of[kind], 0)[at]
+        missing = np.flatnonzero(at < 0)
         if len(missing):
-            fresh = [names[i] for i in missing.tolist()]
-            if letters:
+            fresh = names.take(pa.array(missing))
+            if kind == 0:
                 tokenize, alphabet = self.tok.model.tokenize, self.alphabet
-                runs = [[x.id for x in tokenize(w if w.isascii() else "".join([alphabet[c] for c in w.encode()]))] for w in fresh]
+                runs = [[x.id for x in tokenize(w if w.isascii() else "".join([alphabet[c] for c in w.encode()]))] for w in fresh.to_pylist()]
+                lens = np.fromiter(map(len, runs), np.int64, len(runs))
+                ids = np.fromiter(chain.from_iterable(runs), np.uint32, int(lens.sum()))
             else:
-                runs = [e.ids for e in self.tok.encode_batch(fresh, add_special_tokens=False)]
-            first = self._store(runs)
-            got[missing] = np.arange(first, first + len(fresh))
-            table.update(zip(fresh, range(first, first + len(fresh)), strict=True))
+                whole = self.tok.encode(fresh.to_pylist(), is_pretokenized=True, add_special_tokens=False)
+                ids = np.array(whole.ids, np.uint32)
+                lens = np.bincount(np.array(whole.word_ids, np.int64), minlength=len(fresh))
+            own = np.arange(len(lens)) + self._store(ids, lens)
+            got[missing] = own
+            self.known[kind] = pa.concat_arrays([self.known[kind], fresh])
+            self.run_of[kind] = np.append(self.run_of[kind], own)
         return got
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts, how many each has)."""
-        if len(self.parts) + len(self.others) > CACHE_WORDS:
+        if sum(map(len, self.known)) > CACHE_WORDS:
             self._clear()
         plain = pc.replace_substring(pc.replace_substring(pc.fill_null(texts, ""), "\n", " "), "\t", " ")
         lists = pc.split_pattern(plain, " ")
@@ -126,16 +133,19 @@ class WordEncoder:
         at = np.flatnonzero(good)
         if len(at):
             low = pc.utf8_lower(core.take(pa.array(at))).dictionary_encode()
-            first[at] = self._numbers(low.dictionary.to_pylist(), self.parts, True)[np.asarray(low.indices)]
-            extra = np.asarray(pc.subtract(pc.binary_length(uniq), pc.binary_length(core)))
+            first[at] = self._numbers(low.dictionary, 0)[np.asarray(low.indices)]
+            raw, off, _ = buffers(uniq)
+            extra = np.diff(off) - np.asarray(pc.binary_length(core), np.int64)
             tailed = np.flatnonzero(good & (extra > 0))
-            tails = [w[-k:] for w, k in zip(uniq.take(pa.array(tailed)).to_pylist(), extra[tailed].tolist(), strict=True)]
-            kinds = list(dict.fromkeys(tails))
-            which = dict(zip(kinds, self._numbers(kinds, self.others, False).tolist(), strict=True))
-            second[tailed] = np.fromiter(map(which.__getitem__, tails), np.int64, len(tails))
+            if len(tailed):
+                size = extra[tailed]
+                tails = pa.StringArray.from_buffers(
+                    len(tailed), pa.py_buffer(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), pa.py_buffer(raw[ragged(off[tailed + 1] - size, size)])
+                ).dictionary_encode()
+                second[tailed] = self._numbers(tails.dictionary, 1)[np.asarray(tails.indices)]
         rest = np.flatnonzero(~good)
         if len(rest):
-            first[rest] = self._numbers(uniq.take(pa.array(rest)).to_pylist(), self.others, False)
+            first[rest] = self._numbers(uniq.take(pa.array(rest)), 1)
         pair = np.stack([first, second], axis=1).ravel()
         flat = self.ids[ragged(self.start[pair], self.len[pair])]
         size = self.len[first] + self.len[second]
@@ -151,46 +161,80 @@ def encoder(path: str) -> WordEncoder:
     return kept(f"words:{path}", lambda: WordEncoder(path))
 
 
-def compress(ids: np.ndarray, terminals: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Re-Pair in rounds: (sequence, rules (n, 2), expansion length of each rule).
-
-    A round counts all neighbouring pairs exactly and replaces the most frequent ones at once,
-    left to right without overlap, until no pair occurs LEAST_COUNT times.
-    Symbol ``terminals + r`` stands for rule r.
+def _frequent(pair: np.ndarray, able: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(positions, rank of the pair at each, distinct pairs by rank) of the pairs that ``able`` positions hold ``least`` times or more; a higher rank is a higher count."""
+    at = np.flatnonzero(able)
+    if len(at) > SLOTS // 4:
+        # a slot's count bounds that of each of its pairs, so only pairs of full slots are told apart
+        slot = (pair[at] * np.int64(0x5851F42D4C957F2D)) >> np.int64(44) & (SLOTS - 1)
+        at = at[(np.bincount(slot, minlength=SLOTS) >= least)[slot]]
+    coded = pa.array(pair[at]).dictionary_encode()
+    which, kinds = np.asarray(coded.indices), np.asarray(coded.dictionary)
+    counts = np.bincount(which, minlength=len(kinds))
+    many = np.flatnonzero(counts >= least)
+    # equal counts in an order that neighbours do not share, so that a repeated passage is paired up all along in one round
+    by = many[np.lexsort((mix(kinds[many].view(np.uint64)), counts[many]))]
+    rank = np.full(len(kinds), -1, np.int32)
+    rank[by] = np.arange(len(by), dtype=np.int32)
+    which = rank[which]
+    return at[which >= 0], which[which >= 0], kinds[by]
+
+
+def compress(ids: np.ndarray, terminals: int, least: int = LEAST_COUNT) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Re-Pair: (sequence, rules (n, 2), expansion length of each rule).
+
+    A round counts neighbouring pairs exactly (occurrences that overlap count once) and
+    replaces a pair wherever it is more frequent than the pairs it overlaps; so the most frequent
+    pair goes first everywhere, and pairs that do not touch go in the same round. A pair that was
+    too rare and lost no neighbour stays too rare and is not counted again. It ends when no pair
+    occurs ``least`` times; 2 is the classic end. Symbol ``terminals + r`` stands for rule r.
     """
     seq = ids.astype(np.int64)
-    rules = np.zeros((0, 2), np.int64)
-    size = np.ones(terminals, np.int64)
-    while len(seq) >= 2 * LEAST_COUNT:
-        bits = np.int64(int(terminals + len(rules)).bit_length())
+    rules = [np.zeros((0, 2), np.int64)]
+    made, open_ = 0, np.ones(max(len(seq) - 1, 0), bool)
+    while len(seq) >= 2 * least:
+        bits = np.int64(int(terminals + made).bit_length())
         pair = (seq[:-1] << bits) | seq[1:]
-        # a slot's count bounds that of each of its pairs, so only pairs of full slots are sorted and counted
-        slot = (pair * np.int64(0x5851F42D4C957F2D)) >> np.int64(44) & (SLOTS - 1)
-        at = np.flatnonzero((np.bincount(slot, minlength=SLOTS) >= LEAST_COUNT)[slot])
-        kinds, which, counts = np.unique(pair[at], return_inverse=True, return_counts=True)
-        frequent = np.flatnonzero(counts >= LEAST_COUNT)
-        if not len(frequent):
+        # in a run of one symbol every other pair overlaps the one before it
+        alike = np.flatnonzero(pair[1:] == pair[:-1]) + 1
+        able = open_
+        if len(alike):
+            run = np.flatnonzero(np.diff(alike, prepend=-9) != 1)
+            place = np.arange(len(alike)) - np.repeat(run, np.diff(np.append(run, len(alike))))
+            able = open_.copy()
+            able[alike[place % 2 == 0]] = False
+        at, rank, kinds = _frequent(pair, able, least)
+        if not len(kinds):
             break
-        best = frequent[np.argsort(-counts[frequent], kind="stable")[:PAIRS_A_ROUND]]
-        number = np.full(len(kinds), -1, np.int32)
-        number[best] = np.arange(len(best), dtype=np.int32)
-        order, rule = kinds[best], number[which]
-        at, rule = at[rule >= 0], rule[rule >= 0]
-        run = np.flatnonzero(np.diff(at, prepend=-9) != 1)
-        place = np.arange(len(at)) - np.repeat(run, np.diff(np.append(run, len(at))))
-        at, rule = at[place % 2 == 0], rule[place % 2 == 0]
-        base = terminals + len(rules)
-        used = np.unique(rule)
-        name = np.zeros(len(order), np.int64)
-        name[used] = base + np.arange(len(used))
-        new = np.stack([order[used] >> bits, order[used] & ((1 << bits) - 1)], axis=1)
-        rules = np.concatenate([rules, new])
-        size = np.concatenate([size, size[new[:, 0]] + size[new[:, 1]]])
-        seq[at] = name[rule]
-        keep = np.ones(len(seq), bool)
-        keep[at + 1] = False
-        seq = seq[keep]
-    return seq, rules, size[terminals:]
+        left = open_ & ~able
+        left[at] = True
+        level = np.full(len(pair) + 2, -1, np.int32)
+        level[at + 1] = rank
+        top = (rank > level[at]) & (rank > level[at + 2])
+        at, rank = at[top], rank[top]
+        used = np.bincount(rank, minlength=len(kinds))
+        keep = used[rank] >= least
+        at, rank = at[keep], rank[keep]
+        new = np.flatnonzero(used >= least)
+        name = np.zeros(len(kinds), np.int64)
+        name[new] = terminals + made + np.arange(len(new))
+        rules.append(np.stack([kinds[new] >> bits, kinds[new] & ((1 << bits) - 1)], axis=1))
+        made += len(new)
+        seq[at] = name[rank]
+        stay = np.ones(len(seq), bool)
+        stay[at + 1] = False
+        # pairs with a new symbol are new
+        left = np.append(left, False)
+        left[at] = True
+        left[np.maximum(at - 1, 0)] = True
+        seq, open_ = seq[stay], left[stay][:-1]
+    every = np.concatenate(rules)
+    size = np.ones(terminals + made, np.int64)
+    done = 0
+    for r in rules:
+        size[terminals + done : terminals + done + len(r)] = size[r].sum(axis=1)
+        done += len(r)
+    return seq, every, size[terminals:]
 
 
 def expand(seq: np.ndarray, rules: np.ndarray, terminals: int) -> np.ndarray:
@@ -284,7 +328,7 @@ def write_ids(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2) -> No
                 ["part", "seq", "doc_ids", "n_ids", "payload"],
             )
 
-        for b in pieces(batches, "text", 6 << 20):
+        for b in pieces(batches, "text", PASS_BYTES):
             id_type = b.column(0).type
             ids, n = words.encode(b.column(1))
             out = np.full(len(ids) + len(n), end_id, np.uint32)

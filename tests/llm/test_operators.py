@@ -520,16 +520,38 @@ def test_grammar_round_trip_and_random_access():
     assert (repair.expand(*repair.compress(same, 8)[:2], 8) == same).all()
 
 
-def test_no_frequent_pair_is_left():
+def most_frequent_pair(seq):
+    """Occurrences of the most frequent pair; in a run of one symbol every other pair counts."""
+    counts, before = collections.Counter(), None
+    for at, pair in enumerate(itertools.pairwise(seq)):
+        if before == (at - 1, pair):
+            before = None
+            continue
+        counts[pair] += 1
+        before = (at, pair)
+    return max(counts.values())
+
+
+@pytest.mark.parametrize("least", [2, 4, 16])
+def test_no_frequent_pair_is_left(least):
     rng = np.random.default_rng(4)
     phrases = [rng.integers(0, 40_000, int(rng.integers(2, 40))) for _ in range(4000)]
-    ids = np.concatenate([phrases[int(i)] for i in (4000 * rng.random(30_000) ** 2).astype(int)])
-    seq, rules, _ = repair.compress(ids, 40_000)
-    counts = collections.Counter(zip(seq[:-1].tolist(), seq[1:].tolist(), strict=True))
-    assert max(counts.values()) < repair.LEAST_COUNT and len(rules) > repair.PAIRS_A_ROUND
+    ids = np.concatenate([phrases[int(i)] for i in (4000 * rng.random(30_000) ** 2).astype(int)] + [np.full(999, 5)])
+    seq, rules, size = repair.compress(ids, 40_000, least)
+    assert most_frequent_pair(seq.tolist()) < least and len(rules) > 4096
+    # every rule pays for itself and is made of what came before it
+    assert (rules.max(axis=1) < 40_000 + np.arange(len(rules))).all() and size.min() >= 2
     assert (repair.expand(seq, rules, 40_000) == ids).all()
 
 
+def test_a_long_repeated_passage_takes_few_rules():
+    """Pairs of equal counts are paired up all along: the grammar of n copies of a passage is about as long as the passage."""
+    passage = np.arange(5000)
+    ids = np.tile(passage, 8)
+    seq, rules, size = repair.compress(ids, 5000)
+    assert len(rules) <= 5001 and len(seq) <= 16 and (repair.expand(seq, rules, 5000) == ids).all()
+
+
 def test_ids_written_and_read(spark, sf, word_model, tmp_path):
     from tokenizers import Tokenizer
 
