@@ -9,14 +9,15 @@ fingerprints share one verifying step:
   fingerprints so that unrelated fingerprints rarely meet; every choice gives the same links.
 * ``band_keys``: wide fingerprints of shingle sets for a similarity bound. The exact split would
   need millions of keys there, so blocks are cut from several permutations of the bits until a
-  pair at the bound shares a block with the stated probability. Here distances only propose
-  pairs: each is verified by the Jaccard similarity of the whole shingle sets.
+  pair at the bound shares a block with the stated probability. Here distances only gather
+  texts: those that they connect are compared by their whole shingle sets.
 
 Fingerprints that share a key meet in one bucket. Buckets are split into chunks of bounded
 size and every pair of chunks is a group of its own, so a hot key spreads over tasks. A group
 verifies all of its Hamming distances and emits one link for each fingerprint that it connects:
-connectivity is exact and the output is never larger than the group. Only where a proposed pair is
-refuted do the fingerprints around it meet again and give all their pairs across what is linked.
+connectivity is exact and the output is never larger than the group. What wide fingerprints
+connect is dealt the same way, by bytes of shingle sets, and each group of sets is searched for
+links by Jaccard similarity; so a set travels once for each chunk it meets and never once a pair.
 """
 
 from __future__ import annotations
@@ -39,6 +40,8 @@ CHUNK = 2048
 #: Text bytes of one pass, whose shingles are lists of Python numbers for a moment.
 PASS_BYTES = 1 << 20
 SEED = 42
+#: Bytes of shingle sets of one chunk of connected texts; one wide fingerprint in SAMPLE is counted to find hot keys.
+SET_BYTES, SAMPLE = 4 << 20, 16
 #: A pair at the similarity bound shares a block with this probability at the expected distance; distances up to so many deviations above it are candidates.
 RECALL, SURE = 0.9999, 3.5
 
@@ -149,7 +152,7 @@ def band_plan(n: int, bits: int, similarity: float, recall: float, sure: float)
     return width, math.ceil(math.log(1 - recall) / math.log(1 - hit)), round(bits * share + sure * math.sqrt(bits * share * (1 - share)))
 
 
-def band_keys(nodes: DataFrame, width: int, bands: int, words64: int) -> DataFrame:
+def band_keys(sims: DataFrame, width: int, bands: int, words64: int) -> DataFrame:
     """(key, fp): blocks of ``width`` bits cut from fixed permutations of the fingerprint's bits."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -160,12 +163,12 @@ def band_keys(nodes: DataFrame, width: int, bands: int, words64: int) -> DataFra
         for big in batches:
             for at in range(0, big.num_rows, 4096):
                 b = big.slice(at, 4096)
-                m = np.unpackbits(buffers(b.column(0))[0].reshape(b.num_rows, -1)[:, : 8 * words64], axis=1, bitorder="little").astype(np.uint64)
+                m = np.unpackbits(buffers(b.column(0))[0].reshape(b.num_rows, -1), axis=1, bitorder="little").astype(np.uint64)
                 keys = np.stack([mix((m[:, c] * weight).sum(1) + np.uint64(i << 44)) for i, c in enumerate(cuts)], axis=1)
-                take = pa.array(np.repeat(np.arange(b.num_rows), len(cuts)))
-                yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64).ravel()), b.column(0).take(take)], ["key", "fp"])
+                edges = pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * np.int32(len(cuts)))
+                yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(edges, pa.array(keys.view(np.int64).ravel())), b.column(0)], ["keys", "fp"])
 
-    return nodes.select("fp").mapInArrow(run, "key bigint, fp binary")
+    return sims.select("fp").mapInArrow(run, "keys array<bigint>, fp binary").select(F.explode("keys").alias("key"), "fp")
 
 
 def forest(fp: np.ndarray, max_diff: int) -> list[tuple[int, int]]:
@@ -189,66 +192,37 @@ def forest(fp: np.ndarray, max_diff: int) -> list[tuple[int, int]]:
     return out
 
 
-def tree(fp: np.ndarray, max_diff: int) -> list[tuple[int, int]]:
-    """Links, as index pairs of rows at ``max_diff`` or fewer differing bits, least distances first, that connect what the graph of all such pairs connects."""
-    if len(fp) <= 32:
-        near = np.bitwise_count(fp[:, None] ^ fp[None]).sum(2) <= max_diff
-        if near.sum() <= len(fp):
-            return []
-    rest, out = np.lexsort(fp.T[::-1]), []
-    best, parent = np.full(len(fp), 1 << 30), np.full(len(fp), -1)
-    while len(rest):
-        at = int(best[rest].argmin())
-        x, rest = int(rest[at]), np.delete(rest, at)
-        if best[x] <= max_diff:
-            out.append((int(parent[x]), x))
-        far = np.bitwise_count(fp[rest] ^ fp[x]).sum(1).astype(np.int64)
-        closer = far < best[rest]
-        best[rest[closer]], parent[rest[closer]] = far[closer], x
-    return out
-
+def hot_keys(keyed: DataFrame, one_in: int = 1) -> DataFrame:
+    """(key, parts) of the keys that more than CHUNK fingerprints meet, counted on one in ``one_in`` of them.
 
-def across(fp: np.ndarray, label: np.ndarray, max_diff: int) -> list[tuple[int, int]]:
-    """All index pairs of rows of different labels at ``max_diff`` or fewer differing bits."""
-    out = []
-    for i in range(len(fp) - 1):
-        near = (label[i + 1 :] != label[i]) & (np.bitwise_count(fp[i + 1 :] ^ fp[i]).sum(1) <= max_diff)
-        out += [(i, i + 1 + j) for j in np.flatnonzero(near).tolist()]
-    return out
+    Only the size of groups rests on the count, not what is compared.
+    """
+    bound = CHUNK if one_in == 1 else max(1, CHUNK // one_in // 2)
+    return keyed.groupBy("key").count().where(F.col("count") > bound).select("key", F.ceil(F.col("count") * one_in / CHUNK).cast("int").alias("parts"))
 
 
-def buckets(keyed: DataFrame) -> DataFrame:
-    """(fps, and labels if ``keyed`` has them) of the groups of fingerprints that share a key.
+def buckets(keyed: DataFrame, hot: DataFrame) -> DataFrame:
+    """(fps) of the groups of fingerprints that share a key; those of ``hot`` keys are dealt out as pairs of chunks.
 
-    ``keyed`` has a row (key, fp) for each key of each distinct fingerprint. Keys met by more
-    than CHUNK fingerprints are dealt out as pairs of chunks.
+    ``keyed`` has a row (key, fp) for each key of each distinct fingerprint.
     """
-    hot = materialise(keyed.groupBy("key").count().where(F.col("count") > CHUNK), "hot")
     n_hot = hot.count()
     if n_hot:
-        near = keyed.join(maybe_broadcast(hot, n_hot), "key", "left").withColumn(
-            "parts", F.ceil(F.coalesce("count", F.lit(1)) / CHUNK).cast("int")
-        )
-    else:
-        near = keyed.withColumn("parts", F.lit(1))
-    part = F.pmod(F.xxhash64("fp", F.lit(1)), F.col("parts")).cast("int")
-    labels = ["label"] if "label" in keyed.columns else []
-    near = near.withColumn("part", part).select(
-        "key", "fp", *labels, F.explode(F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least("part", j).alias("i"), F.greatest("part", j).alias("j")))).alias("pair")
-    )
-    if labels:
-        groups = near.groupBy("key", "pair").agg(F.collect_list(F.struct("fp", "label")).alias("l")).where(F.size("l") > 1)
-        return groups.select(F.col("l.fp").alias("fps"), F.col("l.label").alias("labels"))
-    return near.groupBy("key", "pair").agg(F.collect_list("fp").alias("fps")).where(F.size("fps") > 1).select("fps")
+        near = keyed.join(maybe_broadcast(hot, n_hot), "key", "left").withColumn("parts", F.greatest(F.coalesce("parts", F.lit(1)), F.lit(1)))
+        near = near.select("key", "fp", F.explode(chunk_pairs(F.col("fp"), F.col("parts"))).alias("pair"))
+        return near.groupBy("key", "pair").agg(F.collect_list("fp").alias("fps")).where(F.size("fps") > 1).select("fps")
+    return keyed.groupBy("key").agg(F.collect_list("fp").alias("fps")).where(F.size("fps") > 1).select("fps")
 
 
-def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
-    """Links (u, v), by node id, between fingerprints that share a key and differ in few bits.
+def chunk_pairs(item, parts):
+    """The pairs of chunks, out of ``parts``, that an item takes part in."""
+    part = F.pmod(F.xxhash64(item, F.lit(1)), parts).cast("int")
+    return F.transform(F.sequence(F.lit(0), parts - 1), lambda j: F.struct(F.least(part, j).alias("i"), F.greatest(part, j).alias("j")))
 
-    For wide fingerprints these are pairs to be verified: a tree of each group, or, where
-    ``keyed`` has labels, all pairs of different labels.
-    """
-    groups = buckets(keyed)
+
+def links(keyed: DataFrame, max_diff: int, words64: int = 1, hot: DataFrame | None = None) -> DataFrame:
+    """Links (u, v), by node id, between fingerprints that share a key and differ in few bits."""
+    groups = buckets(keyed, materialise(hot_keys(keyed), "hot") if hot is None else hot)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -258,19 +232,14 @@ def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
             if words64 == 1:
                 fp = np.asarray(flat).view(np.uint64).reshape(-1, 1)
             else:
-                fp = buffers(flat)[0].view(np.uint64).reshape(-1, words64 + 1)[:, :words64]
-            label = np.asarray(b.column(1).flatten()) if b.num_columns > 1 else None
-            end = np.cumsum(np.asarray(b.column(0).value_lengths()))
-            at = 0
-            for to in end.tolist():
-                if label is not None:
-                    found = across(fp[at:to], label[at:to], max_diff)
-                else:
-                    found = forest(fp[at:to], max_diff) if words64 == 1 else tree(fp[at:to], max_diff)
-                for x, y in found:
+                fp = buffers(flat)[0].view(np.uint64).reshape(-1, words64)
+            size = np.asarray(b.column(0).value_lengths(), np.int64)
+            end = np.cumsum(size)
+            for k in _near_groups(fp, size, end, max_diff).tolist():
+                at = int(end[k] - size[k])
+                for x, y in forest(fp[at : end[k]], max_diff):
                     u.append(at + x)
                     v.append(at + y)
-                at = to
             if u:
                 yield pa.RecordBatch.from_arrays([flat.take(pa.array(u)), flat.take(pa.array(v))], ["a", "b"])
 
@@ -280,53 +249,118 @@ def links(keyed: DataFrame, max_diff: int, words64: int = 1) -> DataFrame:
     return found.select(F.least(node("a"), node("b")).alias("u"), F.greatest(node("a"), node("b")).alias("v")).distinct()
 
 
-def verified(docs: DataFrame, nodes: DataFrame, pairs: DataFrame, width: int, similarity: float) -> DataFrame:
-    """(u, v, ok) of all ``pairs`` (u, v): whether the Jaccard similarity of the whole shingle sets is ``similarity`` or more."""
-    ids = pairs.select(F.col("u").alias("id")).unionByName(pairs.select(F.col("v").alias("id"))).distinct()
-    wanted = materialise(nodes.join(ids, "id").select("id", F.col("src.doc_id").alias("__id"), F.col("src.__text").alias("__hash")), "wanted")
+def _near_groups(fp: np.ndarray, size: np.ndarray, end: np.ndarray, max_diff: int, small: int = 32) -> np.ndarray:
+    """Groups that may have a link: of the small ones, those with a close pair; all larger ones."""
+    found = size > small
+    group = np.repeat(np.arange(len(size)), size)
+    left = np.repeat(end, size) - np.arange(len(fp))
+    left[found[group]] = 0
+    for step in range(1, small):
+        at = np.flatnonzero(left > step)
+        if not len(at):
+            break
+        near = np.bitwise_count(fp[at] ^ fp[at + step]).sum(1) <= max_diff
+        found[group[at[near]]] = True
+    return np.flatnonzero(found)
+
+
+def similar_sets(values: np.ndarray, count: np.ndarray, similarity: float) -> list[tuple[int, int]]:
+    """Links, as index pairs, that connect what Jaccard similarities of ``similarity`` or more connect.
+
+    values: the sets' members one set after another, count: the size of each. A set is compared
+    with all that no link has reached yet, by one pass over their members. An empty set has no link.
+    """
+    code = np.asarray(pa.array(values).dictionary_encode().indices)
+    flag = np.zeros(int(code.max()) + 1 if len(code) else 0, bool)
+    start = np.cumsum(count) - count
+    rest, out = np.flatnonzero(count), []
+    held = code if len(rest) == len(count) else code[ragged(start[rest], count[rest])]
+    while len(rest) > 1:
+        seed, rest = int(rest[0]), rest[1:]
+        held = held[count[seed] :]
+        queue = [seed]
+        while queue and len(rest):
+            x = queue.pop()
+            own = code[start[x] : start[x] + count[x]]
+            flag[own] = True
+            size = count[rest]
+            both = np.add.reduceat(flag[held], np.cumsum(size) - size, dtype=np.int64)
+            flag[own] = False
+            near = both >= similarity * (count[x] + size - both)
+            if near.any():
+                found = rest[near].tolist()
+                out += [(seed, y) for y in found]
+                queue += found
+                held, rest = held[np.repeat(~near, size)], rest[~near]
+    return out
+
+
+def similar_links(docs: DataFrame, members: DataFrame, width: int, similarity: float) -> DataFrame:
+    """Links (u, v) between members of one group whose whole shingle sets are similar.
+
+    members: (id, g, __id, __hash): node, group, and the doc_id and text hash of a row that has its text.
+    """
     meet = docs["doc_id"].eqNullSafe(F.col("__id")) & (docs["__text"] == F.col("__hash"))
-    texts = docs.join(maybe_broadcast(wanted, wanted.count()), meet).select("id", "text")
+    texts = docs.join(maybe_broadcast(members, members.count()), meet).select("id", "g", "text")
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in pieces(batches, "text", PASS_BYTES):
-            raw, off, _ = buffers(b.column(1))
+            raw, off, _ = buffers(b.column(2))
             found = _slices(*distinct_sets(*shingle_hashes(raw, off, width)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.binary())], ["id", "shingles"])
-
-    sets = materialise(texts.mapInArrow(read, "id bigint, shingles binary").dropDuplicates(["id"]), "sets")
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(found, pa.binary())], ["id", "g", "shingles"])
+
+    sets = materialise(texts.mapInArrow(read, "id bigint, g bigint, shingles binary"), "sets")
+    large = sets.groupBy("g").agg(F.sum(F.length("shingles")).alias("bytes")).where(F.col("bytes") > SET_BYTES)
+    large = materialise(large.select("g", F.ceil(F.col("bytes") / SET_BYTES).cast("int").alias("parts")), "large")
+    n_large = large.count()
+    if n_large:
+        dealt = sets.join(maybe_broadcast(large, n_large), "g", "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+        dealt = dealt.select("g", F.explode(chunk_pairs(F.col("id"), F.col("parts"))).alias("pair"), "id", "shingles")
+    else:
+        dealt = sets.select("g", F.struct(F.lit(0).alias("i"), F.lit(0).alias("j")).alias("pair"), "id", "shingles")
+    dealt = dealt.select(F.xxhash64("g", "pair").alias("group"), "g", "id", "shingles")
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, bytes] = {}
+        last = None
+
+        def close() -> pa.RecordBatch:
+            ids, data = np.array(list(held), np.int64), list(held.values())
+            found = similar_sets(np.frombuffer(b"".join(data), "<u8"), np.array([len(x) // 8 for x in data], np.int64), similarity)
+            pair = np.array(found, np.int64).reshape(-1, 2)
+            return pa.RecordBatch.from_arrays([pa.array(ids[pair[:, 0]]), pa.array(ids[pair[:, 1]])], ["u", "v"])
+
         for b in batches:
-            ok = []
-            for x, y in zip(b.column(2), b.column(3), strict=True):
-                x, y = np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8")
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                ok.append(both >= similarity * (len(x) + len(y) - both))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(ok, pa.bool_())], ["u", "v", "ok"])
+            for group, g, node, data in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), b.column(3), strict=True):
+                if last != (group, g):
+                    if len(held) > 1:
+                        yield close()
+                    held, last = {}, (group, g)
+                held[node] = data.as_buffer().to_pybytes()
+        if len(held) > 1:
+            yield close()
 
-    a, b = (sets.select(F.col("id").alias(c), F.col("shingles").alias(f"of_{c}")) for c in ("u", "v"))
-    return pairs.join(a, "u").join(b, "v").select("u", "v", "of_u", "of_v").mapInArrow(compare, "u bigint, v bigint, ok boolean")
+    # groups come one after another, sorted by Spark, so that a task holds one of them at a time
+    return dealt.repartition("group", "g").sortWithinPartitions("group", "g").mapInArrow(compare, "u bigint, v bigint")
 
 
-def similar_roots(docs: DataFrame, nodes: DataFrame, keyed: DataFrame, max_diff: int, words64: int, width: int, similarity: float) -> DataFrame:
-    """(id, root) of nodes linked by verified pairs.
+def similar_roots(docs: DataFrame, nodes: DataFrame, words64: int, width: int, similarity: float, recall: float, sure: float) -> DataFrame:
+    """(id, root) of the nodes that similar shingle sets link.
 
-    The trees' pairs come first. Nodes that distances connect to a refuted pair meet once more and
-    give all pairs across different components, so that a refuted pair hides no other link.
+    Nodes whose fingerprints blocks and distances connect are a group; links are sought within groups by whole sets.
     """
-    first = materialise(verified(docs, nodes, materialise(links(keyed, max_diff, words64), "pairs"), width, similarity), "verified")
-    roots = components(first.where("ok").select("u", "v"))
-    bad = first.where("not ok").select(F.col("u").alias("id"))
-    if not bad.limit(1).count():
-        return roots
-    loose = components(first.select("u", "v"))
-    open_roots = materialise(loose.join(bad, "id").select(F.col("root").alias("loose")).distinct(), "open-roots")
-    label = loose.join(maybe_broadcast(open_roots, open_roots.count()), loose["root"] == F.col("loose"), "left_semi").select("id")
-    label = materialise(label.join(roots, "id", "left").select("id", F.coalesce("root", "id").alias("label")).join(nodes.select("id", "fp"), "id").select("fp", "label"), "labels")
-    again = materialise(keyed.join(maybe_broadcast(label, label.count()), "fp").select("key", "fp", "label"), "open")
-    more = materialise(links(again, max_diff, words64).join(first.select("u", "v"), ["u", "v"], "left_anti"), "pairs")
-    second = materialise(verified(docs, nodes, more, width, similarity).where("ok").select("u", "v"), "verified")
-    return components(first.where("ok").select("u", "v").unionByName(second))
+    sims = materialise(nodes.select(F.substring("fp", 1, 8 * words64).alias("fp")).distinct(), "sims")
+    n = sims.count()
+    block, bands, max_diff = band_plan(n, 64 * words64, similarity, recall, sure)
+    some = sims.where(F.pmod(F.xxhash64("fp", F.lit(2)), F.lit(SAMPLE)) == 0)
+    hot = materialise(hot_keys(band_keys(some, block, bands, words64), SAMPLE), "hot")
+    near = components(materialise(links(band_keys(sims, block, bands, words64), max_diff, words64, hot), "near"))
+    own = nodes.select("id", "src", F.xxhash64(F.substring("fp", 1, 8 * words64)).alias("sim"))
+    own = own.join(maybe_broadcast(near.select(F.col("id").alias("sim"), "root"), near.count()), "sim", "left").select("id", "src", F.coalesce("root", "sim").alias("g"))
+    own = materialise(own, "groups")
+    shared = materialise(own.groupBy("g").count().where("count > 1").select("g"), "shared")
+    members = own.join(maybe_broadcast(shared, shared.count()), "g", "left_semi").select("id", "g", F.col("src.doc_id").alias("__id"), F.col("src.__text").alias("__hash"))
+    return components(materialise(similar_links(docs, materialise(members, "members"), width, similarity), "similar"))
 
 
 def linked(docs: DataFrame, width: int, words64: int, max_diff: int | None, similarity: float, recall: float, sure: float) -> tuple[DataFrame, DataFrame, DataFrame, int]:
@@ -339,9 +373,7 @@ def linked(docs: DataFrame, width: int, words64: int, max_diff: int | None, simi
     nodes = materialise(made.groupBy("fp").agg(F.min("doc_id").alias("rep"), *source).withColumn("id", node_id), "nodes")
     n = nodes.count()
     if max_diff is None:
-        block, bands, max_diff = band_plan(n, 64 * words64, similarity, recall, sure)
-        keyed = materialise(band_keys(nodes, block, bands, words64), "bands")
-        return made, nodes, similar_roots(docs, nodes, keyed, max_diff, words64, width, similarity), n
+        return made, nodes, similar_roots(docs, nodes, words64, width, similarity, recall, sure), n
     keyed = pigeonhole_keys(nodes, n, max_diff)
     return made, nodes, components(materialise(links(keyed, max_diff, words64), "edges")), n
 
@@ -359,7 +391,7 @@ def near_duplicates(
 
     With ``max_diff``: exact links at that many or fewer differing bits of 64. With
     ``max_diff=None`` (and ``words64`` of 2 or more): links at ``similarity`` or more of the whole
-    shingle sets, proposed by blocks and distance of ``64 * words64`` bits and all verified.
+    shingle sets, sought among texts that blocks and distances of ``64 * words64`` bits connect.
     component_id is the least doc_id reachable over links, equal fingerprints (sets, where wide)
     included. Wide fingerprints are identified by a 64-bit hash in the link table. Rows with a null doc_id take part and count as the largest id. An empty table
     gives no rows. Extra columns of ``docs`` are ignored.
