@@ -1,18 +1,23 @@
 """Language-model scoring by deleted interpolation (operator 5).
 
 The corpus is cut into chunks of bounded size. A chunk keeps its texts as numbers of its own
-distinct words, so what is counted and joined is one row for each distinct word of a chunk and
-not for each token. Words are told apart by a 64-bit hash.
-
-* Unigram counts cover every distinct word of the training texts.
-* Bigrams and trigrams are counted over word classes: the most frequent words are classes of
-  their own (as many as keep the table of all n-grams within ``TABLE`` entries), all other
-  words share one class and are told apart by their unigram share of it. Every token of every
-  training text is counted; the tables' size is bounded by construction, so they are broadcast.
-* The model mixes trigram, bigram and unigram maximum-likelihood estimates and a uniform term.
-  Weights depend on the frequency bucket of the context. They are learnt by expectation-
-  maximisation on counts of training texts that the estimates leave out (deleted texts);
-  final estimates use all training texts.
+distinct words. Every distinct unigram, bigram and trigram of the corpus is counted, without a
+cap: a chunk sends the sorted 64-bit keys of its distinct n-grams, cut into as many slices of the
+key space as the corpus needs, one row for each slice; a slice adds up all chunks' counts and
+sends them back in the order of the keys, so that no key travels twice and what is shuffled
+grows with the input. A row never holds more than a chunk's n-grams of one slice, a slice never
+more than ``SLICE_KEYS`` keys on average, and each n-gram comes at most once from a chunk, so
+frequent ones make no slice heavy.
+
+* The model is f(w | u v) mixed with f(w | v), f(w) and a uniform term over the known words and
+  one unknown word, each order by a weight for the frequency bucket of its context:
+  p_n = weight * f_n + (1 - weight) * p_(n-1). A context that was never seen has weight zero, so
+  no mass is lost and the probabilities of all words add up to one.
+* The weights are learnt by expectation-maximisation on training texts that the estimates leave
+  out (deleted texts), over a table of their tokens; the final estimates use all training texts.
+
+Words and n-grams are told apart by 62 bits of hash: of n distinct ones, about n^2 / 2^63 pairs
+are taken for one.
 """
 
 from __future__ import annotations
@@ -24,19 +29,27 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE_TABLE, buffers, doc_bucket, hash_words, materialise, pieces, ragged, trim, words
+from .common import SPACE_TABLE, buffers, doc_bucket, hash_words, materialise, mix, pieces, ragged, trim, words
 
-#: Largest n-gram table, text bytes of a chunk and of a numpy pass, tokens of a pass; one training text in DELETED is left out for the weights.
-TABLE, CHUNK_BYTES, PASS_BYTES, PASS_TOKENS, DELETED = 1_000_000, 8 << 20, 1 << 20, 1 << 17, 12
-#: Hash of the end token; buckets of context frequency; steps of expectation-maximisation.
-END, BUCKETS, EM_STEPS = -1, 12, 40
+#: Text bytes of a chunk and of a numpy pass; keys of a slice; one training text in DELETED is left out for the weights.
+CHUNK_BYTES, PASS_BYTES, SLICE_KEYS, DELETED = 6 << 20, 1 << 20, 4_000_000, 12
+#: Hashes of the end token and of what stands before a text; buckets of context frequency; most steps of expectation-maximisation and the gain in log likelihood, as a share, under which it ends.
+END, START, BUCKETS, EM_STEPS, EM_GAIN = -1, -2, 32, 40, 1e-5
 ESTIMATE, HELD, TEST = 0, 1, 2
-_GRID = 4.0
+#: Odd multipliers of a word's place in an n-gram.
+_PLACE = [np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)]
 
 
-def classes_for(order: int) -> int:
-    """Number of words that are classes of their own for n-grams of this order."""
-    return int(round(TABLE ** (1 / order))) - 2
+def _pack(values: np.ndarray) -> bytes:
+    """Integers, byte plane by byte plane, compressed: high bytes of sorted or small numbers cost nearly nothing."""
+    planes = np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T)
+    return pa.compress(planes.tobytes(), "zstd", asbytes=True)
+
+
+def _unpack(data: bytes, n: int, kind: str) -> np.ndarray:
+    width = np.dtype(kind).itemsize
+    planes = np.frombuffer(pa.decompress(data, width * n, "zstd", asbytes=True), np.uint8).reshape(width, n)
+    return np.ascontiguousarray(planes.T).view(kind).ravel()
 
 
 def chunks(docs: DataFrame) -> DataFrame:
@@ -60,9 +73,7 @@ def chunks(docs: DataFrame) -> DataFrame:
             order = np.argsort(-np.bincount(local, minlength=len(names)), kind="stable")
             number = np.empty(len(names), "<u4")
             number[order] = np.arange(len(names))
-            local, names = number[local], names[order]
-            count = np.bincount(local[np.repeat(roles != TEST, sizes)], minlength=len(names))
-            planes = np.ascontiguousarray(local.view(np.uint8).reshape(-1, 4).T)
+            learnt = roles != TEST
             return pa.RecordBatch.from_arrays(
                 [
                     pa.array([part << 32 | seq], pa.int64()),
@@ -70,11 +81,13 @@ def chunks(docs: DataFrame) -> DataFrame:
                     pa.array([pa.concat_arrays(ids)], pa.list_(ids[0].type)),
                     pa.array([sizes.astype(np.int32)], pa.list_(pa.int32())),
                     pa.array([roles.astype(np.int32)], pa.list_(pa.int32())),
-                    pa.array([pa.compress(planes.tobytes(), "zstd", asbytes=True)], pa.binary()),
-                    pa.array([names], pa.list_(pa.int64())),
-                    pa.array([count.astype(np.int64)], pa.list_(pa.int64())),
+                    pa.array([_pack(number[local])], pa.binary()),
+                    pa.array([names[order]], pa.list_(pa.int64())),
+                    pa.array([len(local)], pa.int64()),
+                    pa.array([int(sizes[learnt].sum())], pa.int64()),
+                    pa.array([int(learnt.sum())], pa.int64()),
                 ],
-                ["chunk", "held", "doc_ids", "sizes", "roles", "tokens", "words", "counts"],
+                ["chunk", "held", "doc_ids", "sizes", "roles", "tokens", "words", "n_tokens", "learnt_tokens", "learnt_texts"],
             )
 
         for b in pieces(batches, "text", PASS_BYTES):
@@ -103,186 +116,217 @@ def chunks(docs: DataFrame) -> DataFrame:
                 seq += 1
 
     return docs.select("doc_id", "text", "role").mapInArrow(
-        run, f"chunk bigint, held boolean, doc_ids array<{kind}>, sizes array<int>, roles array<int>, tokens binary, words array<bigint>, counts array<bigint>"
+        run, f"chunk bigint, held boolean, doc_ids array<{kind}>, sizes array<int>, roles array<int>, tokens binary, words array<bigint>, n_tokens bigint, learnt_tokens bigint, learnt_texts bigint"
     )
 
 
-def _row(b: pa.RecordBatch, k: int, name: str) -> np.ndarray:
-    return np.asarray(b.column(b.schema.get_field_index(name))[k].values)
-
-
-def _passes(b: pa.RecordBatch, k: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
-    """(first text, end, word numbers, tokens of each text) of runs of whole texts of a chunk."""
-    sizes = _row(b, k, "sizes").astype(np.int64)
-    packed = b.column(b.schema.get_field_index("tokens"))[k].as_py()
-    planes = np.frombuffer(pa.decompress(packed, 4 * int(sizes.sum()), "zstd", asbytes=True), np.uint8).reshape(4, -1)
-    local = np.ascontiguousarray(planes.T).view("<u4").ravel()
-    edge, at = np.concatenate([[0], np.cumsum(sizes)]), 0
-    while at < len(sizes):
-        to = max(at + 1, int(np.searchsorted(edge, edge[at] + PASS_TOKENS, "right")) - 1)
-        yield at, to, local[edge[at] : edge[to]].astype(np.int64), sizes[at:to]
-        at = to
-
-
-class Classes:
-    """Words that are classes of their own, by order; class 0 is the text's start, 1 all other words."""
-
-    def __init__(self, top: np.ndarray, order: int) -> None:
-        self.order = order
-        self.sorted, self.rank_of = np.sort(top), np.argsort(top)
-
-    def ranks(self, names: np.ndarray) -> np.ndarray:
-        """Place of each word hash among the most frequent words, or -1."""
-        if not len(self.sorted):
-            return np.full(len(names), -1)
-        at = np.minimum(np.searchsorted(self.sorted, names), len(self.sorted) - 1)
-        return np.where(self.sorted[at] == names, self.rank_of[at], -1)
-
-    def of(self, rank: np.ndarray, n: int) -> np.ndarray:
-        """Class of words, given their ranks, for n-grams of order n."""
-        return np.where((rank >= 0) & (rank < classes_for(n)), rank + 2, 1)
+class Chunk:
+    """Texts of one chunk row and the n-grams of their tokens."""
+
+    def __init__(self, b: pa.RecordBatch, k: int, order: int) -> None:
+        def row(name: str) -> np.ndarray:
+            return np.asarray(b.column(b.schema.get_field_index(name))[k].values)
+
+        self.sizes, self.roles = row("sizes").astype(np.int64), row("roles")
+        names = row("words").view(np.uint64)
+        n = int(self.sizes.sum())
+        local = _unpack(b.column(b.schema.get_field_index("tokens"))[k].as_py(), n, "<u4")
+        #: place of each token in its text
+        self.place = np.arange(n) - np.repeat(np.cumsum(self.sizes) - self.sizes, self.sizes)
+        start = np.array([START], np.int64).view(np.uint64)[0]
+        total, keys = np.zeros(n, np.uint64), []
+        for back in range(order):
+            word = names[local] if back == 0 else np.concatenate([np.full(min(back, n), start), names[local[: max(n - back, 0)]]])
+            if back:
+                word[self.place < back] = start
+            total = total + word * _PLACE[back]
+            # the order is part of the key
+            keys.append((mix(total + np.uint64(back)) & ~np.uint64(3)) | np.uint64(back + 1))
+        coded = pa.array(np.concatenate(keys)).dictionary_encode()
+        distinct = np.asarray(coded.dictionary)
+        by = np.argsort(distinct)
+        rank = np.empty(len(by), np.int32)
+        rank[by] = np.arange(len(by), dtype=np.int32)
+        #: sorted distinct keys, and for each order the key of each token
+        self.keys, self.at = distinct[by], rank[np.asarray(coded.indices)].reshape(order, n)
+
+    def learnt(self) -> np.ndarray:
+        """How often each key occurs in texts to learn from."""
+        mask = np.repeat(self.roles != TEST, self.sizes)
+        return np.bincount(self.at[:, mask].ravel(), minlength=len(self.keys)).astype("<u4")
+
+    def edges(self, slices: int) -> np.ndarray:
+        """Where each slice of the key space begins among the keys, and their end."""
+        bound = [-(-(s << 64) // slices) for s in range(1, slices)]
+        return np.concatenate([[0], np.searchsorted(self.keys, np.array(bound, np.uint64)), [len(self.keys)]])
+
+
+def gram_counts(made: DataFrame, order: int, slices: int) -> DataFrame:
+    """(chunk, slice, n, e, types, e_types): for each chunk and slice the packed counts, over all training texts and over
+    estimating ones, of the chunk's keys in their order; and rows of chunk -1 with the number of distinct words of a slice."""
+
+    def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for k in range(b.num_rows):
+                c = Chunk(b, k, order)
+                count, edge = c.learnt(), c.edges(slices)
+                some = np.flatnonzero(np.diff(edge))
+                part = [(int(edge[s]), int(edge[s + 1])) for s in some.tolist()]
+                chunk, held = b.column(b.schema.get_field_index("chunk"))[k].as_py(), b.column(b.schema.get_field_index("held"))[k].as_py()
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        pa.array(some, pa.int32()),
+                        pa.array(np.full(len(some), chunk)),
+                        pa.array(np.full(len(some), held)),
+                        pa.array([y - x for x, y in part], pa.int32()),
+                        pa.array([_pack(c.keys[x:y]) for x, y in part], pa.binary()),
+                        pa.array([_pack(count[x:y]) for x, y in part], pa.binary()),
+                    ],
+                    ["slice", "chunk", "held", "size", "keys", "counts"],
+                )
+                del c, count
+                trim()
 
-    def radix(self, n: int) -> int:
-        return classes_for(n) + 2
+    def add(table: pa.Table) -> pa.Table:
+        size = np.asarray(table.column("size").combine_chunks(), np.int64)
+        held = np.asarray(table.column("held").combine_chunks())
+        keys = np.concatenate([_unpack(x.as_py(), n, "<u8") for x, n in zip(table.column("keys"), size.tolist(), strict=True)])
+        counts = np.concatenate([_unpack(x.as_py(), n, "<u4") for x, n in zip(table.column("counts"), size.tolist(), strict=True)])
+        coded = pa.array(keys).dictionary_encode()
+        which, kinds = np.asarray(coded.indices), np.asarray(coded.dictionary)
+        e = np.bincount(which, weights=np.where(np.repeat(held, size), 0, counts), minlength=len(kinds)).astype("<u8")
+        n = np.bincount(which, weights=counts, minlength=len(kinds)).astype("<u8")
+        word = (kinds & np.uint64(3)) == 1
+        end = np.cumsum(size)
+        part = [which[y - k : y] for k, y in zip(size.tolist(), end.tolist(), strict=True)]
+        own = table.column("slice")[0].as_py()
+        none = pa.nulls(len(size), pa.int64())
+        rows = pa.table(
+            [
+                table.column("chunk").combine_chunks(),
+                pa.array(np.full(len(size), own), pa.int32()),
+                pa.array([_pack(n[w]) for w in part], pa.binary()),
+                pa.array([_pack(e[w]) if h else None for w, h in zip(part, held.tolist(), strict=True)], pa.binary()),
+                none,
+                none,
+            ],
+            names,
+        )
+        trim()
+        types = pa.table([pa.array([-1], pa.int64()), pa.array([own], pa.int32()), pa.nulls(1, pa.binary()), pa.nulls(1, pa.binary()), pa.array([int((n[word] > 0).sum())], pa.int64()), pa.array([int((e[word] > 0).sum())], pa.int64())], names)
+        return pa.concat_tables([rows, types])
 
-    def keys(self, local: np.ndarray, rank: np.ndarray, sizes: np.ndarray, n: int) -> np.ndarray:
-        """n-gram key of each token; the class of the token is the key modulo the radix."""
-        c = self.of(rank, n)[local]
-        place = np.arange(len(c)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-        key = c.copy()
-        for back in range(1, n):
-            before = np.zeros(len(c), np.int64)
-            before[back:] = c[: len(c) - back]
-            before[place < back] = 0
-            key += before * self.radix(n) ** back
-        return key
+    names = ["chunk", "slice", "n", "e", "types", "e_types"]
+    sent = made.select("chunk", "held", "sizes", "roles", "tokens", "words").mapInArrow(send, "slice int, chunk bigint, held boolean, size int, keys binary, counts binary")
+    return sent.groupBy("slice").applyInArrow(add, "chunk bigint, slice int, n binary, e binary, types bigint, e_types bigint")
 
 
-def _gram_tables(made: DataFrame, classes: Classes) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-    """{order: (counts of estimating texts, counts of all training texts)} over all keys."""
-    shared = made.sparkSession.sparkContext.broadcast(classes)
+class Estimates:
+    """What a model needs beside the counts of n-grams: tokens, distinct words and texts."""
+
+    def __init__(self, total: int, types: int, texts: int, order: int) -> None:
+        self.total, self.types, self.texts, self.order = total, types, texts, order
+
+    def parts(self, c: Chunk, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(maximum-likelihood estimates (order, tokens), context bucket of each); a context never seen has bucket 0 and estimate 0."""
+        f = np.zeros((self.order, len(c.place)))
+        bucket = np.zeros((self.order, len(c.place)), np.int32)
+        got = count[c.at]
+        f[0] = got[0] / max(self.total, 1)
+        bucket[0] = 1 if self.total else 0
+        for n in range(1, self.order):
+            # the context of a token is the n-gram, one shorter, that ends before it
+            context = np.concatenate([[0], got[n - 1][:-1]])
+            context[c.place == 0] = self.texts
+            f[n] = got[n] / np.maximum(context, 1)
+            bucket[n] = np.minimum(BUCKETS - 1, np.ceil(np.log2(context + 1.0)))
+        return f, bucket
+
+    def probability(self, f: np.ndarray, bucket: np.ndarray, weights: np.ndarray) -> np.ndarray:
+        """The mixture, from the uniform term upwards."""
+        p = np.full(f.shape[1], 1 / (self.types + 1))
+        for n in range(self.order):
+            w = weights[n][bucket[n]]
+            p = w * f[n] + (1 - w) * p
+        return p
+
+
+def _answered(made: DataFrame, counts: DataFrame, field: str) -> DataFrame:
+    """Chunk rows with the answers of all slices about one kind of counts; a chunk's answers are bounded by its bytes."""
+    lists = counts.where("chunk >= 0").where(F.col(field).isNotNull()).groupBy("chunk").agg(F.collect_list(F.struct("slice", field)).alias("answers"))
+    return made.join(lists, "chunk")
+
+
+def _local(b: pa.RecordBatch, k: int, order: int, slices: int, field: str) -> tuple[Chunk, np.ndarray]:
+    c = Chunk(b, k, order)
+    edge = c.edges(slices)
+    out = np.zeros(len(c.keys), np.int64)
+    for x in b.column(b.schema.get_field_index("answers"))[k].as_py():
+        i, j = int(edge[x["slice"]]), int(edge[x["slice"] + 1])
+        out[i:j] = _unpack(x[field], j - i, "<u8")
+    return c, out
+
+
+def held_tokens(answered: DataFrame, model: Estimates, slices: int) -> DataFrame:
+    """(f1, b1, f2, b2 ...) of every token of the left-out texts: estimates and context buckets by order."""
+    order = model.order
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = shared.value
-        sums = {n: np.zeros((2, c.radix(n) ** n), np.int64) for n in range(2, c.order + 1)}
         for b in batches:
             for k in range(b.num_rows):
-                roles, rank = _row(b, k, "roles"), c.ranks(_row(b, k, "words"))
-                row = int((roles == HELD).all())
-                for at, to, local, sizes in _passes(b, k):
-                    learnt = np.repeat(roles[at:to] != TEST, sizes)
-                    for n, table in sums.items():
-                        table[row] += np.bincount(c.keys(local, rank, sizes, n)[learnt], minlength=table.shape[1])
-        for n, table in sums.items():
-            at = np.flatnonzero(table.any(axis=0))
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), n, np.int32)), pa.array(at), pa.array(table[0][at]), pa.array(table[1][at])], ["n", "key", "e", "h"])
-        sums.clear()
-        trim()
+                c, count = _local(b, k, order, slices, "e")
+                f, bucket = model.parts(c, count)
+                columns = [x for n in range(order) for x in (pa.array(f[n]), pa.array(bucket[n]))]
+                yield pa.RecordBatch.from_arrays(columns, [x for n in range(order) for x in (f"f{n + 1}", f"b{n + 1}")])
+                trim()
 
-    rows = made.select("sizes", "roles", "tokens", "words").mapInArrow(run, "n int, key bigint, e bigint, h bigint")
-    got = rows.groupBy("n", "key").agg(F.sum("e").alias("e"), F.sum("h").alias("h")).toArrow()
-    out = {}
-    for n in range(2, classes.order + 1):
-        mask = np.asarray(got.column("n").combine_chunks() if got.num_rows else [], np.int64) == n
-        estimate, full = np.zeros(classes.radix(n) ** n, np.int64), np.zeros(classes.radix(n) ** n, np.int64)
-        if mask.any():
-            key = np.asarray(got.column("key").combine_chunks())[mask]
-            estimate[key] = np.asarray(got.column("e").combine_chunks())[mask]
-            full[key] = estimate[key] + np.asarray(got.column("h").combine_chunks())[mask]
-        out[n] = (estimate, full)
-    return out
+    return answered.mapInArrow(run, ", ".join(f"f{n + 1} double, b{n + 1} int" for n in range(order)))
 
 
-class Estimates:
-    """Maximum-likelihood estimates of one set of counts."""
-
-    def __init__(self, classes: Classes, tables: dict[int, np.ndarray], total: int, types: int, own_count: np.ndarray) -> None:
-        self.classes, self.tables, self.total, self.types = classes, tables, total, types
-        self.context = {n: t.reshape(-1, classes.radix(n)).sum(1) for n, t in tables.items()}
-        self.rest = {n: total - int(own_count[: classes_for(n)].sum()) for n in tables}
-
-    def parts(self, local: np.ndarray, rank: np.ndarray, sizes: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """((tokens, order + 1) probabilities: uniform, unigram, bigram ...; bucket of the longest context)."""
-        out = np.zeros((len(local), self.classes.order + 1))
-        out[:, 0] = 1 / (self.types + 1)
-        c = count[local]
-        out[:, 1] = c / max(self.total, 1)
-        bucket = np.zeros(len(local), np.int64)
-        for n, table in self.tables.items():
-            key = self.classes.keys(local, rank, sizes, n)
-            context = self.context[n][key // self.classes.radix(n)]
-            share = np.where(key % self.classes.radix(n) == 1, c / max(self.rest[n], 1), 1.0)
-            out[:, n] = table[key] / np.maximum(context, 1) * np.minimum(share, 1.0)
-            bucket = np.minimum(BUCKETS - 1, np.ceil(np.log2(context + 1) / 2).astype(np.int64))
-        return out, bucket
-
-
-def expectation_maximisation(parts: np.ndarray, bucket: np.ndarray, weight: np.ndarray, steps: int = EM_STEPS) -> np.ndarray:
-    """Mixture weights (BUCKETS, parts) that raise the likelihood of weighted held-out events; a little of each part stays."""
-    k = parts.shape[1]
-    lam = np.full((BUCKETS, k), 1 / k)
-    for _ in range(steps):
-        post = parts * lam[bucket]
-        post *= (weight / np.maximum(post.sum(1), 1e-300))[:, None]
-        sums = np.stack([np.bincount(bucket, weights=post[:, i], minlength=BUCKETS) for i in range(k)], axis=1)
-        lam = (sums + 1e-3) / (sums + 1e-3).sum(1, keepdims=True)
-    return lam
+def _settled(used: np.ndarray, offered: np.ndarray) -> np.ndarray:
+    """Weight of each bucket; one without left-out tokens has that of the next lower one with some. Bucket 0, contexts never seen, has none."""
+    out, last = np.zeros(len(used)), 0.5
+    for b in range(1, len(used)):
+        if offered[b] > 0:
+            last = min(1 - 1e-6, max(1e-6, used[b] / offered[b]))
+        out[b] = last
+    return out
 
 
-def _with_counts(made: DataFrame, counts: DataFrame, top: DataFrame, columns: list[str]) -> DataFrame:
-    """Chunk rows with ``at`` (numbers of the chunk's words), ``got`` (their counts) and ``rank`` (place in ``top`` or -1).
+def expectation_maximisation(tokens: DataFrame, order: int, types: int, steps: int = EM_STEPS) -> np.ndarray:
+    """Weights (order, BUCKETS) that raise the likelihood of the left-out ``tokens`` step by step.
 
-    The most frequent words, which every chunk has, are looked up in the broadcast ``top``
-    (classes_for(2) rows at most); only the others are joined by shuffle.
+    A step is one aggregation by context buckets; the driver gets its few sums.
     """
-    each = made.select("chunk", F.posexplode("words").alias("at", "word"))
-    frequent = each.join(F.broadcast(top), "word").select("chunk", "at", "n", "rank")
-    others = each.join(F.broadcast(top.select("word")), "word", "left_anti").join(counts, "word").select("chunk", "at", "n", F.lit(-1).alias("rank"))
-    # a chunk's words are bounded by its bytes, so the lists are too
-    lists = frequent.unionByName(others).groupBy("chunk").agg(F.collect_list(F.struct("at", "n", "rank")).alias("l"))
-    return made.join(lists, "chunk", "left").select(*columns, F.col("l.at").alias("at"), F.col("l.n").alias("got"), F.col("l.rank").alias("rank"))
-
-
-def _local(b: pa.RecordBatch, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """Counts and ranks by the chunk's word numbers."""
-    n = b.column(b.schema.get_field_index("types"))[k].as_py()
-    count, rank = np.zeros(n, np.int64), np.full(n, -1)
-    if b.column(b.schema.get_field_index("at"))[k].is_valid:
-        at = _row(b, k, "at")
-        count[at], rank[at] = _row(b, k, "got"), _row(b, k, "rank")
-    return count, rank
-
-
-def _held_events(made: DataFrame, counts: DataFrame, top: DataFrame, model: Estimates) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(parts, bucket, weight) of held-out tokens, on a grid of log-probabilities whose size is fixed."""
-    shared = made.sparkSession.sparkContext.broadcast(model)
-    order = model.classes.order
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = shared.value
-        for b in batches:
-            for k in range(b.num_rows):
-                count, rank = _local(b, k)
-                for _, _, local, sizes in _passes(b, k):
-                    parts, bucket = m.parts(local, rank, sizes, count)
-                    grid = np.where(parts > 0, np.clip(np.round(-np.log2(np.maximum(parts, 1e-30)) * _GRID), 0, 254), 255).astype(np.int64)
-                    cell = bucket
-                    for i in range(1, order + 1):
-                        cell = cell * 256 + grid[:, i]
-                    cells, n = np.unique(cell, return_counts=True)
-                    yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(n)], ["cell", "n"])
-
-    held = _with_counts(made.where("held"), counts, top, ["tokens", "sizes", F.size("words").alias("types")])
-    got = held.mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
-    cell = np.asarray(got.column("cell").combine_chunks() if got.num_rows else [], np.int64)
-    weight = np.asarray(got.column("n").combine_chunks() if got.num_rows else [], float)
-    parts = np.zeros((len(cell), order + 1))
-    parts[:, 0] = 1 / (model.types + 1)
-    for i in range(order, 0, -1):
-        g = cell % 256
-        parts[:, i] = np.where(g == 255, 0.0, 2.0 ** (-g / _GRID))
-        cell = cell // 256
-    return parts, cell, weight
+    weights = np.array([_settled(np.ones(BUCKETS), np.full(BUCKETS, 2.0)) for _ in range(order)])
+    before = None
+    for _ in range(steps):
+        left, share = F.lit(1.0), []
+        for n in range(order, 0, -1):
+            w = F.element_at(F.lit(weights[n - 1].tolist()), F.col(f"b{n}") + 1)
+            share.append((left * w * F.col(f"f{n}")).alias(f"s{n}"))
+            left = left * (1 - w)
+        row = tokens.select(*[f"b{n + 1}" for n in range(order)], *share, (left / (types + 1)).alias("s0"))
+        total = sum((F.col(f"s{n}") for n in range(1, order + 1)), F.col("s0"))
+        sums = row.withColumn("p", total).groupBy(*[f"b{n + 1}" for n in range(order)]).agg(
+            F.sum(F.log("p")).alias("like"), F.count(F.lit(1)).alias("n"), *[F.sum(F.col(f"s{n}") / F.col("p")).alias(f"s{n}") for n in range(order + 1)]
+        )
+        got = sums.collect()
+        if not got:
+            return weights
+        new = []
+        for n in range(order, 0, -1):
+            used, offered = np.zeros(BUCKETS), np.zeros(BUCKETS)
+            for r in got:
+                used[r[f"b{n}"]] += r[f"s{n}"]
+                offered[r[f"b{n}"]] += sum(r[f"s{m}"] for m in range(n + 1))
+            new.append(_settled(used, offered))
+        weights = np.array(new[::-1])
+        like = sum(r["like"] for r in got)
+        if before is not None and like - before <= EM_GAIN * abs(like):
+            break
+        before = like
+    return weights
 
 
 def score(docs: DataFrame, learn, order: int = 3) -> DataFrame:
@@ -291,58 +335,50 @@ def score(docs: DataFrame, learn, order: int = 3) -> DataFrame:
     ``learn`` is a boolean column over ``docs``: the texts to learn from. A-Z are lowered;
     tokens are runs other than space and 0x09-0x0D, then one end. base_score is the add-half
     unigram log10 probability; score the mixture's. Null and empty texts are one end token.
-    Repeated rows count and are scored each; extra columns are ignored. Without any training
-    text every probability is uniform; without left-out texts the parts weigh alike.
+    Repeated rows count and are scored each; extra columns are ignored. ``order``: 1 to 3. Without
+    any training text every token has probability one (there is only the unknown word); without
+    left-out texts the weights are a half. An empty table gives no rows.
     """
-    spark = docs.sparkSession
     left_out = F.pmod(F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit(5)), F.lit(DELETED)) == 0
     role = F.when(~learn, TEST).when(left_out, HELD).otherwise(ESTIMATE).cast("int")
     made = materialise(chunks(docs.select("doc_id", "text", role.alias("role"))), "chunks")
-    each = made.select("held", F.explode(F.arrays_zip("words", "counts")).alias("x")).where("x.counts > 0")
-    counts = each.groupBy(F.col("x.words").alias("word")).agg(
-        F.sum("x.counts").alias("n"), F.sum(F.when(F.col("held"), 0).otherwise(F.col("x.counts"))).alias("e")
+    estimating = F.when(~F.col("held"), F.col("learnt_tokens"))
+    every, total, texts, e_total, e_texts = (
+        x or 0 for x in made.agg(F.sum("n_tokens"), F.sum("learnt_tokens"), F.sum("learnt_texts"), F.sum(estimating), F.sum(F.when(~F.col("held"), F.col("learnt_texts")))).first()
     )
-    counts = materialise(counts, "counts")
-    total, types, e_total, e_types = (x or 0 for x in counts.agg(F.sum("n"), F.count(F.lit(1)), F.sum("e"), F.count(F.when(F.col("e") > 0, 1))).first())
-    frequent = counts.orderBy(F.desc("n"), "word").limit(classes_for(2)).collect()
-    classes = Classes(np.array([r["word"] for r in frequent], np.int64), order)
-    tables = _gram_tables(made, classes)
-    small = Estimates(classes, {n: t[0] for n, t in tables.items()}, e_total, e_types, np.array([r["e"] for r in frequent], np.int64))
-    full = Estimates(classes, {n: t[1] for n, t in tables.items()}, total, types, np.array([r["n"] for r in frequent], np.int64))
-
-    def top(column: str) -> DataFrame:
-        return spark.createDataFrame([(r["word"], r[column], i) for i, r in enumerate(frequent)], "word bigint, n bigint, rank int")
-
-    lam = expectation_maximisation(*_held_events(made, counts.select("word", F.col("e").alias("n")).where("n > 0"), top("e"), small))
-    shared = spark.sparkContext.broadcast((full, lam))
+    slices = max(1, -(-2 * every // SLICE_KEYS))
+    counts = materialise(gram_counts(made, order, slices), "counts")
+    types, e_types = (x or 0 for x in counts.where("chunk < 0").agg(F.sum("types"), F.sum("e_types")).first())
+    held = _answered(made.where("held"), counts, "e")
+    tokens = materialise(held_tokens(held, Estimates(e_total, e_types, e_texts, order), slices), "held-tokens")
+    weights = expectation_maximisation(tokens, order, e_types)
+    model = Estimates(total, types, texts, order)
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m, lam = shared.value
         for b in batches:
             for k in range(b.num_rows):
-                count, rank = _local(b, k)
-                base = np.log10((count + 0.5) / (m.total + 0.5 * (m.types + 1)))
-                ids, roles = b.column(b.schema.get_field_index("doc_ids"))[k].values, _row(b, k, "roles")
-                for at, to, local, sizes in _passes(b, k):
-                    parts, bucket = m.parts(local, rank, sizes, count)
-                    mixed = np.log10((parts * lam[bucket]).sum(1))
-                    seg = np.cumsum(sizes) - sizes
-                    yield pa.RecordBatch.from_arrays(
-                        [
-                            ids[at:to],
-                            pa.array(roles[at:to] != TEST),
-                            pa.array(sizes),
-                            pa.array(np.add.reduceat((count > 0)[local].astype(np.int64), seg)),
-                            pa.array(np.full(to - at, m.total, np.int64)),
-                            pa.array(np.add.reduceat(base[local], seg)),
-                            pa.array(np.add.reduceat(mixed, seg)),
-                        ],
-                        ["doc_id", "learnt", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
-                    )
+                c, count = _local(b, k, order, slices, "n")
+                mixed = np.log10(model.probability(*model.parts(c, count), weights))
+                own = count[c.at[0]]
+                base = np.log10((own + 0.5) / (model.total + 0.5 * (model.types + 1)))
+                seg = np.cumsum(c.sizes) - c.sizes
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        b.column(b.schema.get_field_index("doc_ids"))[k].values,
+                        pa.array(c.roles != TEST),
+                        pa.array(c.sizes),
+                        pa.array(np.add.reduceat((own > 0).astype(np.int64), seg)),
+                        pa.array(np.full(len(seg), model.total, np.int64)),
+                        pa.array(np.add.reduceat(base, seg)),
+                        pa.array(np.add.reduceat(mixed, seg)),
+                    ],
+                    ["doc_id", "learnt", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
+                )
+                del c, count, mixed, own, base
                 trim()
 
-    joined = _with_counts(made, counts.select("word", "n"), top("n"), ["tokens", "sizes", "roles", "doc_ids", F.size("words").alias("types")])
+    joined = _answered(made.select("chunk", "doc_ids", "sizes", "roles", "tokens", "words"), counts, "n")
     return joined.mapInArrow(run, f"doc_id {kind}, learnt boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double")
 
 

@@ -364,6 +364,92 @@ def test_base_score_by_brute_force_and_mixture_is_better(spark, sf):
     assert docs.where(F.lit(False)).count() == lm.score(empty(spark), F.lit(True)).count() == 0
 
 
+def brute_mixture(texts, order=3):
+    """Deleted interpolation by dictionaries of strings: (score of every text, weights, log likelihoods of the steps, p(word | context))."""
+
+    def counted(rows):
+        grams = collections.Counter()
+        for t in rows:
+            padded = ["\0start"] * (order - 1) + t
+            for i in range(order - 1, len(padded)):
+                for n in range(1, order + 1):
+                    grams[tuple(padded[i - n + 1 : i + 1])] += 1
+        return grams, sum(map(len, rows)), len({w for t in rows for w in t}), len(rows)
+
+    def context(grams, total, texts, gram):
+        if len(gram) == 1:
+            return total
+        if gram[-2] == "\0start":
+            return texts
+        return grams[gram[:-1]]
+
+    def parts(c, t):
+        grams, total, _, texts = c
+        padded = ["\0start"] * (order - 1) + t
+        for i in range(order - 1, len(padded)):
+            row = []
+            for n in range(1, order + 1):
+                gram = tuple(padded[i - n + 1 : i + 1])
+                seen = context(grams, total, texts, gram)
+                row.append((grams[gram] / seen if seen else 0.0, (min(1, seen) if n == 1 else min(lm.BUCKETS - 1, math.ceil(math.log2(seen + 1))))))
+            yield row
+
+    def mixture(row, types, w):
+        p = 1 / (types + 1)
+        for n, (f, b) in enumerate(row):
+            p = w[n][b] * f + (1 - w[n][b]) * p
+        return p
+
+    estimating, held, every = ([t for t, role in texts if role in roles] for roles in ((lm.ESTIMATE,), (lm.HELD,), (lm.ESTIMATE, lm.HELD)))
+    small, full = counted(estimating), counted(every)
+    w = [[0.0] + [0.5] * (lm.BUCKETS - 1) for _ in range(order)]
+    rows, likes = [r for t in held for r in parts(small, t)], []
+    for _ in range(lm.EM_STEPS if rows else 0):
+        used, offered, like = [[0.0] * lm.BUCKETS for _ in range(order)], [[0.0] * lm.BUCKETS for _ in range(order)], 0.0
+        for r in rows:
+            p, left = mixture(r, small[2], w), 1.0
+            like += math.log(p)
+            for n in reversed(range(order)):
+                f, b = r[n]
+                s = left * w[n][b] * f / p
+                offered[n][b] += left * mixture(r[: n + 1], small[2], w) / p
+                used[n][b] += s
+                left *= 1 - w[n][b]
+        for n in range(order):
+            last = 0.5
+            for b in range(1, lm.BUCKETS):
+                if offered[n][b] > 0:
+                    last = min(1 - 1e-6, max(1e-6, used[n][b] / offered[n][b]))
+                w[n][b] = last
+        if likes and like - likes[-1] <= lm.EM_GAIN * abs(like):
+            break
+        likes.append(like)
+    scores = [sum(math.log10(mixture(r, full[2], w)) for r in parts(full, t)) for t, _ in texts]
+    words = {x for t in every for x in t}
+    given = lambda before: {x: mixture(list(parts(full, [*before, x]))[-1], full[2], w) for x in [*words, "\0unknown"]}
+    return scores, w, likes, given
+
+
+@pytest.mark.parametrize("keys", [lm.SLICE_KEYS, 500])
+def test_mixture_by_brute_force(spark, sf, monkeypatch, keys):
+    """Every n-gram counts, whatever the number of slices; the likelihood of left-out texts rises; probabilities add up to one."""
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(lm, "SLICE_KEYS", keys)
+    monkeypatch.setattr(lm, "CHUNK_BYTES", 40_000)
+    docs = given(spark, sf).where("n_chars < 3000").select("doc_id", "text")
+    left_out = F.pmod(F.xxhash64(F.col("doc_id").cast("string"), F.lit(5)), F.lit(lm.DELETED)) == 0
+    test = common.doc_bucket("doc_id", 5) == 1
+    rows = docs.select("doc_id", "text", F.when(test, lm.TEST).when(left_out, lm.HELD).otherwise(lm.ESTIMATE).alias("role")).collect()
+    texts = [([*space_words(lower(r.text)), "\0end"], r.role) for r in rows]
+    want, _, likes, after = brute_mixture(texts)
+    assert likes == sorted(likes) and len(likes) > 3
+    for before in ([], texts[0][0][:1], texts[0][0][:5], ["never", "seen"]):
+        assert abs(sum(after(before).values()) - 1) < 1e-9
+    got = {r.doc_id: r.score for r in lm.score(docs, ~test).collect()}
+    assert all(abs(got[r.doc_id] - x) < 1e-6 * max(1, abs(x)) for r, x in zip(rows, want, strict=True))
+
+
 def test_score_is_a_probability(spark):
     from pyspark.sql import functions as F
 
@@ -373,13 +459,6 @@ def test_score_is_a_probability(spark):
     assert 0 < sum(10 ** out[i].score for i in (3, 4, 5, 6)) < 1
 
 
-def test_expectation_maximisation_raises_likelihood():
-    rng = np.random.default_rng(1)
-    parts, bucket, weight = rng.random((500, 4)), rng.integers(0, lm.BUCKETS, 500), rng.random(500)
-    like = [(weight * np.log((parts * lm.expectation_maximisation(parts, bucket, weight, k)[bucket]).sum(1))).sum() for k in (1, 3, 10, 40)]
-    assert like == sorted(like)
-
-
 def test_no_training_text(spark):
     from pyspark.sql import functions as F
 
