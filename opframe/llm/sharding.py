@@ -1,11 +1,11 @@
 """Sharding by best-fit-decreasing bin packing (operator 7).
 
-Groups of rows with equal texts are indivisible. Groups of a large share of all bytes are
-packed one by one; there are few of them by arithmetic (at most ``fine`` for each shard).
-The other groups are first dealt by hash into a fixed number of bundles, so the driver packs
-a list whose length depends on parameters alone. Items sorted by size enter the shard with
-the least remaining room that holds them, found in a balanced tree; the capacity is the least
-at which the wanted number of shards is enough.
+Groups of rows with equal texts are indivisible. They are sorted by size and counted by size;
+the driver packs the counted sizes only: a run of equal groups fills the shard with the least
+remaining room that holds one of them as far as it goes, then the next, just as group after
+group would. That shard is found in a balanced tree. The list of sizes has a row for each
+distinct size, however many groups there are. With a number of shards the capacity is the
+least at which they are enough; with a capacity as few shards as it takes are opened.
 """
 
 from __future__ import annotations
@@ -16,9 +16,10 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import materialise
+from .graph import BROADCAST_ROWS, maybe_broadcast
 
-#: Bundles of small groups for each shard, and the share of a shard (1 / FINE) from which a group is packed alone.
-BUNDLES, FINE = 512, 1024
+#: Share of all rows (1 / HEAVY) from which a group is joined by broadcast where groups are too many for that.
+HEAVY = 1024
 
 
 class RoomTree:
@@ -97,56 +98,75 @@ class RoomTree:
         return best
 
 
-def best_fit_decreasing(sizes: list[int], capacity: int) -> list[int]:
-    """Shard of each item, at a fixed capacity; shards are opened as needed."""
-    room, out, opened = RoomTree(), [0] * len(sizes), 0
-    for i in sorted(range(len(sizes)), key=lambda i: (-sizes[i], i)):
-        if sizes[i] > capacity:
+def best_fit_decreasing(runs: list[tuple[int, int]], capacity: int) -> tuple[list[tuple[int, int, int]], int]:
+    """((run, shard, items) in the order of items, shards opened) of runs (size, items) at a fixed capacity; sizes must fall."""
+    room, out, opened = RoomTree(), [], 0
+    for i, (size, items) in enumerate(runs):
+        if size > capacity:
             raise ValueError("an item is larger than the capacity")
-        got = room.take(sizes[i])
-        if got is None:
-            got, opened = (capacity, opened), opened + 1
-        out[i] = got[1]
-        room.add((got[0] - sizes[i], got[1]))
-    return out
+        while items:
+            got = room.take(size)
+            if got is None:
+                got, opened = (capacity, opened), opened + 1
+            # the shard with the least room that is enough stays that as it fills
+            n = min(items, got[0] // size)
+            out.append((i, got[1], n))
+            room.add((got[0] - n * size, got[1]))
+            items -= n
+    return out, opened
 
 
-def pack(sizes: list[int], shards: int) -> list[int]:
-    """Shard of each item so that at most ``shards`` shards hold about equal sizes.
+def pack(runs: list[tuple[int, int]], shards: int) -> list[tuple[int, int, int]]:
+    """(run, shard, items) so that at most ``shards`` shards hold about equal sizes; runs (size, items) of falling sizes.
 
     An item of more than the fair share of what is left gets a shard of its own; the others
-    are packed at the least capacity (by bisection) at which the shards left are enough.
+    are packed at the least capacity found (upwards in doubling steps, then by bisection) at which the shards left are enough.
     """
-    order = sorted(range(len(sizes)), key=lambda i: (-sizes[i], i))
-    out, left, total, alone = [0] * len(sizes), shards, sum(sizes), 0
-    while left > 1 and alone < len(order) and sizes[order[alone]] * left > total:
-        out[order[alone]] = alone
-        total -= sizes[order[alone]]
+    rest, left, total, out = [list(r) for r in runs], shards, sum(s * n for s, n in runs), []
+    first = 0
+    while left > 1 and first < len(rest) and rest[first][0] * left > total:
+        out.append((first, shards - left, 1))
+        total -= rest[first][0]
         left -= 1
-        alone += 1
-    rest = order[alone:]
+        rest[first][1] -= 1
+        if not rest[first][1]:
+            first += 1
+    alone, rest = shards - left, [(s, n) for s, n in rest[first:]]
     if not rest:
         return out
-    values = [sizes[i] for i in rest]
-    low, high = max(values[0], -(-total // left)), max(values[0], -(-2 * total // left) + values[0])
+
+    def enough(capacity: int) -> bool:
+        return best_fit_decreasing(rest, capacity)[1] <= left
+
+    low = max(rest[0][0], -(-total // left))
+    step, high = 1, low
+    while not enough(high):
+        low, high, step = high + 1, high + step, 2 * step
     while low < high:
         mid = (low + high) // 2
-        if max(best_fit_decreasing(values, mid)) < left:
+        if enough(mid):
             high = mid
         else:
             low = mid + 1
-    for i, s in zip(rest, best_fit_decreasing(values, low), strict=True):
-        out[i] = alone + s
-    return out
+    return out + [(first + i, alone + k, n) for i, k, n in best_fit_decreasing(rest, high)[0]]
+
 
+def _numbered(rows: DataFrame, at: str) -> tuple[DataFrame, DataFrame]:
+    """(rows with ``part``, (part, before)) of a sorted, written table whose ``at`` is a monotonically increasing id; a row for each partition."""
+    part = F.shiftright(at, 33).alias("part")
+    sizes = rows.groupBy(part).agg(F.count(F.lit(1)).alias("n"))
+    before = sizes.select("part", (F.sum("n").over(W.orderBy("part")) - F.col("n")).alias("before"))
+    return rows.withColumn("part", part), before
 
-def shard(docs: DataFrame, shards: int = 8) -> DataFrame:
+
+def shard(docs: DataFrame, shards: int | None = 8, capacity: int | None = None) -> DataFrame:
     """(doc_id, size, text_crc32, shard, slot) of every row of ``docs`` (doc_id, text).
 
-    size: UTF-8 bytes plus 1 (a null text counts as empty and shares the empty texts' group);
-    rows with equal texts get one shard; shards differ by about one bundle in size unless one
-    group alone is larger than a fair share. slot numbers the rows of a shard from 0 without
-    gaps in order of doc_id, nulls first; repeated rows get a slot each. Extra columns are
+    ``shards``: that many shards of about equal sizes (unless one group alone is larger than a fair
+    share). ``capacity``, with ``shards=None``: as few shards as best fit needs, none larger; a larger
+    group is an error. size: UTF-8 bytes plus 1 (a null text counts as empty and shares the empty
+    texts' group); rows with equal texts get one shard. slot numbers the rows of a shard from 0
+    without gaps in order of doc_id, nulls first; repeated rows get a slot each. Extra columns are
     ignored. An empty table gives no rows.
     """
     spark = docs.sparkSession
@@ -158,32 +178,44 @@ def shard(docs: DataFrame, shards: int = 8) -> DataFrame:
         F.xxhash64(text).alias("group"),
     )
     rows = materialise(rows, "sizes")
-    total = rows.agg(F.sum("size")).first()[0] or 0
-    each = ["group", "text_crc32", F.col("size").alias("one")]
-    groups = materialise(rows.groupBy(*each).agg(F.sum("size").alias("bytes")), "groups")
-    bundles = shards * BUNDLES
-    large = F.col("bytes") * (shards * FINE) >= F.lit(total)
-    single = groups.where(large).orderBy(F.desc("bytes"), "group", "text_crc32").collect()
-    bundle = F.pmod(F.col("group"), F.lit(bundles)).cast("int")
-    small = groups.where(~large).groupBy(bundle.alias("bundle")).agg(F.sum("bytes").alias("bytes")).orderBy("bundle").collect()
-    where = pack([r["bytes"] for r in single] + [r["bytes"] for r in small], shards)
-    table = [0] * bundles
-    for r, s in zip(small, where[len(single) :], strict=True):
-        table[r["bundle"]] = s
-    fields = [("group", T.LongType()), ("text_crc32", T.LongType()), ("size", T.LongType()), ("own", T.IntegerType())]
-    schema = T.StructType([T.StructField(n, t) for n, t in fields])
-    alone = spark.createDataFrame([(r["group"], r["text_crc32"], r["one"], s) for r, s in zip(single, where, strict=False)], schema)
-    dealt = rows.join(F.broadcast(alone), ["group", "text_crc32", "size"], "left").withColumn(
-        "shard", F.coalesce("own", F.element_at(F.array(*[F.lit(x) for x in table]), bundle + 1)).cast("int")
-    )
+    keys = ["group", "text_crc32", "size"]
+    groups = rows.groupBy(*keys).agg(F.count(F.lit(1)).alias("rows")).withColumn("bytes", F.col("size") * F.col("rows"))
+    order = [F.desc("bytes"), "group", "text_crc32", "size"]
+    groups = materialise(groups.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("at", F.monotonically_increasing_id()), "groups")
+    runs = [(r["bytes"], r["items"]) for r in groups.groupBy("bytes").agg(F.count(F.lit(1)).alias("items")).orderBy(F.desc("bytes")).collect()]
+    if capacity is not None:
+        packed, _ = best_fit_decreasing(runs, capacity)
+    else:
+        packed = pack(runs, shards)
+    # items of a run are numbered in the order of the sorted groups
+    first, done, spans = [0], [0] * len(runs), []
+    for _, n in runs:
+        first.append(first[-1] + n)
+    for i, k, n in packed:
+        spans.append((runs[i][0], first[i] + done[i], first[i] + done[i] + n, k))
+        done[i] += n
+    schema = T.StructType([T.StructField(n, t) for n, t in (("bytes", T.LongType()), ("from", T.LongType()), ("to", T.LongType()), ("shard", T.IntegerType()))])
+    table = spark.createDataFrame(spans, schema)
+    numbered, before = _numbered(groups, "at")
+    numbered = numbered.join(F.broadcast(before), "part").withColumn("pos", F.col("before") + F.col("at") - F.shiftleft(F.col("part"), 33))
+    where = numbered.join(maybe_broadcast(table, len(spans)), "bytes").where((F.col("pos") >= F.col("from")) & (F.col("pos") < F.col("to")))
+    where = materialise(where.select(*keys, "rows", "shard"), "where")
+    n, total = where.count(), sum(r[0] for r in where.agg(F.coalesce(F.sum("rows"), F.lit(0))).collect())
+    if n <= BROADCAST_ROWS:
+        dealt = rows.join(F.broadcast(where.drop("rows")), keys)
+    else:
+        # at most HEAVY groups; the others are small enough to meet by shuffle
+        heavy = F.broadcast(where.where(F.col("rows") * HEAVY >= total).drop("rows"))
+        light = rows.join(heavy, keys, "left_anti").join(where.where(F.col("rows") * HEAVY < total).drop("rows"), keys)
+        dealt = rows.join(heavy, keys).unionByName(light)
     sorted_ = dealt.select("doc_id", "size", "text_crc32", "shard").repartitionByRange("shard", "doc_id").sortWithinPartitions("shard", "doc_id", "text_crc32", "size")
     placed = materialise(sorted_.withColumn("at", F.monotonically_increasing_id()), "placed")
     part = F.shiftright("at", 33).alias("part")
     edge = placed.groupBy(part, "shard").agg(F.min("at").alias("first"), F.count(F.lit(1)).alias("n"))
     edge = edge.withColumn("before", F.sum("n").over(W.partitionBy("shard").orderBy("part")) - F.col("n"))
     edge = materialise(edge.select("part", "shard", "first", "before"), "edges")
-    # rows of edge: partitions plus shards at most, whatever the size of docs
-    return placed.withColumn("part", part).join(F.broadcast(edge), ["part", "shard"]).select(
+    # rows of edge: partitions plus shards at most
+    return placed.withColumn("part", part).join(maybe_broadcast(edge, edge.count()), ["part", "shard"]).select(
         "doc_id", "size", "text_crc32", "shard", (F.col("at") - F.col("first") + F.col("before")).alias("slot")
     )
 

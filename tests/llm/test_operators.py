@@ -528,13 +528,55 @@ def brute_best_fit(sizes, capacity):
     return out
 
 
+def runs_of(sizes):
+    return sorted(collections.Counter(sizes).items(), reverse=True)
+
+
 def test_best_fit_by_brute_force():
     rng = random.Random(5)
     for _ in range(60):
-        sizes = [rng.randrange(1, 50) for _ in range(rng.randrange(1, 200))]
-        assert sharding.best_fit_decreasing(sizes, 60) == brute_best_fit(sizes, 60)
+        sizes = sorted((rng.randrange(1, 50) for _ in range(rng.randrange(1, 200))), reverse=True)
+        spans, opened = sharding.best_fit_decreasing(runs_of(sizes), 60)
+        assert [k for _, k, n in spans for _ in range(n)] == brute_best_fit(sizes, 60) and opened == max(brute_best_fit(sizes, 60)) + 1
+    with pytest.raises(ValueError):
+        sharding.best_fit_decreasing([(9, 1)], 8)
+
+
+def group_sizes(rows):
+    """Bytes of each group of equal texts, largest first."""
+    count = collections.Counter(r.text or "" for r in rows)
+    return sorted(((len(t.encode()) + 1) * n for t, n in count.items()), reverse=True)
+
+
+def test_fixed_capacity_by_brute_force(spark, sf):
+    docs = given(spark, sf).select("doc_id", "text").unionByName(odd(spark).select("doc_id", "text"))
+    sizes = group_sizes(docs.collect())
+    capacity = 2 * sizes[0]
+    load = collections.Counter()
+    for k, s in zip(brute_best_fit(sizes, capacity), sizes, strict=True):
+        load[k] += s
+    got = collections.Counter()
+    for r in sharding.shard(docs, None, capacity).collect():
+        got[r.shard] += r.size
+    assert got == load and max(got.values()) <= capacity
     with pytest.raises(ValueError):
-        sharding.best_fit_decreasing([9], 8)
+        sharding.shard(docs, None, sizes[0] - 1)
+
+
+def test_equal_shards_by_brute_force(spark, sf, monkeypatch):
+    """The groups of the whole table are packed as best fit packs them one by one, joined by broadcast or by shuffle."""
+    docs = given(spark, sf).select("doc_id", "text")
+    docs = docs.unionByName(docs.limit(30)).unionByName(spark.createDataFrame([(-1, "same")] * 300, docs.schema))
+    sizes = group_sizes(docs.collect())
+    for bound in (500_000, 10):
+        monkeypatch.setattr(sharding, "BROADCAST_ROWS", bound)
+        got = collections.Counter()
+        for r in sharding.shard(docs, 8).collect():
+            got[r.shard] += r.size
+        load = collections.Counter()
+        for k, s in zip(brute_best_fit(sizes, max(got.values())), sizes, strict=True):
+            load[k] += s
+        assert got == load and len(got) == 8
 
 
 def test_shards(spark, sf):
@@ -554,10 +596,17 @@ def test_shards(spark, sf):
 
 
 def test_a_group_over_a_fair_share_is_alone():
-    sizes = [1000, *[10] * 100]
-    where = sharding.pack(sizes, 4)
-    load = [sum(s for s, w in zip(sizes, where, strict=True) if w == k) for k in range(4)]
-    assert max(load) == 1000 and max(sorted(load)[:3]) - min(load) <= 20
+    spans = sharding.pack([(1000, 1), (10, 100)], 4)
+    load = collections.Counter()
+    for i, k, n in spans:
+        load[k] += (1000, 10)[i] * n
+    assert load[0] == 1000 and max(load[k] for k in (1, 2, 3)) - min(load.values()) <= 20 and sum(load.values()) == 2000
+
+
+def test_shards_beside_clashing_columns(spark):
+    docs = odd(spark).selectExpr("*", "'x' as `group`", "1 as size", "2 as at", "3 as part", "4 as bytes")
+    out = sharding.shard(docs, 3)
+    assert out.columns == ["doc_id", "size", "text_crc32", "shard", "slot"] and out.count() == len(ODD)
 
 
 # ---- 8 token ids -----------------------------------------------------------------------------
