@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import json
 from dataclasses import dataclass, replace
 
+from . import types
+
 Path = tuple[str, ...]
 
 #: Operations that change data only, and those that change the type and migrate the data.
@@ -13,7 +16,7 @@ VALUE_KINDS = (
 TYPE_KINDS = (
     "define_type", "convert_type", "rename_field", "insert_field", "append_field", "drop_field", "restore_field", "move_field",
     "wrap_list", "unwrap_first", "wrap_record", "unwrap_field", "define_link", "split_table", "join_link",
-    "extract_list", "push_column", "match_column", "decompose", "copy_table", "union_table", "partition_table", "collapse_set",
+    "move_table", "extract_list", "push_column", "match_column", "decompose", "copy_table", "union_table", "partition_table", "collapse_set",
     "define_formula", "define_computed",
 )
 #: Operations that concern a place and not what is in it.
@@ -22,13 +25,17 @@ SLOT_KINDS = ("rename_field", "drop_field", "move_field", "split_table", "drop_e
 
 @dataclass(frozen=True)
 class Op:
-    """One operation. ``arg`` is the value, type, name or expression; ``ref`` a second path; ``ids`` the IDs it creates or is anchored on."""
+    """One operation. ``arg`` is the value, type, name or expression; ``ref`` a second path; ``ids`` the IDs it creates or is anchored on.
+
+    ``was``: the type that the operation found, where a retraction needs it (conversions, unwrapped lists).
+    """
 
     kind: str
     path: Path = ()
     arg: object = None
     ref: Path = ()
     ids: tuple[str, ...] = ()
+    was: object = None
 
     @property
     def plane(self) -> str:
@@ -107,8 +114,8 @@ def define_type(path: Path, t) -> Op:
     return Op("define_type", path, t)
 
 
-def convert_type(path: Path, t) -> Op:
-    return Op("convert_type", path, t)
+def convert_type(path: Path, t, was=None) -> Op:
+    return Op("convert_type", path, t, was=was)
 
 
 def rename_field(path: Path, name: str) -> Op:
@@ -135,8 +142,8 @@ def wrap_list(path: Path) -> Op:
     return Op("wrap_list", path)
 
 
-def unwrap_first(path: Path, pinned: str | None = None) -> Op:
-    return Op("unwrap_first", path, pinned)
+def unwrap_first(path: Path, pinned: str | None = None, was=None) -> Op:
+    return Op("unwrap_first", path, pinned, was=was)
 
 
 def wrap_record(path: Path, fid: str) -> Op:
@@ -160,6 +167,11 @@ def join_link(path: Path) -> Op:
     return Op("join_link", path)
 
 
+def move_table(path: Path, to: Path) -> Op:
+    """A list under another name; links into it follow."""
+    return Op("move_table", path, ref=to)
+
+
 def extract_list(path: Path, new_list: Path) -> Op:
     return Op("extract_list", path, ref=new_list)
 
@@ -198,3 +210,17 @@ def define_computed(path: Path, sql: str) -> Op:
 
 def define_formula(path: Path, formula) -> Op:
     return Op("define_formula", path, formula)
+
+
+def to_json(op: Op) -> str:
+    """A type operation as it is kept in a log."""
+    typed = {k: types.to_json(v) for k, v in (("arg", op.arg), ("was", op.was)) if isinstance(v, types.Type)}
+    plain = {"arg": op.arg} if op.arg is not None and "arg" not in typed else {}
+    return json.dumps({"kind": op.kind, "path": op.path, "ref": op.ref, "ids": op.ids, "typed": typed, **plain}, separators=(",", ":"))
+
+
+def from_json(text: str) -> Op:
+    """Inverse of ``to_json``."""
+    x = json.loads(text)
+    typed = {k: types.from_json(v) for k, v in x["typed"].items()}
+    return Op(x["kind"], tuple(x["path"]), typed.get("arg", x.get("arg")), tuple(x["ref"]), tuple(x["ids"]), typed.get("was"))

@@ -31,7 +31,7 @@ def resolve(moves: DataFrame) -> DataFrame:
     A source moved more than once follows its least destination; a cycle raises an error.
     """
     spark = moves.sparkSession
-    _checkpoint_dir(spark)
+    checkpoint_folder(spark)
     now = moves.groupBy(F.col("src").alias("eid")).agg(F.min("dst").alias("root")).checkpoint()
     # a chain of n moves is resolved in log2(n) rounds; a cycle never is
     for _ in range(now.count().bit_length() + 2):
@@ -45,15 +45,22 @@ def resolve(moves: DataFrame) -> DataFrame:
     raise ValueError("moves form a cycle")
 
 
-def _checkpoint_dir(spark) -> None:
-    """Set a checkpoint folder only where the session names none."""
-    if spark.sparkContext.getCheckpointDir() is None:
-        base = spark.conf.get("spark.checkpoint.dir", None)
-        if base is None:
-            import tempfile
+def shared_base(spark) -> str:
+    """The folder that driver and executors share; a local one only on a local master that names none."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+        import tempfile
+
+        base = tempfile.mkdtemp(prefix="opframe-")
+    return base.rstrip("/")
 
-            base = tempfile.mkdtemp(prefix="opframe-")
-        spark.sparkContext.setCheckpointDir(base)
+
+def checkpoint_folder(spark) -> None:
+    """Set a checkpoint folder only where the session has none."""
+    if spark.sparkContext.getCheckpointDir() is None:
+        spark.sparkContext.setCheckpointDir(shared_base(spark))
 
 
 def merge(db: Database, table: str, moves: DataFrame, flat: bool = True) -> Database:

@@ -9,18 +9,20 @@ from __future__ import annotations
 
 from dataclasses import replace
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..model.ops import Op
-from ..model.types import ONE, Atom, LinkT, ListT, Num, RecordT, Str, Type
-from .relation import DEAD, EID, LAST, ORD, Database, Relation, moved_columns
+from ..model.ops import Op, from_json, to_json
+from ..model.types import NULL_LINK, ONE, Atom, LinkT, ListT, Num, RecordT, Str, Type, initial_column, spark_type
+from .forward import checkpoint_folder
+from .relation import DEAD, EID, LAST, ORD, Database, Rejected, Relation, converted, moved_columns
 
 #: Columns of a log and their Spark types: fixed values.
 SCHEMA = {
     "seq": "bigint", "op_id": "string", "kind": "string", "list_key": "string", "eid": "string", "fid": "string", "sub": "string",
     "val_s": "string", "val_n": "double", "val_t": "timestamp_ntz", "arg_eid": "string", "anchor": "string", "origin_op": "string",
+    "plane": "string", "type_json": "string", "branch": "string", "undo_of": "string", "author": "string", "at": "timestamp_ntz",
 }
 CELL = ["list_key", "eid", "fid", "sub"]
 
@@ -30,9 +32,23 @@ def log(df: DataFrame, kind: str, list_key: str, **columns: Column) -> DataFrame
     given = {"kind": F.lit(kind), "list_key": F.lit(list_key), **columns}
     parts = [F.lit(kind), F.lit(list_key), *(given.get(c, F.lit("")) for c in ("eid", "fid", "sub", "seq"))]
     given.setdefault("op_id", F.concat_ws(":", *[F.coalesce(p.cast("string"), F.lit("")) for p in parts]))
+    given.setdefault("plane", F.lit("value"))
     return df.select(*[given.get(c, F.lit(None)).cast(t).alias(c) for c, t in SCHEMA.items()])
 
 
+def log_types(spark: SparkSession, ops: list[tuple[int, Op]], branch: str = "main") -> DataFrame:
+    """Rows of type operations, numbered (seq, operation)."""
+    rows = [(seq, f"{branch}:type:{seq}", op.kind, op.path[0] if op.path else "", "type", to_json(op), branch) for seq, op in ops]
+    df = spark.createDataFrame(rows, "seq bigint, op_id string, kind string, list_key string, plane string, type_json string, branch string")
+    return df.select(*[F.col(c) if c in df.columns else F.lit(None).cast(t).alias(c) for c, t in SCHEMA.items()])
+
+
+def types_of(ops: DataFrame) -> list[tuple[int, Op]]:
+    """(seq, operation) of a log's type operations, in order; a schema's history is short, so the driver reads it."""
+    rows = ops.where("plane = 'type'").select("seq", "type_json").orderBy("seq").collect()
+    return [(r["seq"], from_json(r["type_json"])) for r in rows]
+
+
 def value_of(t: Type) -> Column:
     """A log row's value under a field type."""
     if isinstance(t, (Str, LinkT)):
@@ -135,11 +151,13 @@ def order_keys(inserts: DataFrame, r: Relation) -> DataFrame:
     node = inserts.select(F.col("arg_eid").alias(EID), "anchor", F.array("seq").alias("path"))
     base = r.df.select(F.col(EID).alias("anchor"), F.slice(ORD, 1, F.size(ORD) - 1).alias("root"))
     if inserts.where("anchor is not null").limit(1).count():
-        for _ in range(40):
+        checkpoint_folder(inserts.sparkSession)
+        # a chain of n anchors is resolved in log2(n) rounds
+        for _ in range(inserts.count().bit_length() + 2):
             up = node.select(F.col(EID).alias("anchor"), F.col("anchor").alias("next"), F.col("path").alias("above"))
             step = node.join(up, "anchor", "left").select(
                 EID, F.when(F.col("above").isNotNull(), F.col("next")).otherwise(F.col("anchor")).alias("anchor"), F.concat(F.coalesce("above", F.array().cast("array<bigint>")), "path").alias("path"), F.col("above").isNotNull().alias("moved")
-            ).cache()
+            ).checkpoint()
             moved = step.where("moved").limit(1).count()
             node = step.drop("moved")
             if not moved:
@@ -160,53 +178,169 @@ def order_without_tombstones(inserts: DataFrame, drops: DataFrame, r: Relation)
 
 # ---- transfer across type operations ------------------------------------------------------
 
+WRITES, NEW, GONE = ("set_cell", "set_link"), ("insert_elem", "append_elem"), ("drop_elem", "restore_elem")
+#: Type operations that leave every row's place as it is.
+STILL = ("noop", "rename_field", "insert_field", "append_field", "define_formula")
+
+
+def slot_of(t: Type) -> str:
+    """The log's value column for a type."""
+    if isinstance(t, Num):
+        return "val_n"
+    if isinstance(t, Atom) and t.name != "string":
+        return "val_t" if t.name.startswith(("timestamp", "date")) else "val_n"
+    return "val_s"
+
+
+def stored_as(t: Type, value: Column) -> dict[str, Column]:
+    """The three value columns of a row that writes ``value``."""
+    kinds = {"val_s": "string", "val_n": "double", "val_t": "timestamp_ntz"}
+    return {c: value.cast(k) if c == slot_of(t) else F.lit(None).cast(k) for c, k in kinds.items()}
+
+
+def _same(column: str, value: str | None) -> Column:
+    """Null-safe: whether a column holds the value (or is null, for None)."""
+    return F.col(column).isNull() if value is None else F.coalesce(F.col(column) == value, F.lit(False))
+
+
+def _at(over: Op) -> tuple[str, str | None, str | None]:
+    """(table, field, field within a record) that a type operation is about."""
+    return over.path[0], over.path[2] if len(over.path) > 2 else None, over.path[3] if len(over.path) > 3 else None
+
+
+def _replaced(ops: DataFrame, hit: Column, **columns) -> DataFrame:
+    """The log with some columns of some rows changed."""
+    return ops.withColumns({c: F.when(hit, v if isinstance(v, Column) else F.lit(v)).otherwise(F.col(c)) for c, v in columns.items()})
+
+
+def _derived(rows: DataFrame, suffix: str, **columns) -> DataFrame:
+    """Rows that other rows bring along."""
+    return rows.withColumns({**{c: v if isinstance(v, Column) else F.lit(v) for c, v in columns.items()}, "op_id": F.concat("op_id", F.lit(suffix))})
+
+
+def _field_type(db: Database, over: Op) -> Type:
+    """Type of the slot that a type operation changes, before it."""
+    table, fid, inner = _at(over)
+    t = db[table].field(fid).type
+    return t.field(inner).type if inner is not None and isinstance(t, RecordT) else t
+
+
+def _atomic(db: Database, over: Op) -> None:
+    """Log rows name a field and one place within it; what lies deeper has no row."""
+    if isinstance(_field_type(db, over), (ListT, RecordT)):
+        raise Rejected(f"{over.kind} of a list or record within {over.path[0]} has no set-oriented rule")
+
+
+def _followed(ops: DataFrame, table: str, link: str, target: str, columns: list[tuple[str, Type]], links: DataFrame, rows: DataFrame) -> DataFrame:
+    """What writes to linked rows and to links mean for the linking rows, where the link is replaced by its target's columns.
+
+    links: (__row, __to) as they were before the log, rows: the target's. A write to a linked row
+    becomes one to each row that links to it after the log's own relinking. A relinked row takes
+    its new target's columns: the log's last writes of them, else the stored values; no link
+    gives initial values. What was linked to a row that the log drops becomes initial, too.
+    """
+    own = _same("list_key", table) & _same("fid", link) & _same("kind", "set_link")
+    there = _same("list_key", target)
+    relinked = ops.where(own).groupBy(F.col("eid").alias("__row")).agg(F.max("seq").alias("__seq"), F.max_by("val_s", "seq").alias("__new"))
+    final = links.join(relinked, "__row", "full").select("__row", F.coalesce("__new", "__to").alias("__to"))
+    fan = ops.where(there & F.col("kind").isin(*WRITES)).join(final, F.col("eid") == F.col("__to"))
+    fan = fan.withColumns({"eid": F.col("__row"), "list_key": F.lit(table), "origin_op": F.coalesce("origin_op", "op_id")}).drop("__row", "__to")
+    out = ops.where(~there & ~own).unionByName(fan)
+    last = last_writers(ops.where(there)).where("sub is null").select(F.col("eid").alias("__e"), F.col("fid").alias("__f"), *[F.col(v).alias(f"__{v}") for v in ("val_s", "val_n", "val_t")])
+    moved = ops.where(own).withColumnRenamed("val_s", "__to")
+    stored = rows.select(F.col(EID).alias("__r"), F.lit(True).alias("__there"), *[F.col(f).alias(f"__o_{f}") for f, _ in columns])
+    moved = moved.join(stored, F.col("__to") == F.col("__r"), "left").where(F.col("__there") | (F.col("__to") == NULL_LINK))
+    for f, t in columns:
+        value = F.when(F.col("__there"), F.col(f"__o_{f}")).otherwise(initial_column(t))
+        copy = _derived(moved, f"/{f}", kind="set_link" if isinstance(t, LinkT) else "set_cell", fid=f, **stored_as(t, value))
+        newer = copy.join(last.where(F.col("__f") == f).drop("__f"), F.col("__to") == F.col("__e"), "left")
+        newer = newer.withColumns({v: F.when(F.col("__e").isNotNull(), F.col(f"__{v}")).otherwise(F.col(v)) for v in ("val_s", "val_n", "val_t")})
+        out = out.unionByName(newer.select(*ops.columns))
+    lost = ops.where(there & _same("kind", "drop_elem")).join(final, F.col("arg_eid") == F.col("__to"))
+    for f, t in columns:
+        blank = _derived(lost, f"/{f}", kind="set_link" if isinstance(t, LinkT) else "set_cell", fid=f, eid=F.col("__row"), arg_eid=F.lit(None).cast("string"), list_key=table, **stored_as(t, initial_column(t)))
+        out = out.unionByName(blank.select(*ops.columns))
+    return out
+
 
 def forward(ops: DataFrame, over: Op, before: Database) -> DataFrame:
     """Log rows after a type operation; rows without a counterpart are gone.
 
     ``before`` is the database that the type operation ran on: a join fans writes to a linked
-    row out to every row that links to it, by one join on the link column.
+    row out to every row that links to it, by joins on the link column.
     """
-    table, fid = over.path[0], over.path[2] if len(over.path) > 2 else None
-    here = F.col("list_key") == table
-    if over.kind == "wrap_list":
-        hit = here & (F.col("fid") == fid) & F.col("sub").isNull() & (F.col("kind") == "set_cell")
-        return ops.withColumn("sub", F.when(hit, ONE).otherwise(F.col("sub")))
-    if over.kind == "wrap_record":
-        hit = here & (F.col("fid") == fid) & F.col("sub").isNull() & F.col("kind").isin("set_cell", "set_link")
-        return ops.withColumn("sub", F.when(hit, over.ids[0]).otherwise(F.col("sub")))
-    if over.kind == "unwrap_field":
-        mine = here & (F.coalesce(F.col("fid"), F.lit("")) == fid)
-        kept = ops.where(~mine | (F.coalesce(F.col("sub"), F.lit("")) == over.ids[0]))
-        return kept.withColumn("sub", F.when(mine, F.lit(None)).otherwise(F.col("sub")))
-    if over.kind == "unwrap_first":
-        keep = ~(here & (F.coalesce(F.col("fid"), F.lit("")) == fid)) | (F.coalesce(F.col("sub"), F.lit(ONE)) == (over.arg or ONE)) & F.col("kind").isin("set_cell", "set_link")
-        return ops.where(keep).withColumn("sub", F.when(here & (F.col("fid") == fid), F.lit(None)).otherwise(F.col("sub")))
-    if over.kind == "drop_field":
-        return ops.where(~(here & (F.coalesce(F.col("fid"), F.lit("")) == over.ids[0])))
-    if over.kind == "move_field":
-        return ops.withColumn("fid", F.when(here & (F.col("fid") == fid), over.ref[2]).otherwise(F.col("fid")))
-    if over.kind == "convert_type":
-        hit = here & (F.col("fid") == fid)
-        if isinstance(over.arg, Num):
-            return ops.withColumn("val_n", F.when(hit, F.coalesce(F.col("val_s").try_cast("double"), F.lit(float("nan")))).otherwise(F.col("val_n")))
+    kind = over.kind
+    if kind in STILL or over.plane == "value":
         return ops
-    if over.kind == "split_table":
-        moved = moved_columns(before[table], over)
-        to = ops.withColumn("list_key", F.when(here & F.col("fid").isin(moved), over.ref[0]).otherwise(F.col("list_key")))
-        new = ops.where(here & F.col("kind").isin("insert_elem", "append_elem"))
-        linked = new.withColumns({"list_key": F.lit(over.ref[0]), "op_id": F.concat("op_id", F.lit("/linked"))})
-        link = new.withColumns({"kind": F.lit("set_link"), "fid": F.lit(f"{fid}_link"), "eid": F.col("arg_eid"), "val_s": F.col("arg_eid"), "op_id": F.concat("op_id", F.lit("/link"))})
-        return to.unionByName(linked).unionByName(link)
-    if over.kind == "join_link":
+    table, fid, inner = _at(over)
+    here = _same("list_key", table)
+    slot = here & _same("fid", fid) & _same("sub", inner) if fid is not None else here
+    field = here & _same("fid", fid) if fid is not None else here
+    write = F.col("kind").isin(*WRITES)
+    if kind == "wrap_list":
+        _atomic(before, over)
+        # a new row's list has the element that wrapping its blank would have made
+        made = _derived(ops.where(here & F.col("kind").isin(*NEW) & F.col("fid").isNull()), "/one", kind="append_elem", eid=F.col("arg_eid"), fid=fid, arg_eid=ONE, anchor=F.lit(None).cast("string"))
+        return _replaced(ops, slot & write, sub=ONE).unionByName(made)
+    if kind == "wrap_record":
+        _atomic(before, over)
+        return _replaced(ops, slot & write, sub=over.ids[0])
+    if kind == "unwrap_field":
+        return _replaced(ops.where(~field | _same("sub", over.ids[0])), field, sub=F.lit(None).cast("string"))
+    if kind == "unwrap_first":
+        elem = before[table].field(fid).type.elem
+        first = F.lit(over.arg or ONE)
+        if over.arg is None:
+            # the element that is first in its row now, as the operation itself takes it
+            heads = before[table].df.select(F.col(EID).alias("__row"), F.get(fid, 0)["eid"].alias("__first"))
+            ops, first = ops.join(heads, F.col("eid") == F.col("__row"), "left").drop("__row"), F.coalesce("__first", F.lit(ONE))
+        raised = field & write & (F.col("sub") == first)
+        blank = field & _same("kind", "drop_elem") & (F.col("arg_eid") == first)
+        kept = ops.where(~field | F.coalesce(raised | blank, F.lit(False)))
+        kept = kept.withColumn("__blank", F.coalesce(blank, F.lit(False))).withColumn("sub", F.when(field, F.lit(None)).otherwise(F.col("sub")))
+        kept = _replaced(kept, F.col("__blank"), kind="set_cell", arg_eid=F.lit(None).cast("string"), **stored_as(elem, initial_column(elem)))
+        return kept.drop("__blank", "__first")
+    if kind == "drop_field":
+        return ops.where(~(here & _same("fid", over.ids[0])))
+    if kind in ("define_type", "define_link"):
+        return ops.where(~slot) if inner is not None else ops.where(~field)
+    if kind == "move_field":
+        src, dst = over.path[2:], over.ref[2:]
+        if len(src) != len(dst):
+            _atomic(before, over)
+        hit = slot if len(src) == 2 or len(dst) == 2 else field
+        to = {"fid": dst[0]} if len(src) == len(dst) == 1 else {"fid": dst[0], "sub": dst[1] if len(dst) > 1 else F.lit(None).cast("string")}
+        return _replaced(ops, hit, **to)
+    if kind == "convert_type":
+        old = _field_type(before, over)
+        return _replaced(ops, slot & write, **stored_as(over.arg, converted(value_of(old), old, over.arg)))
+    if kind == "split_table":
+        new, link = over.ref[0], f"{fid}_link"
+        to = _replaced(ops, here & F.col("fid").isin(moved_columns(before[table], over)), list_key=new)
+        rows = ops.where(here & F.col("fid").isNull())
+        added = rows.where(F.col("kind").isin(*NEW))
+        gone = rows.where(F.col("kind").isin(*GONE))
+        links = _derived(added, "/link", kind="set_link", fid=link, eid=F.col("arg_eid"), val_s=F.col("arg_eid"), anchor=F.lit(None).cast("string"))
+        # as long as links are those that the split made, a row's linked row has no other
+        return to.unionByName(_derived(added, "/linked", list_key=new)).unionByName(_derived(gone, "/linked", list_key=new)).unionByName(links)
+    if kind == "join_link":
         r = before[table]
         target = r.field(fid).type.target[0]
         links = r.live().select(F.col(EID).alias("__row"), F.col(fid).alias("__to"))
-        own = ops.where(F.col("list_key") != target)
-        fan = ops.where((F.col("list_key") == target) & F.col("kind").isin("set_cell", "set_link")).join(links, F.col("eid") == F.col("__to"))
-        fan = fan.withColumns({"eid": F.col("__row"), "list_key": F.lit(table), "origin_op": F.coalesce("origin_op", "op_id")}).drop("__row", "__to")
-        return own.unionByName(fan)
-    return ops
+        columns = [(f.fid, f.type) for f in before[target].fields if f.fid in before[target].stored()]
+        out = _followed(ops, table, fid, target, columns, links, before[target].live())
+        # rows that are linked by nothing are not seen
+        return out.where(~(_same("list_key", target) & F.col("kind").isin(*NEW, *GONE)))
+    if kind == "copy_table":
+        return ops.unionByName(_derived(ops.where(here), "/copy", list_key=over.ref[0]))
+    if kind == "union_table":
+        return _replaced(ops, _same("list_key", over.ref[0]), list_key=table)
+    if kind == "move_table":
+        return _replaced(ops, here, list_key=over.ref[0])
+    if kind == "match_column":
+        found = F.regexp_extract("val_s", over.arg, 1)
+        return ops.where(~(here & _same("fid", over.ref[2]))).unionByName(_derived(ops.where(slot & write), "/match", fid=over.ref[2], val_s=found))
+    raise Rejected(f"{kind} has no set-oriented rule of projection")
 
 
 def forward_merge(ops: DataFrame, table: str, moves: DataFrame, policy: str = "overwrite") -> DataFrame:
@@ -222,68 +356,107 @@ def forward_merge(ops: DataFrame, table: str, moves: DataFrame, policy: str = "o
         return ops
     last = moves.groupBy(F.col("dst").alias("__dst")).agg(F.max(F.struct("ord", "src")).alias("__m")).select("__dst", F.col("__m.src").alias("__src"))
     at = F.col("list_key") == table
-    merged = ops.where(at).join(last, F.col("eid") == F.col("__src"), "left")
+    # dropping one member of a class drops nothing: the others still need its row
+    part = fwd.select(F.col("__src").alias("__any")).unionByName(fwd.select("__dst")).distinct()
+    drops = ops.where(at & F.col("kind").isin(*GONE)).join(part, F.col("arg_eid") == F.col("__any"), "left_anti")
+    merged = ops.where(at & ~F.col("kind").isin(*GONE)).join(last, F.col("eid") == F.col("__src"), "left")
     dst = last.select(F.col("__dst").alias("__own"))
     merged = merged.join(fwd.select(F.col("__src").alias("__any")), F.col("eid") == F.col("__any"), "left").join(dst, F.col("eid") == F.col("__own"), "left")
     merged = merged.where(F.col("__src").isNotNull() | (F.col("__any").isNull() & F.col("__own").isNull()))
     merged = merged.withColumn("eid", F.coalesce("__dst", "eid")).drop("__src", "__dst", "__any", "__own")
     links = ops.where(~at).join(fwd, (F.col("kind") == "set_link") & (F.col("val_s") == F.col("__src")), "left")
-    return merged.unionByName(links.withColumn("val_s", F.coalesce("__dst", "val_s")).drop("__src", "__dst"))
+    return merged.unionByName(links.withColumn("val_s", F.coalesce("__dst", "val_s")).drop("__src", "__dst")).unionByName(drops)
 
 
 def backward(ops: DataFrame, over: Op, after: Database) -> tuple[DataFrame, DataFrame]:
-    """(rows before a type operation, blocked rows with blocker_kind)."""
-    table, fid = over.path[0], over.path[2] if len(over.path) > 2 else None
-    here = F.col("list_key") == table
-    if over.kind == "wrap_list":
-        inside = here & (F.coalesce(F.col("fid"), F.lit("")) == fid)
-        bad = inside & ~((F.col("kind") == "set_cell") & (F.coalesce(F.col("sub"), F.lit("")) == ONE))
-        ok = ops.where(~bad).withColumn("sub", F.when(inside, F.lit(None)).otherwise(F.col("sub")))
-        return ok, ops.where(bad).withColumn("blocker_kind", F.lit(over.kind))
-    if over.kind == "wrap_record":
-        inside = here & (F.coalesce(F.col("fid"), F.lit("")) == fid)
-        bad = inside & (F.coalesce(F.col("sub"), F.lit("")) != over.ids[0])
-        ok = ops.where(~bad).withColumn("sub", F.when(inside, F.lit(None)).otherwise(F.col("sub")))
-        return ok, ops.where(bad).withColumn("blocker_kind", F.lit(over.kind))
-    if over.kind == "unwrap_field":
-        inside = here & (F.coalesce(F.col("fid"), F.lit("")) == fid)
-        return ops.withColumn("sub", F.when(inside, over.ids[0]).otherwise(F.col("sub"))), ops.where("false").withColumn("blocker_kind", F.lit(over.kind))
-    if over.kind == "move_field":
-        moved = here & (F.col("fid") == over.ref[2])
-        return ops.withColumn("fid", F.when(moved, fid).otherwise(F.col("fid"))), ops.where("false").withColumn("blocker_kind", F.lit(over.kind))
-    if over.kind == "split_table":
-        new = over.ref[0]
-        bad = (F.col("list_key") == new) & F.col("kind").isin("insert_elem", "append_elem", "drop_elem")
-        made = ops.where(bad).select(F.col("arg_eid").alias("__made")).distinct()
-        held = ops.where(~bad).join(made, (F.col("eid") == F.col("__made")) & (F.col("list_key") == new), "left")
-        blocked = ops.where(bad).unionByName(held.where("__made is not null").drop("__made"))
-        rest = held.where("__made is null").drop("__made")
-        r = after[table]
-        links = r.live().select(F.col(EID).alias("__row"), F.col(f"{fid}_link").alias("__to"))
-        cells = rest.where((F.col("list_key") == new) & (F.col("kind") == "set_cell")).join(links, F.col("eid") == F.col("__to"))
-        cells = cells.withColumns({"eid": F.col("__row"), "list_key": F.lit(table), "origin_op": F.coalesce("origin_op", "op_id")}).drop("__row", "__to")
-        # a link to an old element copies that element's columns; to one made after the split it says nothing
-        linked = rest.where((F.col("kind") == "set_link") & (F.col("fid") == f"{fid}_link"))
+    """(rows before a type operation, blocked rows with blocker_kind).
+
+    Blocked is what needs a slot or an element that the type operation made. ``after`` is the
+    database after it; for a join, whose result has no link column, the one before it.
+    """
+    kind = over.kind
+    table, fid, inner = _at(over) if over.path else (None, None, None)
+    here = _same("list_key", table)
+    slot = here & _same("fid", fid) & _same("sub", inner) if fid is not None else here
+    field = here & _same("fid", fid) if fid is not None else here
+    write = F.col("kind").isin(*WRITES)
+    none = F.lit(None).cast("string")
+
+    def without(rows: DataFrame, bad: Column) -> tuple[DataFrame, DataFrame]:
+        bad = F.coalesce(bad, F.lit(False))
+        return rows.where(~bad), rows.where(bad).withColumn("blocker_kind", F.lit(kind))
+
+    if kind in ("insert_field", "append_field"):
+        return without(ops, here & _same("fid", over.ids[0]))
+    if kind in STILL or kind == "drop_field" or over.plane == "value":
+        return without(ops, F.lit(False))
+    if kind in ("define_type", "define_link"):
+        return without(ops, slot if inner is not None else field)
+    if kind == "wrap_list":
+        one = F.col("kind").isin(*NEW) & _same("arg_eid", ONE)
+        ok, blocked = without(ops.where(~(field & one)), field & ~(write & _same("sub", ONE)))
+        return _replaced(ok, field, sub=none), blocked
+    if kind == "wrap_record":
+        ok, blocked = without(ops, field & ~(write & _same("sub", over.ids[0])))
+        return _replaced(ok, field, sub=none), blocked
+    if kind == "unwrap_field":
+        return without(_replaced(ops, field, sub=over.ids[0]), F.lit(False))
+    if kind == "unwrap_first":
+        return without(_replaced(ops, field & write, sub=over.arg or ONE), F.lit(False))
+    if kind == "move_field":
+        src, dst = over.path[2:], over.ref[2:]
+        hit = here & _same("fid", dst[0])
+        if len(src) == 2 or len(dst) == 2:
+            hit = hit & _same("sub", dst[1] if len(dst) > 1 else None)
+        to = {"fid": src[0]} if len(src) == len(dst) == 1 else {"fid": src[0], "sub": src[1] if len(src) > 1 else none}
+        return without(_replaced(ops, hit, **to), F.lit(False))
+    if kind == "convert_type":
+        old = over.was if over.was is not None else (Str() if isinstance(over.arg, Num) else Num())
+        back = converted(value_of(over.arg), over.arg, old)
+        empty = {"val_s": F.coalesce(F.col("val_s") == "", F.lit(True)), "val_n": F.coalesce(F.isnan("val_n"), F.lit(True)), "val_t": F.col("val_t").isNull()}[slot_of(over.arg)]
+        lost = F.isnan(back) if isinstance(old, Num) else back == "" if slot_of(old) == "val_s" else back.isNull()
+        ok, blocked = without(ops, slot & write & ~empty & lost)
+        return _replaced(ok, slot & write, **stored_as(old, back)), blocked
+    if kind == "split_table":
+        new, link = over.ref[0], f"{fid}_link"
+        there = _same("list_key", new)
+        rows = F.col("fid").isNull()
+        # rows of the new table that come and go with the row they were split from say nothing by themselves
+        twins = ops.where(here & rows & F.col("kind").isin(*NEW, *GONE)).select(F.col("arg_eid").alias("__e"), F.col("kind").alias("__k")).distinct()
+        inside = ops.where(there & rows & F.col("kind").isin(*NEW, *GONE)).join(twins, (F.col("arg_eid") == F.col("__e")) & (F.col("kind") == F.col("__k")), "left_anti").select(*ops.columns)
+        made = inside.where(F.col("kind").isin(*NEW)).select(F.col("arg_eid").alias("__made")).distinct()
+        rest = ops.where(~(there & rows & F.col("kind").isin(*NEW, *GONE)))
+        about = rest.where(there).join(made, F.col("eid") == F.col("__made"), "left_semi")
+        blocked = inside.unionByName(about).withColumn("blocker_kind", F.lit(kind))
+        rest = rest.where(~there).unionByName(rest.where(there).join(made, F.col("eid") == F.col("__made"), "left_anti"))
+        # a new row's link to its own twin is the split's own
+        self_link = here & _same("fid", link) & _same("kind", "set_link") & F.coalesce(F.col("val_s") == F.col("eid"), F.lit(False))
+        fresh = twins.where(F.col("__k").isin(*NEW)).select("__e")
+        rest = rest.where(~self_link).unionByName(rest.where(self_link).join(fresh, F.col("eid") == F.col("__e"), "left_anti"))
+        own = twins.where(F.col("__k").isin(*NEW)).select(F.col("__e").alias("__row"), F.col("__e").alias("__to"))
+        links = after[table].live().select(F.col(EID).alias("__row"), F.col(link).alias("__to")).unionByName(own).groupBy("__row").agg(F.max("__to").alias("__to"))
         target = after[new]
-        copies = [
-            linked.join(target.live().select(F.col(EID).alias("__to"), F.col(f.fid).alias("__v")), F.col("val_s") == F.col("__to")).withColumns(
-                {"kind": F.lit("set_cell"), "fid": F.lit(f.fid), "val_s": F.col("__v").cast("string")}
-            ).drop("__to", "__v")
-            for f in target.fields
-        ]
-        out = rest.where((F.col("list_key") != new) & ~((F.col("kind") == "set_link") & (F.coalesce(F.col("fid"), F.lit("")) == f"{fid}_link"))).unionByName(cells)
-        for c in copies:
-            out = out.unionByName(c)
-        return out, blocked.withColumn("blocker_kind", F.lit(over.kind))
-    if over.kind == "join_link":
+        columns = [(f.fid, f.type) for f in target.fields if f.fid in target.stored()]
+        return _followed(rest, table, link, new, columns, links, target.live()), blocked
+    if kind == "join_link":
         # writes to joined columns go back to the row that the link names: an updatable view
         r = after[table]
         link = r.field(fid).type.target[0]
-        theirs = [f.fid for f in after[link].fields]
+        theirs = here & F.col("fid").isin([f.fid for f in after[link].fields])
         at = r.live().select(F.col(EID).alias("__row"), F.col(fid).alias("__to"))
-        joined = ops.where(here & F.col("fid").isin(theirs)).join(at, F.col("eid") == F.col("__row")).withColumns({"eid": F.col("__to"), "list_key": F.lit(link)}).drop("__row", "__to")
-        return ops.where(~(here & F.coalesce(F.col("fid").isin(theirs), F.lit(False)))).unionByName(joined), ops.where("false").withColumn("blocker_kind", F.lit(over.kind))
-    return ops, ops.where("false").withColumn("blocker_kind", F.lit(over.kind))
+        known = after[link].live().select(F.col(EID).alias("__there"))
+        joined = ops.where(theirs).join(at, F.col("eid") == F.col("__row"), "left").join(known, F.col("__to") == F.col("__there"), "left")
+        # a row without a linked row has no place for them
+        bad = joined.where("__there is null").drop("__row", "__to", "__there").withColumn("blocker_kind", F.lit(kind))
+        moved = joined.where("__there is not null").withColumns({"eid": F.col("__to"), "list_key": F.lit(link)}).drop("__row", "__to", "__there")
+        return ops.where(~F.coalesce(theirs, F.lit(False))).unionByName(moved), bad
+    if kind == "move_table":
+        return without(_replaced(ops, _same("list_key", over.ref[0]), list_key=table), F.lit(False))
+    if kind == "copy_table":
+        return without(ops, _same("list_key", over.ref[0]))
+    if kind == "match_column":
+        return without(ops, here & _same("fid", over.ref[2]))
+    raise Rejected(f"{kind} has no set-oriented rule of retraction")
 
 
 def transfer_values(left: DataFrame, right: DataFrame) -> DataFrame:
@@ -404,11 +577,12 @@ def dependencies(ops: DataFrame) -> DataFrame:
 
 def closure(ops: DataFrame, chosen: DataFrame) -> DataFrame:
     """Operation IDs of the chosen operations and of all that they need, by frontier joins."""
-    edges = dependencies(ops)
-    seen = chosen.select("op_id").distinct()
+    checkpoint_folder(ops.sparkSession)
+    edges = dependencies(ops).checkpoint()
+    seen = chosen.select("op_id").distinct().checkpoint()
     frontier = seen
     while True:
-        frontier = frontier.join(edges, "op_id").select(F.col("dep_id").alias("op_id")).distinct().join(seen, "op_id", "left_anti").cache()
+        frontier = frontier.join(edges, "op_id").select(F.col("dep_id").alias("op_id")).distinct().join(seen, "op_id", "left_anti").checkpoint()
         if not frontier.limit(1).count():
             return seen
         seen = seen.unionByName(frontier)

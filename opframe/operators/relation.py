@@ -12,11 +12,10 @@ from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 
 from pyspark.sql import Column, DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..model.ops import Op
-from ..model.types import ANY, NULL_LINK, ONE, Field, LinkT, ListT, RecordT, Str, Type, Unit, from_spark, initial_column, is_initial, spark_type
+from ..model.types import ANY, NULL_LINK, ONE, Field, LinkT, ListT, Num, RecordT, Str, Type, Unit, from_spark, initial_column, is_initial, spark_type
 
 EID, ORD, DEAD = "__eid", "__ord", "__dead"
 SYSTEM = (EID, ORD, DEAD)
@@ -94,7 +93,12 @@ class Database:
             return self
         if op.kind not in _APPLY:
             raise Rejected(f"unknown operation {op.kind}")
-        return _APPLY[op.kind](self, op)
+        out = _APPLY[op.kind](self, op)
+        if self.formulas and op.plane == "type" and op.kind != "define_formula":
+            from ..plans.formula import carried
+
+            out = replace(out, formulas={k: carried(f, op) for k, f in self.formulas.items()})
+        return out
 
     def run(self, ops: list[Op]) -> Database:
         """The database after a timeline."""
@@ -146,12 +150,19 @@ def _define(db: Database, op: Op) -> Database:
     return _set(db, table, db[table], fid, initial_column(t), t)
 
 
+def converted(c: Column, old: Type, new: Type) -> Column:
+    """An atomic under another atomic type; what does not convert becomes the initial value. Whole numbers are written without a point."""
+    if isinstance(old, Num) and spark_type(new).simpleString() == "string":
+        whole = (c == F.floor(c)) & (F.abs(c) < 1e15)
+        c = F.when(whole, c.cast("bigint").cast("string")).when(~F.isnan(c), c.cast("string"))
+    return F.coalesce(c.try_cast(spark_type(new)), initial_column(new))
+
+
 @_on("convert_type")
 def _convert(db: Database, op: Op) -> Database:
     table, fid, _ = _column(op)
     r, t = db[table], op.arg
-    value = F.col(fid).try_cast(spark_type(t))
-    return _set(db, table, r, fid, F.coalesce(value, initial_column(t)), t)
+    return _set(db, table, r, fid, converted(F.col(fid), r.field(fid).type, t), t)
 
 
 @_on("rename_field")
@@ -392,12 +403,65 @@ def _partition(db: Database, op: Op) -> Database:
 @_on("collapse_set")
 def _collapse(db: Database, op: Op) -> Database:
     r = db[op.path[0]]
-    w = W.partitionBy(*op.ids)
-    # every member keeps its ID and learns its class, so the collapse can be taken back
-    df = r.df.withColumn("__class", F.min(F.struct(ORD, EID)).over(w)[EID]).withColumn("__size", F.count(F.lit(1)).over(w))
+    # every member keeps its ID and learns its class, so the collapse can be taken back; an aggregate and a join, as a class may hold a third of all rows
+    classes = r.df.groupBy(*op.ids).agg(F.min(F.struct(ORD, EID))[EID].alias("__class"), F.count(F.lit(1)).alias("__size"))
+    classes = classes.select(*[F.col(k).alias(f"__k_{k}") for k in op.ids], "__class", "__size")
+    same = [F.col(k).eqNullSafe(F.col(f"__k_{k}")) for k in op.ids]
+    df = r.df.join(classes, same).drop(*[f"__k_{k}" for k in op.ids])
     return db.put(**{op.path[0]: Relation(df, r.fields)})
 
 
+@_on("insert_elem", "append_elem")
+def _insert_elem(db: Database, op: Op) -> Database:
+    """One new row at the end, or in front of another row (whose order key it takes with a lower last part)."""
+    table, e = op.path[0], op.ids[0]
+    r = db[table]
+    if op.kind == "append_elem":
+        row = r.df.sparkSession.range(1).select(F.lit(e).alias(EID), F.array(F.lit(LAST - 1), F.lit(LAST)).alias(ORD), F.lit(False).alias(DEAD), *r.header_row())
+    else:
+        at = F.concat(F.slice(ORD, 1, F.size(ORD) - 1), F.array(F.lit(0).cast("long"), F.lit(LAST)))
+        row = r.df.where(F.col(EID) == op.ids[1]).select(F.lit(e).alias(EID), at.alias(ORD), F.lit(False).alias(DEAD), *r.header_row())
+    return db.put(**{table: replace(r, df=r.select().unionByName(row))})
+
+
+@_on("move_elem")
+def _move_elem(db: Database, op: Op) -> Database:
+    """One row's content goes to another row, the source becomes a tombstone and links to it follow (one join on a one-row table)."""
+    from .forward import forward_links
+
+    table, e, d = op.path[0], op.path[1], op.ref[1]
+    r = db[table]
+    content = r.df.where(F.col(EID) == e).select(F.lit(d).alias("__to"), *[F.col(c).alias(f"__m_{c}") for c in r.stored()])
+    df = r.select().join(content, F.col(EID) == F.col("__to"), "left")
+    hit = F.col("__to").isNotNull()
+    df = df.select(EID, ORD, F.when(F.col(EID) == e, F.lit(True)).when(hit, F.lit(False)).otherwise(F.col(DEAD)).alias(DEAD), *[F.when(hit, F.col(f"__m_{c}")).otherwise(F.col(c)).alias(c) for c in r.stored()])
+    out = db.put(**{table: replace(r, df=df)})
+    one = r.df.sparkSession.range(1).select(F.lit(e).alias("eid"), F.lit(d).alias("root"))
+    for name, other in out.tables.items():
+        for f in other.fields:
+            if isinstance(f.type, LinkT) and f.type.target == (table,):
+                other = replace(other, df=forward_links(other.df, f.fid, one))
+        out = out.put(**{name: other})
+    return out
+
+
+def retarget_links(db: Database, old: str, new: str) -> Database:
+    """Links into a list follow it when it gets another name: a change of types, no job."""
+    out = db
+    for name, r in db.tables.items():
+        fields = tuple(replace(f, type=LinkT((new,))) if isinstance(f.type, LinkT) and f.type.target == (old,) else f for f in r.fields)
+        out = out.put(**{name: replace(r, fields=fields)})
+    return out
+
+
+@_on("move_table")
+def _move_table(db: Database, op: Op) -> Database:
+    old, new = op.path[0], op.ref[0]
+    if new in db.tables:
+        raise Rejected(f"table {new} exists")
+    return retarget_links(db.without(old).put(**{new: db[old]}), old, new)
+
+
 @_on("decompose")
 def _decompose(db: Database, op: Op) -> Database:
     from .forward import dedupe_moves, merge

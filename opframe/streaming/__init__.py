@@ -12,17 +12,13 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..model.ops import Op
 from ..operators import oplog
+from ..operators.forward import shared_base
 from ..operators.relation import Database
 
 
 def shared_folder(spark: SparkSession, name: str) -> str:
     """A fresh folder that driver and executors share."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if base is None:
-        import tempfile
-
-        base = tempfile.mkdtemp(prefix="opframe-")
-    return f"{base.rstrip('/')}/opframe-{name}-{uuid.uuid4().hex[:12]}"
+    return f"{shared_base(spark)}/opframe-{name}-{uuid.uuid4().hex[:12]}"
 
 
 def read_events(spark: SparkSession, path: str, files: int = 1) -> DataFrame:
