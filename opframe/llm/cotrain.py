@@ -1,10 +1,11 @@
 """Quality classifier by co-training of two views (operator 9).
 
-View one is the text's content: words and case-keeping byte grams. View two is the page's
-metadata: language, source, declared length, and layout figures such as lines, capitals, marks,
-repeated lines and the share of distinct words. Both start from the labelled sample; in each
-round each view labels the texts of an unlabelled pool that it is surest of, and the other view
-learns from them. Each view is then calibrated on labelled rows kept aside and the calibrated
+View one is the text's content: words, case-keeping byte grams, and layout figures such as lines,
+capitals, marks, repeated lines and the share of distinct words. View two is what is stored beside
+the text and never looks into it: language, source, both together, and the declared length in
+steps. Both start from the labelled sample; in each
+round each view labels the texts of an unlabelled pool that it is surest of, if it has shown on labelled
+rows that such labels are right, and the other view learns from them. Each view is then calibrated on labelled rows kept aside and the calibrated
 log-odds are combined by a small logistic model.
 """
 
@@ -26,8 +27,12 @@ from .learning import Chosen, calibrate, drawn, fit_logistic, list_column, prese
 MOST_LABELLED, MOST_POOL, FEATURES, GRAM = 5000, 4000, 512, 4
 #: Rounds, and the share of the pool that a view hands over in each.
 ROUNDS, SHARE = 5, 0.05
-#: Hash slots for languages and for sources.
-SLOTS = 32
+#: Share of right labels, and how many of them, that a view must show on labelled rows before it hands labels over.
+SURE, PROVEN = 0.98, 20
+#: Bound of the text bytes of each sample.
+MOST_BYTES = 64 << 20
+#: Hash slots for languages, for sources and for both; steps of the declared length (powers of two).
+SLOTS, STEPS = 32, 24
 _LINES = byte_table([0x0A], lower=False)
 _CLASSES = [
     np.isin(np.arange(256), list(range(65, 91))),
@@ -36,7 +41,7 @@ _CLASSES = [
     np.isin(np.arange(256), list(range(48, 58))),
     np.isin(np.arange(256), list(b".,;:")),
 ]
-N_LAYOUT = 8 + len(_CLASSES)
+N_LAYOUT = 7 + len(_CLASSES)
 
 
 def _distinct(owner: np.ndarray, h: np.ndarray, n: int) -> np.ndarray:
@@ -45,17 +50,17 @@ def _distinct(owner: np.ndarray, h: np.ndarray, n: int) -> np.ndarray:
     return np.bincount((key >> np.uint64(44)).astype(np.int64), minlength=n)
 
 
-def metadata_view(raw: np.ndarray, off: np.ndarray, lang: list, source: list, n_chars: np.ndarray) -> np.ndarray:
-    """Dense rows: layout figures, then one slot of the language and one of the source."""
+def layout(raw: np.ndarray, off: np.ndarray) -> np.ndarray:
+    """Dense layout figures of each text, a part of the text view."""
     n = len(off) - 1
-    out = np.zeros((n, N_LAYOUT + 2 * SLOTS), np.float32)
+    out = np.zeros((n, N_LAYOUT), np.float32)
     low, starts, ends, bound = words(raw, off, SPACE_TABLE)
     owner = np.repeat(np.arange(n), np.diff(bound))
     n_words = np.diff(bound)
     chars = np.bincount(owner, weights=ends - starts, minlength=n)
     for k, c in enumerate(_CLASSES):
         total = np.concatenate([[0], np.cumsum(c[raw], dtype=np.int64)])
-        out[:, 8 + k] = np.sqrt((total[off[1:]] - total[off[:-1]]) / np.maximum(chars, 1))
+        out[:, 7 + k] = np.sqrt((total[off[1:]] - total[off[:-1]]) / np.maximum(chars, 1))
     _, a, b, line_bound = words(raw, off, _LINES)
     n_lines = np.diff(line_bound)
     line_owner = np.repeat(np.arange(n), n_lines)
@@ -65,21 +70,33 @@ def metadata_view(raw: np.ndarray, off: np.ndarray, lang: list, source: list, n_
     out[:, 2] = np.log1p(n_lines)
     out[:, 3] = np.sqrt(1 - _distinct(line_owner, hash_words(raw, a, b), n) / np.maximum(n_lines, 1)) * (n_lines > 0)
     out[:, 4] = _distinct(owner, hash_words(low, starts, ends), n) / some
-    out[:, 5] = np.log1p(np.maximum(n_chars, 0))
-    out[:, 6] = np.log1p(n_words / np.maximum(n_lines, 1))
-    out[:, 7] = (n_words < 20).astype(np.float32)
+    out[:, 5] = np.log1p(n_words / np.maximum(n_lines, 1))
+    out[:, 6] = (n_words < 20).astype(np.float32)
+    return out
+
+
+def metadata_view(lang: list, source: list, n_chars: np.ndarray) -> np.ndarray:
+    """Dense rows: the declared length and its step, one slot each of the language, the source and of both."""
+    n = len(lang)
+    out = np.zeros((n, 1 + STEPS + 3 * SLOTS), np.float32)
+    length = np.log2(np.maximum(n_chars, 0) + 1.0)
+    out[:, 0] = length
     rows = np.arange(n)
-    for at, values in ((N_LAYOUT, lang), (N_LAYOUT + SLOTS, source)):
-        out[rows, at + np.array([zlib.crc32(("" if v is None else str(v)).encode()) % SLOTS for v in values], np.int64)] = 1
+    out[rows, 1 + np.minimum(STEPS - 1, length).astype(np.int64)] = 1
+    text = [("" if v is None else str(v), "" if w is None else str(w)) for v, w in zip(lang, source, strict=True)]
+    for k, values in enumerate(([v for v, _ in text], [w for _, w in text], [f"{v}\0{w}" for v, w in text])):
+        at = {v: zlib.crc32(v.encode()) % SLOTS for v in set(values)}
+        out[rows, 1 + STEPS + k * SLOTS + np.array([at[v] for v in values], np.int64)] = 1
     return out
 
 
 @dataclass
 class Model:
-    """Both views, their scaling and their combination."""
+    """Both views, their scaling and their combination. The text view's weights: chosen buckets, layout figures, bias."""
 
     chosen: Chosen
     text: np.ndarray
+    layout: tuple[np.ndarray, np.ndarray]
     centre: np.ndarray
     scale: np.ndarray
     meta: np.ndarray
@@ -93,12 +110,36 @@ class Model:
         return np.column_stack([sigmoid(f), both])
 
 
+def confident(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
+    """(least probability of good, largest of bad) from which a view's labels can be trusted.
+
+    Judged on labelled rows that the judging fit did not see (two halves): the widest bounds,
+    beyond 0.9 and under 0.1, at which SURE of the rows have the label and PROVEN rows do. A view
+    that never proves itself gets bounds that no row reaches.
+    """
+    half = np.arange(len(y)) % 2 == 0
+    p = np.full(len(y), 0.5)
+    for own in (half, ~half):
+        if len(np.unique(y[own])) == 2 and (~own).any():
+            w = fit_logistic(x[own], y[own])
+            p[~own] = sigmoid(x[~own] @ w[:-1] + w[-1])
+
+    def bound(q: np.ndarray, right: np.ndarray) -> float:
+        order = np.argsort(-q, kind="stable")
+        hits = np.cumsum(right[order])
+        good = np.flatnonzero((hits >= SURE * np.arange(1, len(q) + 1)) & (hits >= PROVEN) & (q[order] > 0.9))
+        return float(q[order[good[-1]]]) if len(good) else 2.0
+
+    return bound(p, y == 1), 1 - bound(1 - p, y == 0)
+
+
 def cotrain(x_t: np.ndarray, x_m: np.ndarray, y: np.ndarray, u_t: np.ndarray, u_m: np.ndarray, rounds: int = ROUNDS, share: float = SHARE) -> tuple[np.ndarray, np.ndarray]:
     """Weights of the text and of the metadata view after rounds of exchanged pseudo-labels."""
     given = [(np.zeros(0, np.int64), np.zeros(0)), (np.zeros(0, np.int64), np.zeros(0))]
     rate = float(y.mean())
     free = np.ones(len(u_t), bool)
     views = ((x_t, u_t), (x_m, u_m))
+    trusted = [confident(x, y) for x, _ in views]
 
     def fit(v: int) -> np.ndarray:
         at, label = given[v]
@@ -115,7 +156,7 @@ def cotrain(x_t: np.ndarray, x_m: np.ndarray, y: np.ndarray, u_t: np.ndarray, u_
             idx = np.flatnonzero(free)
             order = idx[np.argsort(p[idx], kind="stable")]
             low, high = order[: max(1, int(count * (1 - rate)))], order[::-1][: max(1, int(count * rate))]
-            low, high = low[p[low] < 0.1], high[p[high] > 0.9]
+            low, high = low[p[low] <= trusted[v][1]], high[p[high] >= trusted[v][0]]
             at, label = given[1 - v]
             given[1 - v] = (np.concatenate([at, low, high]), np.concatenate([label, np.zeros(len(low)), np.ones(len(high))]))
             free[low] = free[high] = False
@@ -124,20 +165,17 @@ def cotrain(x_t: np.ndarray, x_m: np.ndarray, y: np.ndarray, u_t: np.ndarray, u_
 
 
 def _views(docs: DataFrame) -> DataFrame:
-    """(flag, y, buckets, meta) of a bounded sample of rows."""
+    """(y, buckets, layout, meta) of a bounded sample of rows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in pieces(batches, "text", 1 << 20):
             raw, off, _ = buffers(b.column(1))
             flat, count = presence(*text_buckets(raw, off, GRAM, False), b.num_rows)
-            meta = metadata_view(raw, off, b.column(2).to_pylist(), b.column(3).to_pylist(), np.array(b.column(4).fill_null(0)))
-            size = np.full(b.num_rows, meta.shape[1])
-            offsets = np.concatenate([[0], np.cumsum(size)]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays(
-                [b.column(0), list_column(flat, count), pa.ListArray.from_arrays(pa.array(offsets), pa.array(meta.ravel(), pa.float32()))], ["y", "buckets", "meta"]
-            )
+            meta = metadata_view(b.column(2).to_pylist(), b.column(3).to_pylist(), np.array(b.column(4).fill_null(0)))
+            dense = [pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * np.int32(m.shape[1])), pa.array(m.ravel(), pa.float32())) for m in (layout(raw, off), meta)]
+            yield pa.RecordBatch.from_arrays([b.column(0), list_column(flat, count), *dense], ["y", "buckets", "layout", "meta"])
 
-    return docs.mapInArrow(run, "y int, buckets array<int>, meta array<float>")
+    return docs.mapInArrow(run, "y int, buckets array<int>, layout array<float>, meta array<float>")
 
 
 def _columns(docs: DataFrame) -> list:
@@ -161,22 +199,29 @@ def train(docs: DataFrame, labels: DataFrame) -> Model | None:
     known = drawn(known, MOST_LABELLED, 21)
     rows = docs.where("doc_id is not null")
     # both samples in one pass; the label table is bounded by MOST_LABELLED rows
-    labelled = rows.join(F.broadcast(known), "doc_id").select(F.col("y"), *_columns(docs))
-    pool = drawn(rows, MOST_POOL, 22).select(F.lit(-1).alias("y"), *_columns(docs))
-    got = _views(labelled.unionByName(pool)).toArrow()
+    order = F.xxhash64("doc_id", F.lit(23)).alias("at")
+    labelled = drawn(rows.join(F.broadcast(known), "doc_id"), 2 * MOST_LABELLED, 21, MOST_BYTES).select(F.col("y"), *_columns(docs), order)
+    pool = drawn(rows, MOST_POOL, 22, MOST_BYTES).select(F.lit(-1).alias("y"), *_columns(docs), order)
+    # in the order of a hash, so that neither the fit nor the rows kept aside depend on how the table lies in files
+    got = _views(labelled.unionByName(pool).orderBy("y", "at", F.xxhash64("text")).drop("at")).toArrow()
     y = np.asarray(got.column("y").combine_chunks() if got.num_rows else [], np.int64)
     if not (y == 0).any() or not (y == 1).any():
         return None
     lists = got.column("buckets").combine_chunks()
     flat, count = np.asarray(lists.flatten(), np.int32), np.asarray(lists.value_lengths(), np.int64)
-    meta = np.asarray(got.column("meta").combine_chunks().flatten(), np.float32).reshape(len(y), -1)
+    meta, figures = (np.asarray(got.column(c).combine_chunks().flatten(), np.float32).reshape(len(y), -1) for c in ("meta", "layout"))
     lab = y >= 0
     kept = np.repeat(lab, count)
     chosen = Chosen.by_contrast(flat[kept], count[lab], y[lab] == 0, FEATURES)
-    x = chosen.matrix(flat, count)
+    scaled = (figures[lab].mean(0), np.maximum(figures[lab].std(0), 0.05))
+    x = np.hstack([chosen.matrix(flat, count), np.clip((figures - scaled[0]) / scaled[1], -8, 8).astype(np.float32)])
     centre, scale = meta[lab].mean(0), np.maximum(meta[lab].std(0), 0.05)
     m = np.clip((meta - centre) / scale, -8, 8)
-    aside = lab & (np.arange(len(y)) % 4 == 3)
+    # one of four in the order of the hash, within each class
+    place = np.zeros(len(y), np.int64)
+    for c in (-1, 0, 1):
+        place[y == c] = np.arange(int((y == c).sum()))
+    aside = lab & (place % 4 == 3)
     if len(np.unique(y[aside])) < 2 or len(np.unique(y[lab & ~aside])) < 2:
         aside = lab
         fit = lab
@@ -186,7 +231,7 @@ def train(docs: DataFrame, labels: DataFrame) -> Model | None:
     f_t, f_m = x[aside] @ w_t[:-1] + w_t[-1], m[aside] @ w_m[:-1] + w_m[-1]
     cal = [calibrate(f_t, y[aside].astype(float)), calibrate(f_m, y[aside].astype(float))]
     f = np.stack([np.clip(cal[0][0] * f_t + cal[0][1], -8, 8), np.clip(cal[1][0] * f_m + cal[1][1], -8, 8)], axis=1)
-    return Model(chosen, np.append(w_t, 0.0), centre, scale, w_m, cal, fit_logistic(f, y[aside].astype(float), l2=1e-3))
+    return Model(chosen, w_t, scaled, centre, scale, w_m, cal, fit_logistic(f, y[aside].astype(float), l2=1e-3))
 
 
 NAMES = ("text_score", "meta_score", "score")
@@ -214,9 +259,11 @@ def score(docs: DataFrame, model: Model | None, names: tuple[str, str, str] = NA
             raw, off, _ = buffers(b.column(at))
             view = b.column(len(fields))
             lang, source, n_chars = view.flatten()
-            meta = metadata_view(raw, off, lang.to_pylist(), source.to_pylist(), np.array(n_chars))
+            meta = metadata_view(lang.to_pylist(), source.to_pylist(), np.array(n_chars))
             f_meta = np.clip((meta - m.centre) / m.scale, -8, 8) @ m.meta[:-1] + m.meta[-1]
-            f_text = m.chosen.sums(*text_buckets(raw, off, GRAM, False), b.num_rows, np.append(m.text[: m.chosen.size], 0.0)) + m.text[m.chosen.size]
+            k = m.chosen.size
+            f_text = m.chosen.sums(*text_buckets(raw, off, GRAM, False), b.num_rows, np.append(m.text[:k], 0.0))
+            f_text += np.clip((layout(raw, off) - m.layout[0]) / m.layout[1], -8, 8) @ m.text[k:-1] + m.text[-1]
             s = m.scores(f_text, f_meta)
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], *(pa.array(s[:, k]) for k in range(3))], schema=pa.schema([*list(b.schema)[:-1], *(pa.field(c, pa.float64()) for c in names)]))
 

@@ -1,7 +1,8 @@
 """Hashed text features and small numpy models that the trained operators share.
 
-Training rows are drawn by a hash of doc_id at a rate set from counts, so a sample's expected
-size stays at its bound for any input; only hashed features of sampled rows reach the driver.
+Training rows are drawn by a 64-bit hash of doc_id at a rate set from counts, so a sample's expected
+size stays at its bound for any input, in rows and in bytes of text; only hashed features of
+sampled rows reach the driver.
 """
 
 from __future__ import annotations
@@ -19,12 +20,33 @@ BITS = 18
 _SHIFT = np.uint64(64 - BITS)
 
 
-def drawn(rows: DataFrame, bound: int, salt: int) -> DataFrame:
-    """Rows of a hash sample of about ``bound`` rows at most; all of them if there are no more."""
-    n = rows.count()
-    if n <= bound:
-        return rows
-    return rows.where(F.pmod(F.xxhash64("doc_id", F.lit(salt)), F.lit(1_000_000)) < int(1_000_000 * bound / n))
+def share(bound: int, n: int) -> int | None:
+    """The 64-bit hash under which about ``bound`` of ``n`` rows fall; None where all do."""
+    return None if n <= bound else -(1 << 63) + max(1, (bound << 64) // n)
+
+
+def drawn(rows: DataFrame, bound: int, salt: int, most_bytes: int | None = None) -> DataFrame:
+    """Rows of a hash sample of about ``bound`` rows at most; all of them if there are no more.
+
+    A row is in by the 64-bit hash of its doc_id alone, so that the sample does not depend on order or
+    layout, and its expected size is the bound for any number of rows. ``most_bytes`` bounds the
+    texts' bytes as well: the sample ends, in the order of the hash, where they are reached (at
+    least one id stays).
+    """
+    limit = share(bound, rows.count())
+    at = F.xxhash64("doc_id", F.lit(salt))
+    out = rows if limit is None else rows.where(at < limit)
+    if most_bytes is None:
+        return out
+    sizes = out.select(at.alias("at"), F.coalesce(F.octet_length("text"), F.lit(0)).alias("n")).groupBy("at").agg(F.sum("n").alias("n"))
+    total, last = 0, None
+    # as many rows as the sample has, two numbers each
+    for r in sorted(sizes.collect(), key=lambda r: r["at"]):
+        total += r["n"]
+        if total > most_bytes and last is not None:
+            return out.where(at <= last)
+        last = r["at"]
+    return out
 
 
 def text_buckets(raw: np.ndarray, off: np.ndarray, gram: int, lower: bool) -> tuple[np.ndarray, np.ndarray]:

@@ -80,12 +80,15 @@ TEMPLATES: dict[str, list[str]] = {
     ],
     "Proprietary": [
         "Copyright {y} {n}. All rights reserved.",
+        "All rights reserved.",
         "All rights reserved. No part of this work may be reproduced without permission.",
         "Confidential and proprietary. Unauthorised copying of this file is strictly prohibited.",
     ],
 }
 #: Buckets (log2), n-gram sizes, bound of unknown paragraphs, bars on probability and on template likeness.
 BITS, GRAMS, MOST_UNKNOWN, BAR, LIKENESS = 14, (1, 2, 3), 2000, 0.5, 0.6
+#: Bounds of the sampled texts and their bytes; characters of a corpus paragraph that some written notices go on with; near misses have licence words but less than this likeness.
+MOST_TEXTS, MOST_BYTES, TAIL, MISS = 400, 16 << 20, 60, 0.4
 #: Share of a template's two-word grams that proposes a window; words by which parts of a notice may be shifted.
 PROPOSE, SLACK = 0.4, 3
 _WORDS = byte_table([x for x in range(128) if not (48 <= x < 58 or 65 <= x < 91 or 97 <= x < 123)])
@@ -252,18 +255,28 @@ def _rows(texts: list[str]) -> tuple[np.ndarray, list[np.ndarray]]:
 
 
 def train(docs: DataFrame) -> Model:
-    """Fit on written-out templates and on a bounded sample of the corpus's paragraphs without licence words."""
+    """Fit on written-out templates and on a bounded sample of the corpus's paragraphs.
+
+    The unknown class has paragraphs without licence words, and near misses: paragraphs that have
+    such words but are unlike every template.
+    """
     rng = np.random.default_rng(3)
-    sample = drawn(docs.select("doc_id", "text").where("text is not null"), 400, 31)
-    lines = sample.select(F.explode(F.split("text", "\n")).alias("p")).where(~F.col("p").rlike(r"(?i)licen[sc]e|copyright|spdx|creative commons|all rights reserved"))
-    unknown = [r["p"] for r in lines.where(F.length(F.trim("p")) > 0).orderBy(F.xxhash64("p"), "p").limit(MOST_UNKNOWN).collect()]
+    sample = drawn(docs.select("doc_id", "text").where("text is not null"), MOST_TEXTS, 31, MOST_BYTES)
+    lines = sample.select(F.explode(F.split("text", "\n")).alias("p")).where(F.length(F.trim("p")) > 0)
+    lines = lines.withColumn("near", F.col("p").rlike(r"(?i)licen[sc]e|copyright|spdx|creative commons|all rights reserved"))
+    picked = [lines.where(side).orderBy(F.xxhash64("p"), "p").limit(MOST_UNKNOWN // part).collect() for side, part in (("not near", 1), ("near", 4))]
+    unknown = [r["p"] for r in picked[0]]
+    known = [t for f in TEMPLATES.values() for t in _rows([re.sub(r"\{\w\}", "1", x) for x in f])[1]]
+    miss = [r["p"] for r in picked[1]]
+    miss = [p for p, own in zip(miss, _rows(miss)[1], strict=True) if max(np.isin(t, own).mean() for t in known) < MISS] if miss else []
+    unknown = miss + unknown[: MOST_UNKNOWN - len(miss)]
     families, texts, label = list(TEMPLATES), [], []
     for k, f in enumerate(families):
         for t in TEMPLATES[f]:
             for _ in range(8):
                 s = t.format(v=f"{rng.integers(1, 5)}.{rng.integers(0, 2)}", y=int(rng.integers(1990, 2030)), n=f"name{rng.integers(99)}")
                 if unknown and rng.random() < 0.3:
-                    s = f"{s} {unknown[rng.integers(len(unknown))][:60]}"
+                    s = f"{s} {unknown[rng.integers(len(unknown))][:TAIL]}"
                 texts.append(s)
                 label.append(k)
     filler = ["the license plate of the car", "a driving licence is needed to rent", "public domain", "general public", "version 2 of the story", "free of charge for any person"]

@@ -22,6 +22,8 @@ from .learning import Adam, Chosen, drawn, list_column, presence, sigmoid, text_
 
 #: Bounds of the training samples, buckets that the model looks at, bytes of a gram.
 MOST_POSITIVE, MOST_UNLABELLED, FEATURES, GRAM = 3000, 6000, 1024, 5
+#: Bound of the text bytes of each sample.
+MOST_BYTES = 64 << 20
 
 
 @dataclass
@@ -75,8 +77,11 @@ def train(docs: DataFrame, labels: DataFrame, prior: float | None = None) -> Mod
         prior = min(0.9, max(1e-4, share[0] or 1e-4))
     positive = drawn(known.where("toxic = 1"), MOST_POSITIVE, 11).select("doc_id", F.lit(1).alias("flag"))
     texts = docs.select("doc_id", "text").where("doc_id is not null")
-    picked = texts.join(F.broadcast(positive), "doc_id").unionByName(drawn(texts, MOST_UNLABELLED, 12).withColumn("flag", F.lit(0)))
-    rows = _features(picked).toArrow()
+    # both bounds hold for each sample; the positives' ids are at most MOST_POSITIVE or so
+    found = drawn(texts.join(F.broadcast(positive), "doc_id"), 2 * MOST_POSITIVE, 11, MOST_BYTES)
+    picked = found.unionByName(drawn(texts, MOST_UNLABELLED, 12, MOST_BYTES).withColumn("flag", F.lit(0)))
+    # order of a hash: the model does not depend on how the table lies in files
+    rows = _features(picked.orderBy("flag", F.xxhash64("doc_id", F.lit(13)), F.xxhash64("text"))).toArrow()
     flag = np.asarray(rows.column("flag").combine_chunks() if rows.num_rows else [], np.int64) == 1
     lists = rows.column("buckets").combine_chunks()
     flat, count = np.asarray(lists.flatten(), np.int32), np.asarray(lists.value_lengths(), np.int64)

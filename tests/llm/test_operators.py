@@ -510,6 +510,31 @@ def test_classifiers_on_odd_rows(spark):
 def test_hash_sample_is_bounded(spark):
     rows = spark.range(5000).withColumnRenamed("id", "doc_id")
     assert learning.drawn(rows, 10_000, 1).count() == 5000 and 300 < learning.drawn(rows, 500, 1).count() < 700
+    for bound, n in ((400, 10**11), (3000, 10**13), (4000, 4001)):
+        assert abs((learning.share(bound, n) + 2**63) / 2**64 * n - bound) < 0.01 * bound
+    texts = rows.selectExpr("doc_id", "repeat('x', 1000) as text")
+    some = learning.drawn(texts, 500, 1, 100_000)
+    assert 90 <= some.count() <= 101 and some.join(learning.drawn(texts, 500, 1), "doc_id", "left_anti").count() == 0
+    assert learning.drawn(texts, 500, 1, 10).count() == 1
+
+
+def test_models_do_not_depend_on_the_layout(spark):
+    sf = "/root/testdata/sf0.01"
+    docs, labels = given(spark, sf), given(spark, sf, "labels")
+    dealt = docs.repartition(13, "source").sortWithinPartitions("n_chars")
+    for train, score, columns in ((cotrain.train, cotrain.score, ("text_score", "meta_score", "score")), (toxicity.train, toxicity.score, ("score",))):
+        a, b = ({r.doc_id: tuple(r[c] for c in columns) for r in score(docs, train(x, labels)).collect()} for x in (docs, dealt))
+        assert a.keys() == b.keys() and all(abs(x - y) < 1e-9 for k in a for x, y in zip(a[k], b[k], strict=True))
+
+
+def test_the_metadata_view_does_not_read_the_text(spark):
+    """Two texts with the same metadata have one metadata score, whatever they say."""
+    sf = "/root/testdata/sf0.01"
+    docs = given(spark, sf)
+    model = cotrain.train(docs, given(spark, sf, "labels"))
+    same = spark.createDataFrame([(1, "#### $$$$ BUY NOW !!!! " * 9, "en", "src1", 900), (2, "A quiet story of a house by the sea. " * 9, "en", "src1", 900)], docs.schema)
+    a, b = cotrain.score(same, model).orderBy("doc_id").collect()
+    assert a.meta_score == b.meta_score and a.text_score != b.text_score
 
 
 # ---- 7 sharding ------------------------------------------------------------------------------
@@ -723,6 +748,9 @@ def test_licences(spark, sf):
     found = licences.scan(docs, model).join(docs.select("doc_id", "text"), "doc_id")
     assert found.where((F.size("families") > 0) & ~F.col("text").rlike("(?i)licen[sc]e|copyright|CC BY")).count() == 0
     assert licences.scan(odd(spark), model).count() == len(ODD) and licences.scan(empty(spark), model).count() == 0
+    # recall on all lines of the table that are notices, the shortest among them
+    notices = found.where(F.col("text").rlike(r"(?i)\bAll rights reserved\.|under the (MIT|Apache|GNU)|under CC BY|SPDX-License"))
+    assert notices.count() > 30 and notices.where(F.size("families") > 0).count() >= 0.95 * notices.count()
 
 
 def test_licences_inside_long_and_wrapped_paragraphs(spark, sf):
