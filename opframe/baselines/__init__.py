@@ -60,4 +60,9 @@ def single_source_views(flat: DataFrame, keys: list[str], name: str) -> None:
     sql_migration(flat, keys)[0].createOrReplaceTempView(f"{name}_split")
 
 
+def manual_query(spark, sql: str) -> DataFrame:
+    """A query written by hand for one schema; it names tables and columns, and breaks when they change."""
+    return spark.sql(sql)
+
+
 ot_without_tombstones = oplog.order_without_tombstones

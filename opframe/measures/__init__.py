@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import time
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import oplog
+from ..operators.forward import settled
 
 #: Case studies: what they are about, the verdict of the method as published, and ours. Fixed values.
 COVERAGE = [
@@ -41,11 +45,6 @@ def diff_sizes(shared: DataFrame, left: DataFrame, right: DataFrame) -> DataFram
     return raw.select("method", "left_ops", "right_ops").unionByName(rest)
 
 
-def noise(op_diff: int, rows: int, cells: int) -> dict[str, float]:
-    """Ratios of what state baselines report to the operations that differ."""
-    return {"rows": rows / max(op_diff, 1), "cells": cells / max(op_diff, 1)}
-
-
 def transfer_rate(moved: DataFrame, blocked: DataFrame) -> DataFrame:
     """kind, moved, blocked operations."""
     a = moved.groupBy("kind").agg(F.count(F.lit(1)).alias("moved"))
@@ -94,5 +93,66 @@ def commutes(one_way: DataFrame, other_way: DataFrame) -> DataFrame:
 
 
 def closure_size(ops: DataFrame) -> DataFrame:
-    """op_id, needs: direct dependencies of each operation that has any."""
-    return oplog.dependencies(ops).groupBy("op_id").agg(F.count(F.lit(1)).alias("needs"))
+    """op_id, needs: how many operations each needs, directly or through others; operations that need none are left out.
+
+    Rounds are as many as dependencies are deep; a round is one join.
+    """
+    edges = settled(oplog.dependencies(ops), "edges")
+    step, seen = edges, edges
+    while True:
+        step = step.join(edges.select(F.col("op_id").alias("dep_id"), F.col("dep_id").alias("__next")), "dep_id").select("op_id", F.col("__next").alias("dep_id"))
+        step = settled(step.distinct().join(seen, ["op_id", "dep_id"], "left_anti"), "closure")
+        if not step.limit(1).count():
+            return seen.groupBy("op_id").agg(F.count(F.lit(1)).alias("needs"))
+        seen = seen.unionByName(step)
+
+
+def _agreement(a: DataFrame, b: DataFrame, key: list[str]) -> DataFrame:
+    """One row (rows, faithful): rows by key of either side, and those that both have alike."""
+    rest = sorted(c for c in a.columns if c not in key)
+    x = a.select(*key, F.struct(*rest).alias("__a"))
+    both = x.join(b.select(*key, F.struct(*rest).alias("__b")), key, "full")
+    return both.agg(F.count(F.lit(1)).alias("rows"), F.count(F.when(F.col("__a").eqNullSafe(F.col("__b")), 1)).alias("faithful"))
+
+
+def undo_fidelity(after_delta: DataFrame, scrubbed: DataFrame, key: list[str]) -> DataFrame:
+    """Rows after an undo delta that equal those of the history without the undone operations."""
+    return _agreement(after_delta, scrubbed, key)
+
+
+def rewrite_fidelity(rewritten: DataFrame, by_hand: DataFrame, key: list[str]) -> DataFrame:
+    """Rows of a rewritten formula that equal those of the query written by hand."""
+    return _agreement(rewritten, by_hand, key)
+
+
+def correspondence_accuracy(found: DataFrame, truth: DataFrame) -> DataFrame:
+    """cells, found: true counterparts (cell, counterpart), and those that probes landed on and nowhere else."""
+    both = truth.select("cell", "counterpart", F.lit(1).alias("t")).join(found.distinct().select("cell", "counterpart", F.lit(1).alias("f")), ["cell", "counterpart"], "full")
+    return both.agg(F.count(F.lit(1)).alias("cells"), F.count(F.when(F.col("t").isNotNull() & F.col("f").isNotNull(), 1)).alias("found"))
+
+
+def updatability(accepted: DataFrame, blocked: DataFrame) -> DataFrame:
+    """kind, offered, accepted: edits of a view, and those that reach its base."""
+    rows = accepted.select("kind", F.lit(1).alias("ok")).unionByName(blocked.select("kind", F.lit(0).alias("ok")))
+    return rows.groupBy("kind").agg(F.count(F.lit(1)).alias("offered"), F.sum("ok").alias("accepted"))
+
+
+def shared_size(shared: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
+    """left_shared, right_shared: operations of each branch that optimising the diff moves into the shared history."""
+    sizes = diff_sizes(shared, left, right)
+    one = sizes.agg(*[F.max(F.when(F.col("method") == m, F.col(f"{s}_ops"))).alias(f"{m}_{s}") for m in ("raw", "loop") for s in ("left", "right")])
+    return one.select((F.col("raw_left") - F.col("loop_left")).alias("left_shared"), (F.col("raw_right") - F.col("loop_right")).alias("right_shared"))
+
+
+def engine_cost(spark: SparkSession, name: str, run, ops: int) -> DataFrame:
+    """One row (name, ops, seconds, ops_per_second, jobs, stages) of an action, from Spark's status tracker."""
+    group = f"cost-{uuid.uuid4().hex[:8]}"
+    spark.sparkContext.setJobGroup(group, name)
+    began = time.time()
+    run()
+    took = time.time() - began
+    tracker = spark.sparkContext.statusTracker()
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    jobs = tracker.getJobIdsForGroup(group)
+    stages = sum(len(tracker.getJobInfo(j).stageIds) for j in jobs if tracker.getJobInfo(j))
+    return spark.createDataFrame([(name, ops, took, ops / max(took, 1e-9), len(jobs), stages)], "name string, ops bigint, seconds double, ops_per_second double, jobs int, stages int")

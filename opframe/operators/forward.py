@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import uuid
 from dataclasses import replace
 
 from pyspark.sql import DataFrame
@@ -30,13 +32,11 @@ def resolve(moves: DataFrame) -> DataFrame:
 
     A source moved more than once follows its least destination; a cycle raises an error.
     """
-    spark = moves.sparkSession
-    checkpoint_folder(spark)
-    now = moves.groupBy(F.col("src").alias("eid")).agg(F.min("dst").alias("root")).checkpoint()
+    now = settled(moves.groupBy(F.col("src").alias("eid")).agg(F.min("dst").alias("root")), "moves")
     # a chain of n moves is resolved in log2(n) rounds; a cycle never is
     for _ in range(now.count().bit_length() + 2):
         step = now.select(F.col("eid").alias("root"), F.col("root").alias("next"))
-        new = now.join(step, "root", "left").select("eid", F.coalesce("next", "root").alias("root"), F.col("next").isNotNull().alias("moved")).checkpoint()
+        new = settled(now.join(step, "root", "left").select("eid", F.coalesce("next", "root").alias("root"), F.col("next").isNotNull().alias("moved")), "moves")
         if new.where("eid = root").limit(1).count():
             raise ValueError("moves form a cycle")
         if not new.where("moved").limit(1).count():
@@ -57,10 +57,31 @@ def shared_base(spark) -> str:
     return base.rstrip("/")
 
 
-def checkpoint_folder(spark) -> None:
-    """Set a checkpoint folder only where the session has none."""
-    if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(shared_base(spark))
+_settled: list[tuple] = []
+
+
+def settled(df: DataFrame, name: str = "table") -> DataFrame:
+    """``df`` written once to the shared folder and read back: later plans start there, with its size known, and survive lost executors.
+
+    What is used many times (a log under transfer, an imported base document, a forward map) is
+    computed once. ``release`` deletes what was written.
+    """
+    path = f"{shared_base(df.sparkSession)}/opframe-{name}-{uuid.uuid4().hex[:12]}"
+    df.write.parquet(path)
+    _settled.append((df.sparkSession, path))
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+@atexit.register
+def release() -> None:
+    """Delete all that ``settled`` wrote; no DataFrame made from it may be used afterwards."""
+    while _settled:
+        spark, path = _settled.pop()
+        try:
+            p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+        except Exception:  # the session is gone: its own clean-up has the folder
+            return
 
 
 def merge(db: Database, table: str, moves: DataFrame, flat: bool = True) -> Database:
@@ -86,3 +107,41 @@ def forward_links(df: DataFrame, link: str, fwd: DataFrame) -> DataFrame:
     """A link column that follows the forward map."""
     side = fwd.select(F.col("eid").alias("__f"), F.col("root").alias("__r"))
     return df.join(side, df[link] == F.col("__f"), "left").withColumn(link, F.coalesce("__r", link)).drop("__f", "__r")
+
+
+def undo_merge(before: Database, after: Database, table: str, moves: DataFrame, seq: int = 0) -> DataFrame:
+    """Log rows that take a merge by moves back: moved rows live again, and links that still are where the merge put them go to where they were.
+
+    ``before``: the database that the merge ran on; ``after``: the present one. Links that were
+    set anew since are kept.
+    """
+    from . import oplog
+
+    spark = moves.sparkSession
+    rows = oplog.log(moves, "restore_elem", table, seq=F.lit(seq), arg_eid=F.col("src"), undo_of=F.concat(F.lit("merge:"), "src"))
+    for name, r in before.tables.items():
+        for f in r.fields:
+            if isinstance(f.type, LinkT) and f.type.target == (table,):
+                old = r.df.select(F.col(EID).alias("__row"), F.col(f.fid).alias("src")).join(moves.select("src", "dst"), "src")
+                now = after[name].df.select(F.col(EID).alias("__row"), F.col(f.fid).alias("__now"))
+                back = old.join(now, "__row").where(F.col("__now") == F.col("dst"))
+                rows = rows.unionByName(oplog.log(back, "set_link", name, seq=F.lit(seq), eid=F.col("__row"), fid=F.lit(f.fid), val_s=F.col("src"), undo_of=F.concat(F.lit("merge:"), "src")))
+    return rows if rows is not None else spark.createDataFrame([], "seq bigint")
+
+
+def reconcile(r: Relation, classes: DataFrame, keys: tuple[str, ...]) -> DataFrame:
+    """(src, dst, was): classes (eid, root) regrouped after writes to their members, with the class that each member was in before.
+
+    Members that still agree with their old representative stay with it; the others form a class for each distinct content. Two aggregates and two joins.
+    """
+    rows = r.df.select(EID, ORD, *keys).join(classes.select(F.col("eid").alias(EID), F.col("root").alias("was")), EID)
+    own = r.df.select(F.col(EID).alias("was"), *[F.col(k).alias(f"__{k}") for k in keys])
+    same = F.lit(True)
+    for k in keys:
+        same = same & F.col(k).eqNullSafe(F.col(f"__{k}"))
+    marked = rows.join(own, "was").withColumn("__stays", same)
+    first = marked.where("not __stays").groupBy("was", *keys).agg(F.min(F.struct(ORD, EID))[EID].alias("__dst")).select(F.col("was").alias("__w"), "__dst", *[F.col(k).alias(f"__k_{k}") for k in keys])
+    meet = (F.col("was") == F.col("__w")) & ~F.col("__stays")
+    for k in keys:
+        meet = meet & F.col(k).eqNullSafe(F.col(f"__k_{k}"))
+    return marked.join(first, meet, "left").select(F.col(EID).alias("src"), F.coalesce("__dst", "was").alias("dst"), "was")

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from ..model.ops import Op, from_json, to_json
 from ..model.types import NULL_LINK, ONE, Atom, LinkT, ListT, Num, RecordT, Str, Type, initial_column, spark_type
-from .forward import checkpoint_folder
+from .forward import settled
 from .relation import DEAD, EID, LAST, ORD, Database, Rejected, Relation, converted, moved_columns
 
 #: Columns of a log and their Spark types: fixed values.
@@ -151,13 +151,12 @@ def order_keys(inserts: DataFrame, r: Relation) -> DataFrame:
     node = inserts.select(F.col("arg_eid").alias(EID), "anchor", F.array("seq").alias("path"))
     base = r.df.select(F.col(EID).alias("anchor"), F.slice(ORD, 1, F.size(ORD) - 1).alias("root"))
     if inserts.where("anchor is not null").limit(1).count():
-        checkpoint_folder(inserts.sparkSession)
         # a chain of n anchors is resolved in log2(n) rounds
         for _ in range(inserts.count().bit_length() + 2):
             up = node.select(F.col(EID).alias("anchor"), F.col("anchor").alias("next"), F.col("path").alias("above"))
-            step = node.join(up, "anchor", "left").select(
+            step = settled(node.join(up, "anchor", "left").select(
                 EID, F.when(F.col("above").isNotNull(), F.col("next")).otherwise(F.col("anchor")).alias("anchor"), F.concat(F.coalesce("above", F.array().cast("array<bigint>")), "path").alias("path"), F.col("above").isNotNull().alias("moved")
-            ).checkpoint()
+            ), "order")
             moved = step.where("moved").limit(1).count()
             node = step.drop("moved")
             if not moved:
@@ -239,6 +238,8 @@ def _followed(ops: DataFrame, table: str, link: str, target: str, columns: list[
     its new target's columns: the log's last writes of them, else the stored values; no link
     gives initial values. What was linked to a row that the log drops becomes initial, too.
     """
+    # the log is read once for each column of the target
+    ops = settled(ops, "log")
     own = _same("list_key", table) & _same("fid", link) & _same("kind", "set_link")
     there = _same("list_key", target)
     relinked = ops.where(own).groupBy(F.col("eid").alias("__row")).agg(F.max("seq").alias("__seq"), F.max_by("val_s", "seq").alias("__new"))
@@ -520,6 +521,85 @@ def undo(ops: DataFrame, chosen: Column) -> DataFrame:
     return cell.where("top.__undo").select(*CELL, F.col("top.op_id").alias("undo_of"), "w.val_s", "w.val_n", "w.val_t")
 
 
+def _melted(db: Database) -> DataFrame | None:
+    """(list_key, eid, fid, val_s, val_n, val_t) of every plain cell of a database: one projection a table."""
+    out = None
+    for name, r in db.tables.items():
+        plain = [f for f in r.fields if f.fid in r.stored() and not isinstance(f.type, (ListT, RecordT))]
+        if plain:
+            cells = F.explode(F.array(*[F.struct(F.lit(f.fid).alias("fid"), *[v.alias(c) for c, v in stored_as(f.type, F.col(f.fid)).items()]) for f in plain])).alias("x")
+            rows = r.df.select(F.lit(name).alias("list_key"), F.col(EID).alias("eid"), cells).select("list_key", "eid", "x.*")
+            out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+def _blank(db: Database) -> dict[str, Column]:
+    """Initial values, by list and field, as a log row's value columns."""
+    out = {c: F.lit(None).cast(k) for c, k in (("val_s", "string"), ("val_n", "double"), ("val_t", "timestamp_ntz"))}
+    for name, r in db.tables.items():
+        for f in r.fields:
+            if isinstance(f.type, (Str, LinkT, Num)):
+                c = slot_of(f.type)
+                out[c] = F.when(_same("list_key", name) & _same("fid", f.fid), stored_as(f.type, initial_column(f.type))[c]).otherwise(out[c])
+    return out
+
+
+def undo_delta(ops: DataFrame, chosen: Column, start: Database) -> DataFrame:
+    """Rows to append that take the chosen value operations back: writes, insertions, drops and restores, and earlier undos.
+
+    A cell whose last write is chosen goes back to its last kept write, else to the value that
+    ``start`` (the state before the log) has. An inserted element is dropped: what was written
+    in it grounds out. A drop or restore that decides an element's life is reversed to the last kept one.
+    Every row names what it takes back in ``undo_of`` and is itself an operation that can be taken back.
+    """
+    top = ops.agg(F.max("seq")).first()[0] or 0
+    picked = ops.where(F.coalesce(F.col("plane") == "value", F.lit(True))).withColumn("__undo", F.coalesce(chosen, F.lit(False)))
+    value = F.struct("val_s", "val_n", "val_t")
+    cells = picked.where(F.col("kind").isin(*WRITES)).groupBy(*CELL).agg(
+        F.max_by(F.struct("op_id", "kind", "__undo"), "seq").alias("top"), F.max_by(value, F.when(~F.col("__undo"), F.col("seq"))).alias("w"), F.max(F.when(~F.col("__undo"), F.col("seq"))).alias("kept")
+    )
+    cells = cells.where("top.__undo").select(*CELL, F.col("top.op_id").alias("undo_of"), F.col("top.kind").alias("kind"), "kept", "w.val_s", "w.val_n", "w.val_t")
+    old = _melted(start)
+    none = cells.where("kept is null")
+    if old is not None:
+        first = old.select(*[F.col(c).alias(f"__{c}") for c in old.columns])
+        none = none.join(first, (F.col("list_key") == F.col("__list_key")) & (F.col("eid") == F.col("__eid")) & (F.col("fid") == F.col("__fid")) & F.col("sub").isNull(), "left")
+        found, blank = F.col("__eid").isNotNull(), _blank(start)
+        none = none.withColumns({c: F.when(found, F.col(f"__{c}")).otherwise(blank[c]) for c in ("val_s", "val_n", "val_t")})
+    columns = ["kind", *CELL, "undo_of", "val_s", "val_n", "val_t"]
+    out = cells.where("kept is not null").select(*columns).unionByName(none.select(*columns)).withColumns({"arg_eid": F.lit(None).cast("string")})
+    life = ["list_key", "eid", "fid", "arg_eid"]
+    elements = picked.where(F.col("kind").isin(*NEW, *GONE)).groupBy(*life).agg(
+        F.max_by(F.struct("op_id", "kind", "__undo"), "seq").alias("top"),
+        F.max_by("kind", F.when(~F.col("__undo"), F.col("seq"))).alias("kept"),
+        F.max(F.when(F.col("kind").isin(*NEW), F.col("__undo"))).alias("made_undone"),
+        F.max_by("op_id", F.when(F.col("kind").isin(*NEW), F.col("seq"))).alias("maker"),
+    )
+    # an element without a kept operation is as it was before the log: not there if the log made it, else alive
+    should = F.when(F.col("made_undone"), "drop_elem").when(F.col("kept") == "drop_elem", "drop_elem").otherwise("restore_elem")
+    is_ = F.when(F.col("top.kind") == "drop_elem", "drop_elem").otherwise("restore_elem")
+    turned = elements.withColumn("kind", should).where((F.col("kind") != is_) & (F.col("top.__undo") | F.col("made_undone")))
+    turned = turned.select("kind", "list_key", "eid", "fid", F.when(F.col("made_undone"), F.col("maker")).otherwise(F.col("top.op_id")).alias("undo_of"), "arg_eid")
+    out = out.unionByName(turned, allowMissingColumns=True)
+    out = out.withColumns({"seq": F.lit(top + 1).cast("bigint"), "op_id": F.concat(F.lit(f"undo:{top + 1}:"), "undo_of"), "plane": F.lit("value")})
+    return out.select(*[F.col(c).cast(t).alias(c) if c in out.columns else F.lit(None).cast(t).alias(c) for c, t in SCHEMA.items()])
+
+
+def cancel_undone(ops: DataFrame) -> DataFrame:
+    """Without operations and the undos that took them back; an undo that was itself undone leaves its target in place.
+
+    Rounds are as many as undos of undos are deep.
+    """
+    while True:
+        undos = ops.where("undo_of is not null").select("op_id", "undo_of")
+        last = undos.join(undos.select(F.col("undo_of").alias("op_id")), "op_id", "left_anti")
+        last = settled(last, "undos")
+        if not last.limit(1).count():
+            return ops
+        gone = last.select("op_id").unionByName(last.select(F.col("undo_of").alias("op_id"))).distinct()
+        ops = settled(ops.join(gone, "op_id", "left_anti").select(*ops.columns), "log")
+
+
 def undo_overridden(ops: DataFrame, chosen: Column) -> DataFrame:
     """Chosen writes whose undoing has no effect because a kept later write overrides them."""
     picked = ops.withColumn("__undo", chosen)
@@ -537,7 +617,8 @@ def common_prefix(a: DataFrame, b: DataFrame) -> int:
 
 
 def simplify(ops: DataFrame) -> DataFrame:
-    """Without overwritten writes and without elements that are inserted and dropped again."""
+    """Without operations that were undone, overwritten writes, and elements that are inserted and dropped again."""
+    ops = cancel_undone(ops)
     brief = ops.where("kind in ('insert_elem', 'append_elem')").select("list_key", F.col("arg_eid").alias("__e"))
     brief = brief.join(ops.where("kind = 'drop_elem'").select("list_key", F.col("arg_eid").alias("__e")), ["list_key", "__e"], "left_semi")
     anchors = ops.select("list_key", F.col("anchor").alias("__e")).where("__e is not null")
@@ -577,12 +658,11 @@ def dependencies(ops: DataFrame) -> DataFrame:
 
 def closure(ops: DataFrame, chosen: DataFrame) -> DataFrame:
     """Operation IDs of the chosen operations and of all that they need, by frontier joins."""
-    checkpoint_folder(ops.sparkSession)
-    edges = dependencies(ops).checkpoint()
-    seen = chosen.select("op_id").distinct().checkpoint()
+    edges = settled(dependencies(ops), "edges")
+    seen = settled(chosen.select("op_id").distinct(), "seen")
     frontier = seen
     while True:
-        frontier = frontier.join(edges, "op_id").select(F.col("dep_id").alias("op_id")).distinct().join(seen, "op_id", "left_anti").checkpoint()
+        frontier = settled(frontier.join(edges, "op_id").select(F.col("dep_id").alias("op_id")).distinct().join(seen, "op_id", "left_anti"), "frontier")
         if not frontier.limit(1).count():
             return seen
         seen = seen.unionByName(frontier)

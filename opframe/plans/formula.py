@@ -11,7 +11,7 @@ from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 
-from ..kernel.rules import Blocked, backward, structural_inverse
+from ..kernel.rules import Blocked, backward, project_all, structural_inverse
 from ..model.ops import Op
 from ..model.types import LinkT
 from ..operators import oplog
@@ -26,6 +26,44 @@ class Formula:
     ret: str
 
 
+@dataclass(frozen=True)
+class Broken:
+    """A formula that a type operation has left without a meaning: it says which when it is evaluated."""
+
+    formula: Formula
+    by: Op
+
+
+def carried(formula: Formula | Broken, op: Op) -> Formula | Broken:
+    """A database's formula after a type operation of the database: rewritten, or broken by what cannot be taken back in it."""
+    if isinstance(formula, Broken):
+        return formula
+    try:
+        return rewrite_forward(formula, [op])
+    except Blocked:
+        return Broken(formula, op)
+
+
+def evaluate_named(db: Database, name: str) -> DataFrame:
+    """Rows of a formula that is part of the database."""
+    formula = db.formulas[name]
+    if isinstance(formula, Broken):
+        raise Blocked(formula.by, formula.by)
+    return evaluate(db, formula)
+
+
+def from_diff(d, ret: str) -> Formula:
+    """The left branch's type operations as a formula on the right: what the left would look like on the right's present data.
+
+    They are moved back to the fork and across the right's type operations as in a transfer; nothing runs.
+    """
+    from ..vcs import schema_of
+
+    left, right = ([op for _, op in oplog.types_of(x)] for x in (d.left, d.right))
+    moved, _ = project_all(right, left, state=schema_of(d.shared_state()))
+    return Formula(tuple(moved), ret)
+
+
 def evaluate(db: Database, formula: Formula) -> DataFrame:
     """Live rows of the returned table after the formula's operations."""
     return db.run(list(drop_dead_links(db, formula).ops)).export(formula.ret)
@@ -75,12 +113,27 @@ def rewrite_back(formula: Formula, type_ops: list[Op]) -> Formula:
 def rewrite_forward(formula: Formula, type_ops: list[Op]) -> Formula:
     """The formula for the schema after ``type_ops``: their inverses come first, then inverse pairs cancel."""
     undo: list[Op] = []
+    ops = list(formula.ops)
     for op in type_ops:
-        inv = structural_inverse(op) if op.plane == "type" else None
-        if inv is None and op.kind not in ("rename_field", "noop") and op.plane == "type":
+        if op.plane == "value" or op.kind in ("rename_field", "define_formula"):
+            continue
+        inv = structural_inverse(op)
+        if inv is None and op.kind == "convert_type" and op.was is not None:
+            inv = replace(op, arg=op.was, was=op.arg)
+        if inv is None and _untouched(op, ops):
+            continue  # what it changes is not read by the formula
+        if inv is None:
             raise Blocked(op, op)
-        undo = [*([inv] if inv else []), *undo]
-    return replace(formula, ops=tuple(cancel_pairs([*undo, *formula.ops])))
+        undo = [inv, *undo]
+    return replace(formula, ops=tuple(cancel_pairs([*undo, *ops])))
+
+
+def _untouched(op: Op, ops: list[Op]) -> bool:
+    """Whether a type operation concerns one column that no operation of a formula names (a join of its table would carry it along)."""
+    if op.kind not in ("define_type", "define_link", "drop_field", "convert_type", "match_column", "define_computed", "copy_table"):
+        return False
+    column = op.ids[0] if op.kind == "drop_field" else op.ref[-1] if op.kind == "match_column" else op.path[-1]
+    return all(column not in (*x.path, *x.ids, *x.ref) for x in ops)
 
 
 def cancel_pairs(ops: list[Op]) -> list[Op]:
@@ -112,4 +165,4 @@ def update_through(db: Database, formula: Formula, edits: DataFrame) -> tuple[Da
     return edits, blocked
 
 
-__all__ = ["EID", "Formula", "cancel_pairs", "drop_dead_links", "evaluate", "rewrite_back", "rewrite_forward", "update_through"]
+__all__ = ["EID", "Broken", "Formula", "cancel_pairs", "carried", "evaluate_named", "from_diff", "drop_dead_links", "evaluate", "rewrite_back", "rewrite_forward", "update_through"]

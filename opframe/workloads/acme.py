@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from .. import vcs
 from ..model import ops as o
 from ..model.types import ANY
 from ..operators import oplog
-from ..operators.forward import dedupe_moves, merge, resolve
+from ..operators.forward import dedupe_moves, merge, resolve, settled
 from ..operators.relation import EID, ORD, Database
 from ..plans.formula import Formula, evaluate, rewrite_back, rewrite_forward, update_through
 from .docs import D_ORDERS, SPLIT, orders_db, table
@@ -27,7 +28,8 @@ def split_db(spark, sf):
 
 
 def moves(db: Database):
-    return dedupe_moves(db["customers"], ("name", "address"))
+    """The deduplication's moves, computed once for all that follows them."""
+    return settled(dedupe_moves(db["customers"], ("name", "address")), "moves")
 
 
 def deduped(spark, sf):
@@ -124,8 +126,10 @@ def customer_update_back(spark, sf):
 
 def type_deploy(spark, sf):
     """The developer's split, transferred onto a production copy whose data moved on."""
-    ops = oplog.log(orders_db(spark, sf)["orders"].live().where("k % 19 = 0"), "set_cell", "orders", seq=F.col("k"), eid=F.col(EID), fid=F.lit("name"), val_s=F.lit("Prod"))
-    return oplog.replay(orders_db(spark, sf), ops).apply(SPLIT).export("customers", F.col(EID).alias("eid"), "name", "address")
+    db = orders_db(spark, sf)
+    ops = oplog.log(db["orders"].live().where("k % 19 = 0"), "set_cell", "orders", seq=F.col("k"), eid=F.col(EID), fid=F.lit("name"), val_s=F.lit("Prod"))
+    dev, prod = vcs.Document("dev", db, ops.limit(0)).alter(1, SPLIT), vcs.Document("prod", db, ops)
+    return vcs.merge(vcs.diff(dev, prod), prod, ("type",)).state().export("customers", F.col(EID).alias("eid"), "name", "address")
 
 
 def decompose(spark, sf):

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..model.ops import split_table
 from ..model.types import ANY, Atom, Str
+from ..operators.forward import settled
 from ..operators.relation import Database, from_table
 
 ORDER_TYPES = {"k": Atom("bigint"), "item": Str(), "quantity": Atom("bigint"), "ship_date": Atom("timestamp_ntz"), "name": Str(), "address": Str()}
@@ -43,15 +44,15 @@ def orders_flat(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def orders_db(spark: SparkSession, sf: str) -> Database:
-    """The flat orders as a database of one table."""
-    return Database({"orders": from_table(orders_flat(spark, sf), F.col("k"), "o", ORDER_TYPES)})
+    """The flat orders as a database of one table: the import is written once, and every later plan reads it."""
+    return Database({"orders": from_table(settled(orders_flat(spark, sf), "orders"), F.col("k"), "o", ORDER_TYPES)})
 
 
 def todo_db(spark: SparkSession, sf: str) -> Database:
     """Orders as tasks: what is to be done, and who does it."""
     o, c = table(spark, sf, "orders"), table(spark, sf, "customer")
     df = o.join(c, o.o_custkey == c.c_custkey).select(F.col("o_orderkey").alias("k"), F.col("o_orderpriority").alias("what"), F.col("c_name").alias("who"))
-    return Database({"tasks": from_table(df, F.col("k"), "o", {"k": Atom("bigint"), "what": Str(), "who": Str()})})
+    return Database({"tasks": from_table(settled(df, "tasks"), F.col("k"), "o", {"k": Atom("bigint"), "what": Str(), "who": Str()})})
 
 
 D_TODO = "t as (select o_orderkey as k, o_orderpriority as what, c_name as who from orders join customer on c_custkey = o_custkey)"

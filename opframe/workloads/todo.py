@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from .. import vcs
 from ..model import ops as o
 from ..model.types import ANY, ONE
 from ..operators import oplog
@@ -64,17 +65,18 @@ def blocked_ops(spark, sf):
     return bad.where("kind = 'insert_elem'").select(F.substring("eid", 2, 20).cast("bigint").alias("k"), "kind", "blocker_kind")
 
 
-def sync(spark, sf):
+def branches(spark, sf) -> tuple[vcs.Document, vcs.Document]:
+    """The copy with single assignees, and the one that made them lists."""
     db = todo_db(spark, sf)
-    wrapped = db.apply(WRAP)
+    mine = old_writes(db)
     theirs = new_writes(db).unionByName(new_inserts(db))
-    mine = oplog.forward(old_writes(db), WRAP, db)
-    right = oplog.replay(oplog.replay(wrapped, theirs), mine)
-    # the wrap goes left first, then what is left of the right: the left's writes win
-    won = mine.select("eid", "fid", "sub").distinct()
-    rest = theirs.join(won, ["eid", "fid", "sub"], "left_anti").select(*theirs.columns)
-    left = oplog.replay(oplog.replay(db, old_writes(db)).apply(WRAP), rest.unionByName(theirs.where("sub is null")).distinct())
-    return assignees(left).withColumn("side", F.lit("left")).unionByName(assignees(right).withColumn("side", F.lit("right")))
+    return vcs.Document("old", db, mine), vcs.Document("new", db, theirs.limit(0)).alter(0, WRAP).append(theirs)
+
+
+def sync(spark, sf):
+    """Both planes both ways: the wrap goes left, the left's writes win, and both copies are one."""
+    left, right = vcs.sync(*branches(spark, sf))
+    return assignees(left.state()).withColumn("side", F.lit("left")).unionByName(assignees(right.state()).withColumn("side", F.lit("right")))
 
 
 def delete_one(spark, sf):
@@ -95,18 +97,17 @@ def data_only(spark, sf):
 
 
 def type_only(spark, sf):
-    db = todo_db(spark, sf)
-    return assignees(oplog.replay(db, old_writes(db)).apply(WRAP))
+    """Only the wrap goes to the old copy, whose data stay."""
+    old, new = branches(spark, sf)
+    return assignees(vcs.merge(vcs.diff(new, old), old, ("type",)).state())
 
 
 def dependency_transfer(spark, sf):
     """The write of a second assignee brings the insertion and the wrap along, and nothing else."""
-    db = todo_db(spark, sf)
-    theirs = new_writes(db).unionByName(new_inserts(db))
-    wanted = theirs.where("sub = 'g'")
-    needed = oplog.closure(theirs, wanted).join(theirs, "op_id").select(*theirs.columns)
-    inserts = new_inserts(db).where("kind = 'insert_elem'").join(wanted.select("eid"), "eid", "left_semi").select(*theirs.columns)
-    return assignees(oplog.replay(db.apply(WRAP), needed.unionByName(inserts).dropDuplicates(["op_id"])))
+    old, new = branches(spark, sf)
+    bare = vcs.Document("bare", old.start, old.ops.limit(0))
+    t = vcs.transfer_all(vcs.diff(new, bare), ("value",), F.coalesce(F.col("sub") == "g", F.lit(False)), True)
+    return assignees(vcs.apply_transfer(bare, t).state())
 
 
 def unwrap_back(spark, sf):
