@@ -16,8 +16,9 @@ frequent ones make no slice heavy.
 * The weights are learnt by expectation-maximisation on training texts that the estimates leave
   out (deleted texts), over a table of their tokens; the final estimates use all training texts.
 
-Words and n-grams are told apart by 62 bits of hash: of n distinct ones, about n^2 / 2^63 pairs
-are taken for one.
+Words are told apart by 62 bits of hash: of n distinct ones, about n^2 / 2^63 pairs are taken for
+one. Longer n-grams keep as many bits (62 at most) as let one in 2^``SHARED`` of them share its key
+with another, whatever the size of the corpus.
 """
 
 from __future__ import annotations
@@ -29,10 +30,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE_TABLE, buffers, doc_bucket, hash_words, materialise, mix, pieces, ragged, trim, words
+from .common import SPACE_TABLE, buffers, doc_bucket, hash_words, materialise, mix, pieces, ragged, release_shuffles, trim, words
 
 #: Text bytes of a chunk and of a numpy pass; keys of a slice; one training text in DELETED is left out for the weights.
-CHUNK_BYTES, PASS_BYTES, SLICE_KEYS, DELETED = 6 << 20, 1 << 20, 4_000_000, 12
+CHUNK_BYTES, PASS_BYTES, SLICE_KEYS, DELETED = 3 << 20, 1 << 20, 2_000_000, 12
+#: Two to the power of this is how many longer n-grams there are for one that shares its key.
+SHARED = 20
 #: Hashes of the end token and of what stands before a text; buckets of context frequency; most steps of expectation-maximisation and the gain in log likelihood, as a share, under which it ends.
 END, START, BUCKETS, EM_STEPS, EM_GAIN = -1, -2, 32, 40, 1e-5
 ESTIMATE, HELD, TEST = 0, 1, 2
@@ -42,11 +45,15 @@ _PLACE = [np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint6
 
 def _pack(values: np.ndarray) -> bytes:
     """Integers, byte plane by byte plane, compressed: high bytes of sorted or small numbers cost nearly nothing."""
+    if not len(values):
+        return b""
     planes = np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T)
     return pa.compress(planes.tobytes(), "zstd", asbytes=True)
 
 
 def _unpack(data: bytes, n: int, kind: str) -> np.ndarray:
+    if not n:
+        return np.zeros(0, kind)
     width = np.dtype(kind).itemsize
     planes = np.frombuffer(pa.decompress(data, width * n, "zstd", asbytes=True), np.uint8).reshape(width, n)
     return np.ascontiguousarray(planes.T).view(kind).ravel()
@@ -120,10 +127,18 @@ def chunks(docs: DataFrame) -> DataFrame:
     )
 
 
+def _words_first(word: np.ndarray) -> np.ndarray:
+    """Order in which a slice's keys travel: words, then longer n-grams, each sorted."""
+    return np.concatenate([np.flatnonzero(word), np.flatnonzero(~word)])
+
+
 class Chunk:
-    """Texts of one chunk row and the n-grams of their tokens."""
+    """Texts of one chunk row and the n-grams of their tokens.
+
+    The low two bits of a key tell words (1) from longer n-grams (2), which keep ``bits`` high bits.
+    """
 
-    def __init__(self, b: pa.RecordBatch, k: int, order: int) -> None:
+    def __init__(self, b: pa.RecordBatch, k: int, order: int, bits: int) -> None:
         def row(name: str) -> np.ndarray:
             return np.asarray(b.column(b.schema.get_field_index(name))[k].values)
 
@@ -135,13 +150,13 @@ class Chunk:
         self.place = np.arange(n) - np.repeat(np.cumsum(self.sizes) - self.sizes, self.sizes)
         start = np.array([START], np.int64).view(np.uint64)[0]
         total, keys = np.zeros(n, np.uint64), []
+        mask = ~np.uint64((1 << (64 - bits)) - 1)
         for back in range(order):
             word = names[local] if back == 0 else np.concatenate([np.full(min(back, n), start), names[local[: max(n - back, 0)]]])
             if back:
                 word[self.place < back] = start
             total = total + word * _PLACE[back]
-            # the order is part of the key
-            keys.append((mix(total + np.uint64(back)) & ~np.uint64(3)) | np.uint64(back + 1))
+            keys.append((mix(total + np.uint64(back)) & (mask if back else ~np.uint64(3))) | np.uint64(2 if back else 1))
         coded = pa.array(np.concatenate(keys)).dictionary_encode()
         distinct = np.asarray(coded.dictionary)
         by = np.argsort(distinct)
@@ -161,15 +176,20 @@ class Chunk:
         return np.concatenate([[0], np.searchsorted(self.keys, np.array(bound, np.uint64)), [len(self.keys)]])
 
 
-def gram_counts(made: DataFrame, order: int, slices: int) -> DataFrame:
+def key_bits(grams: int) -> int:
+    """Bits of the keys of longer n-grams, for so many of them."""
+    return min(62, max(8, grams).bit_length() + SHARED)
+
+
+def gram_counts(made: DataFrame, order: int, slices: int, bits: int) -> DataFrame:
     """(chunk, slice, n, e, types, e_types): for each chunk and slice the packed counts, over all training texts and over
     estimating ones, of the chunk's keys in their order; and rows of chunk -1 with the number of distinct words of a slice."""
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for k in range(b.num_rows):
-                c = Chunk(b, k, order)
-                count, edge = c.learnt(), c.edges(slices)
+                c = Chunk(b, k, order, bits)
+                count, edge, word = c.learnt(), c.edges(slices), (c.keys & np.uint64(3)) == 1
                 some = np.flatnonzero(np.diff(edge))
                 part = [(int(edge[s]), int(edge[s + 1])) for s in some.tolist()]
                 chunk, held = b.column(b.schema.get_field_index("chunk"))[k].as_py(), b.column(b.schema.get_field_index("held"))[k].as_py()
@@ -179,10 +199,12 @@ def gram_counts(made: DataFrame, order: int, slices: int) -> DataFrame:
                         pa.array(np.full(len(some), chunk)),
                         pa.array(np.full(len(some), held)),
                         pa.array([y - x for x, y in part], pa.int32()),
-                        pa.array([_pack(c.keys[x:y]) for x, y in part], pa.binary()),
-                        pa.array([_pack(count[x:y]) for x, y in part], pa.binary()),
+                        pa.array([int(word[x:y].sum()) for x, y in part], pa.int32()),
+                        pa.array([_pack(c.keys[x:y][word[x:y]]) for x, y in part], pa.binary()),
+                        pa.array([_pack(c.keys[x:y][~word[x:y]] >> np.uint64(64 - bits)) for x, y in part], pa.binary()),
+                        pa.array([_pack(count[x:y][_words_first(word[x:y])]) for x, y in part], pa.binary()),
                     ],
-                    ["slice", "chunk", "held", "size", "keys", "counts"],
+                    ["slice", "chunk", "held", "size", "n_words", "words", "grams", "counts"],
                 )
                 del c, count
                 trim()
@@ -190,7 +212,11 @@ def gram_counts(made: DataFrame, order: int, slices: int) -> DataFrame:
     def add(table: pa.Table) -> pa.Table:
         size = np.asarray(table.column("size").combine_chunks(), np.int64)
         held = np.asarray(table.column("held").combine_chunks())
-        keys = np.concatenate([_unpack(x.as_py(), n, "<u8") for x, n in zip(table.column("keys"), size.tolist(), strict=True)])
+        own_words = np.asarray(table.column("n_words").combine_chunks(), np.int64).tolist()
+        parts = []
+        for w, g, n, m in zip(table.column("words"), table.column("grams"), size.tolist(), own_words, strict=True):
+            parts += [_unpack(w.as_py(), m, "<u8"), (_unpack(g.as_py(), n - m, "<u8") << np.uint64(64 - bits)) | np.uint64(2)]
+        keys = np.concatenate(parts)
         counts = np.concatenate([_unpack(x.as_py(), n, "<u4") for x, n in zip(table.column("counts"), size.tolist(), strict=True)])
         coded = pa.array(keys).dictionary_encode()
         which, kinds = np.asarray(coded.indices), np.asarray(coded.dictionary)
@@ -217,7 +243,7 @@ def gram_counts(made: DataFrame, order: int, slices: int) -> DataFrame:
         return pa.concat_tables([rows, types])
 
     names = ["chunk", "slice", "n", "e", "types", "e_types"]
-    sent = made.select("chunk", "held", "sizes", "roles", "tokens", "words").mapInArrow(send, "slice int, chunk bigint, held boolean, size int, keys binary, counts binary")
+    sent = made.select("chunk", "held", "sizes", "roles", "tokens", "words").mapInArrow(send, "slice int, chunk bigint, held boolean, size int, n_words int, words binary, grams binary, counts binary")
     return sent.groupBy("slice").applyInArrow(add, "chunk bigint, slice int, n binary, e binary, types bigint, e_types bigint")
 
 
@@ -257,24 +283,25 @@ def _answered(made: DataFrame, counts: DataFrame, field: str) -> DataFrame:
     return made.join(lists, "chunk")
 
 
-def _local(b: pa.RecordBatch, k: int, order: int, slices: int, field: str) -> tuple[Chunk, np.ndarray]:
-    c = Chunk(b, k, order)
+def _local(b: pa.RecordBatch, k: int, order: int, slices: int, bits: int, field: str) -> tuple[Chunk, np.ndarray]:
+    """A chunk and the counts of its keys."""
+    c = Chunk(b, k, order, bits)
     edge = c.edges(slices)
     out = np.zeros(len(c.keys), np.int64)
     for x in b.column(b.schema.get_field_index("answers"))[k].as_py():
         i, j = int(edge[x["slice"]]), int(edge[x["slice"] + 1])
-        out[i:j] = _unpack(x[field], j - i, "<u8")
+        out[i:j][_words_first((c.keys[i:j] & np.uint64(3)) == 1)] = _unpack(x[field], j - i, "<u8")
     return c, out
 
 
-def held_tokens(answered: DataFrame, model: Estimates, slices: int) -> DataFrame:
+def held_tokens(answered: DataFrame, model: Estimates, slices: int, bits: int) -> DataFrame:
     """(f1, b1, f2, b2 ...) of every token of the left-out texts: estimates and context buckets by order."""
     order = model.order
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for k in range(b.num_rows):
-                c, count = _local(b, k, order, slices, "e")
+                c, count = _local(b, k, order, slices, bits, "e")
                 f, bucket = model.parts(c, count)
                 columns = [x for n in range(order) for x in (pa.array(f[n]), pa.array(bucket[n]))]
                 yield pa.RecordBatch.from_arrays(columns, [x for n in range(order) for x in (f"f{n + 1}", f"b{n + 1}")])
@@ -347,10 +374,12 @@ def score(docs: DataFrame, learn, order: int = 3) -> DataFrame:
         x or 0 for x in made.agg(F.sum("n_tokens"), F.sum("learnt_tokens"), F.sum("learnt_texts"), F.sum(estimating), F.sum(F.when(~F.col("held"), F.col("learnt_texts")))).first()
     )
     slices = max(1, -(-2 * every // SLICE_KEYS))
-    counts = materialise(gram_counts(made, order, slices), "counts")
+    bits = key_bits(order * every)
+    counts = materialise(gram_counts(made, order, slices, bits), "counts")
+    release_shuffles(docs.sparkSession)
     types, e_types = (x or 0 for x in counts.where("chunk < 0").agg(F.sum("types"), F.sum("e_types")).first())
     held = _answered(made.where("held"), counts, "e")
-    tokens = materialise(held_tokens(held, Estimates(e_total, e_types, e_texts, order), slices), "held-tokens")
+    tokens = materialise(held_tokens(held, Estimates(e_total, e_types, e_texts, order), slices, bits), "held-tokens")
     weights = expectation_maximisation(tokens, order, e_types)
     model = Estimates(total, types, texts, order)
     kind = docs.schema["doc_id"].dataType.simpleString()
@@ -358,7 +387,7 @@ def score(docs: DataFrame, learn, order: int = 3) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for k in range(b.num_rows):
-                c, count = _local(b, k, order, slices, "n")
+                c, count = _local(b, k, order, slices, bits, "n")
                 mixed = np.log10(model.probability(*model.parts(c, count), weights))
                 own = count[c.at[0]]
                 base = np.log10((own + 0.5) / (model.total + 0.5 * (model.types + 1)))
