@@ -358,7 +358,7 @@ def forward_merge(ops: DataFrame, table: str, moves: DataFrame, policy: str = "o
     last = moves.groupBy(F.col("dst").alias("__dst")).agg(F.max(F.struct("ord", "src")).alias("__m")).select("__dst", F.col("__m.src").alias("__src"))
     at = F.col("list_key") == table
     # dropping one member of a class drops nothing: the others still need its row
-    part = fwd.select(F.col("__src").alias("__any")).unionByName(fwd.select("__dst")).distinct()
+    part = fwd.select(F.col("__src").alias("__any")).unionByName(fwd.select(F.col("__dst").alias("__any"))).distinct()
     drops = ops.where(at & F.col("kind").isin(*GONE)).join(part, F.col("arg_eid") == F.col("__any"), "left_anti")
     merged = ops.where(at & ~F.col("kind").isin(*GONE)).join(last, F.col("eid") == F.col("__src"), "left")
     dst = last.select(F.col("__dst").alias("__own"))
