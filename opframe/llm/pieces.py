@@ -18,7 +18,6 @@ from __future__ import annotations
 import unicodedata
 import zlib
 from collections.abc import Iterator
-from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -167,7 +166,7 @@ class Encoder:
         self._clear()
 
     def _clear(self) -> None:
-        self.known: dict[str, int] = {}
+        self.known, self.run_of = pa.array([], pa.string()), np.zeros(0, np.int64)
         self.ids = np.zeros(1 << 20, np.int32)
         self.used = self.runs = 0
         self.start = np.zeros(1 << 18, np.int64)
@@ -271,12 +270,14 @@ class Encoder:
             ids[ragged((np.cumsum(wide) - wide)[odd], wide[odd])] = np.concatenate(runs)
         return ids.astype(np.int32), lens
 
-    def _numbers(self, names: list[str]) -> np.ndarray:
-        got = np.fromiter(map(self.known.get, names, repeat(-1)), np.int64, len(names))
-        missing = np.flatnonzero(got < 0)
+    def _numbers(self, names: pa.Array) -> np.ndarray:
+        """Run number of each of the distinct chunks; unknown ones are matched."""
+        at = np.asarray(pc.fill_null(pc.index_in(names, value_set=self.known), -1), np.int64)
+        got = np.append(self.run_of, 0)[at]
+        missing = np.flatnonzero(at < 0)
         if len(missing):
-            fresh = [names[i] for i in missing.tolist()]
-            ids, lens = self._match(fresh)
+            fresh = names.take(pa.array(missing))
+            ids, lens = self._match(fresh.to_pylist())
             while self.used + len(ids) > len(self.ids):
                 self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
             while self.runs + len(lens) > len(self.start):
@@ -288,8 +289,10 @@ class Encoder:
             self.start[first : first + len(lens)] = self.used + np.cumsum(lens) - lens
             self.used += len(ids)
             self.runs += len(lens)
-            got[missing] = np.arange(first, first + len(fresh))
-            self.known.update(zip(fresh, range(first, first + len(fresh)), strict=True))
+            own = np.arange(first, first + len(fresh))
+            got[missing] = own
+            self.known = pa.concat_arrays([self.known, fresh])
+            self.run_of = np.append(self.run_of, own)
         return got
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -307,7 +310,7 @@ class Encoder:
             marked = pc.replace_substring(marked, "\n", " \n ")
         lists = pc.split_pattern(marked, " ")
         coded = lists.flatten().dictionary_encode()
-        run = self._numbers(coded.dictionary.to_pylist())[np.asarray(coded.indices)]
+        run = self._numbers(coded.dictionary.cast(pa.string()))[np.asarray(coded.indices)]
         lens = self.len[run]
         total = np.concatenate([[0], np.cumsum(lens)])
         seg = np.concatenate([[0], np.cumsum(np.asarray(lists.value_lengths()))])

@@ -124,7 +124,7 @@ class WordEncoder:
         plain = pc.replace_substring(pc.replace_substring(pc.fill_null(texts, ""), "\n", " "), "\t", " ")
         lists = pc.split_pattern(plain, " ")
         coded = lists.flatten().dictionary_encode()
-        uniq = coded.dictionary
+        uniq = coded.dictionary.cast(pa.string())
         core = pc.utf8_rtrim(uniq, characters=_MARKS)
         good = np.array(pc.utf8_is_alpha(core))
         wide = np.flatnonzero(good & ~np.asarray(pc.string_is_ascii(core)))

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE_TABLE, buffers, materialise, mix, pieces, ragged, words
+from .common import SPACE_TABLE, buffers, materialise, mix, pieces, ragged, trim, words
 from .graph import BROADCAST_ROWS, components, maybe_broadcast
 
 #: Fingerprints of one chunk of a bucket.
@@ -167,6 +167,7 @@ def band_keys(sims: DataFrame, width: int, bands: int, words64: int) -> DataFram
                 keys = np.stack([mix((m[:, c] * weight).sum(1) + np.uint64(i << 44)) for i, c in enumerate(cuts)], axis=1)
                 edges = pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * np.int32(len(cuts)))
                 yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(edges, pa.array(keys.view(np.int64).ravel())), b.column(0)], ["keys", "fp"])
+        trim()
 
     return sims.select("fp").mapInArrow(run, "keys array<bigint>, fp binary").select(F.explode("keys").alias("key"), "fp")
 
@@ -242,6 +243,7 @@ def links(keyed: DataFrame, max_diff: int, words64: int = 1, hot: DataFrame | No
                     v.append(at + y)
             if u:
                 yield pa.RecordBatch.from_arrays([flat.take(pa.array(u)), flat.take(pa.array(v))], ["a", "b"])
+        trim()
 
     kind = "bigint" if words64 == 1 else "binary"
     found = groups.mapInArrow(run, f"a {kind}, b {kind}")
@@ -308,6 +310,8 @@ def similar_links(docs: DataFrame, members: DataFrame, width: int, similarity: f
             raw, off, _ = buffers(b.column(2))
             found = _slices(*distinct_sets(*shingle_hashes(raw, off, width)))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(found, pa.binary())], ["id", "g", "shingles"])
+            del raw, off, found
+        trim()
 
     sets = materialise(texts.mapInArrow(read, "id bigint, g bigint, shingles binary"), "sets")
     large = sets.groupBy("g").agg(F.sum(F.length("shingles")).alias("bytes")).where(F.col("bytes") > SET_BYTES)
@@ -339,6 +343,8 @@ def similar_links(docs: DataFrame, members: DataFrame, width: int, similarity: f
                 held[node] = data.as_buffer().to_pybytes()
         if len(held) > 1:
             yield close()
+        held = {}
+        trim()
 
     # groups come one after another, sorted by Spark, so that a task holds one of them at a time
     return dealt.repartition("group", "g").sortWithinPartitions("group", "g").mapInArrow(compare, "u bigint, v bigint")
