@@ -11,6 +11,7 @@ import atexit
 import ctypes
 import gc
 import tempfile
+import time
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -63,9 +64,12 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
 
 
 def release_shuffles(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of plans that are done: it does so once their handles are collected."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    """Let Spark delete the shuffle files of plans that are done: it does so once their handles are collected, here first, then in the JVM."""
+    for _ in range(2):
+        gc.collect()
+        time.sleep(0.5)  # handles are given up, and files deleted, by threads of their own
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.5)
 
 
 def doc_bucket(col: str, mod: int):
