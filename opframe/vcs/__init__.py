@@ -34,6 +34,10 @@ def values(ops: DataFrame) -> DataFrame:
     return ops.where(F.coalesce(F.col("plane") == "value", F.lit(True)))
 
 
+#: Type operations that bring rows along when a log crosses them: what follows starts from a written log, so that plans do not multiply.
+BRINGS = ("wrap_list", "split_table", "join_link", "copy_table", "match_column")
+
+
 def head(start: Database, ops: DataFrame) -> tuple[DataFrame, Database]:
     """(value operations of a log as if all were made under its last schema, ``start`` under that schema).
 
@@ -46,6 +50,7 @@ def head(start: Database, ops: DataFrame) -> tuple[DataFrame, Database]:
         # a join follows links to rows that the log may have made
         before = oplog.replay(db, carried) if op.kind == "join_link" else db
         carried, db, last = oplog.forward(carried, op, before), db.apply(op), seq
+        carried = settled(carried, "head") if op.kind in BRINGS else carried
     if last is None:
         return rows, db
     return carried.unionByName(rows.where(F.col("seq") >= last)), db
@@ -154,6 +159,7 @@ def _on(rows: DataFrame, ops: list[Op], db: Database) -> tuple[DataFrame, Databa
     for op in ops:
         before = oplog.replay(db, rows) if op.kind == "join_link" else db
         rows, db = oplog.forward(rows, op, before), db.apply(op)
+        rows = settled(rows, "across") if op.kind in BRINGS else rows
     return rows, db
 
 

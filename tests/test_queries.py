@@ -72,6 +72,13 @@ def test_only_read_columns_reach_the_scan(spark, sf):
     assert "c_acctbal" not in text and "l_extendedprice" not in text
 
 
+@pytest.mark.parametrize(("name", "most"), [("view_pending", 5), ("acme_forwarded_links", 3), ("view_update_base", 8), ("acme_old_update_forward", 12)])
+def test_the_base_document_is_computed_once(spark, sf, name, most):
+    """Plans start from the written import, so that its tables are scanned once and not for each use."""
+    text = plan(registry.QUERIES[name](spark, sf)).split("== Physical Plan ==")[1]
+    assert text.count("FileScan") <= most and "l_shipdate" not in text
+
+
 def test_rename_runs_no_job(spark, sf):
     from opframe.model import ops as o
     from opframe.model.types import ANY
